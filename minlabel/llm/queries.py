@@ -2,9 +2,21 @@
 
 from __future__ import annotations
 
+from minlabel.llm import decontamination, quality_rules
 from minlabel.llm import token_counts as tc
 from minlabel.session import table
 
+SOURCE_COLUMNS = ("doc_id",)
+
+
+def op2_quality_rules(spark, sf_dir):
+    return quality_rules.quality_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op3_decontamination(spark, sf_dir):
+    out = decontamination.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return out.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "longest_match", "spans", "contaminated")
+
 
 def op8_token_counts(spark, sf_dir):
     import public_tokenizers
@@ -13,8 +25,8 @@ def op8_token_counts(spark, sf_dir):
 
 
 def queries():
-    return {"op8_token_counts": op8_token_counts}
+    return {f.__name__: f for f in (op2_quality_rules, op3_decontamination, op8_token_counts)}
 
 
 def oracle_sql():
-    return {}
+    return {"op2_quality_rules": quality_rules.oracle()}
