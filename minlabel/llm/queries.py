@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from minlabel.llm import decontamination, quality_rules
+from minlabel.llm import chat_formatting, decontamination, personal_data, quality_rules
 from minlabel.llm import token_counts as tc
 from minlabel.session import table
 
@@ -24,9 +24,19 @@ def op8_token_counts(spark, sf_dir):
     return tc.token_counts(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op9_chat_formatting(spark, sf_dir):
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    trap = spark.createDataFrame([(chat_formatting.TRAP_ID, turn, role, chat_formatting.TRAP) for turn, role in ((0, "user"), (1, "assistant"))], rows.schema)
+    return chat_formatting.digests(chat_formatting.conversations(chat_formatting.linear_messages(rows.unionByName(trap))))
+
+
+def op10_personal_data(spark, sf_dir):
+    return personal_data.personal_data(table(spark, sf_dir, "documents"))
+
+
 def queries():
-    return {f.__name__: f for f in (op2_quality_rules, op3_decontamination, op8_token_counts)}
+    return {f.__name__: f for f in (op2_quality_rules, op3_decontamination, op8_token_counts, op9_chat_formatting, op10_personal_data)}
 
 
 def oracle_sql():
-    return {"op2_quality_rules": quality_rules.oracle()}
+    return {"op2_quality_rules": quality_rules.oracle(), "op9_chat_formatting": chat_formatting.ORACLE}
