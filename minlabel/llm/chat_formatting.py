@@ -40,29 +40,26 @@ def linear_messages(rows: DataFrame, tree: str = "conv_id", turn: str = "turn")
 
 def branches(messages: DataFrame, keep: int = 1) -> DataFrame:
     """tree, leaf, place (0 at the root), node: the messages of the best branches of each tree."""
-    given = messages.select("tree", "node", "parent", F.coalesce(F.col("score"), F.lit(0.0)).alias("score"))
+    given = stored(messages.select("tree", "node", "parent", F.coalesce(F.col("score"), F.lit(0.0)).alias("score")), "replies")
     known = given.select("tree", F.col("node").alias("up")).distinct()
-    # reach: node -> the ancestor 2**k steps up, with sum and number of the messages before it
+    # reach: node -> the ancestor 2**k steps up, with sum and number of the messages before it; the rooted ones have none
     reach = stored(
         given.select("tree", "node", F.col("parent").alias("up"), "score").join(known.withColumn("there", F.lit(True)), ["tree", "up"], "left")
         .select("tree", "node", F.when(F.col("there"), F.col("up")).alias("up"), F.col("score").alias("total"), F.lit(1).cast("bigint").alias("steps")),
         "replies",
     )
-    levels, most = [reach], max(1, messages.count()).bit_length() + 1
-    while len(levels) <= most and not reach.where("up is not null").isEmpty():
-        far = reach.select("tree", F.col("node").alias("up"), F.col("up").alias("up2"), F.col("total").alias("total2"), F.col("steps").alias("steps2"))
-        reach = stored(
-            reach.join(far, ["tree", "up"], "left").select("tree", "node", F.col("up2").alias("up"), (F.col("total") + F.coalesce("total2", F.lit(0.0))).alias("total"), (F.col("steps") + F.coalesce("steps2", F.lit(0))).alias("steps")),
-            "replies",
-        )
-        levels.append(reach)
-    rooted = reach.where("up is null")
+    rooted, open_, levels, most = reach.where("up is null"), reach.where("up is not null"), [], max(1, given.count()).bit_length() + 1
+    while len(levels) <= most and not open_.isEmpty():  # only messages that have not reached their root go on
+        levels.append(open_)
+        far = rooted.unionByName(open_).select("tree", F.col("node").alias("up"), F.col("up").alias("up2"), F.col("total").alias("total2"), F.col("steps").alias("steps2"))
+        reach = stored(open_.join(far, ["tree", "up"]).select("tree", "node", F.col("up2").alias("up"), (F.col("total") + F.col("total2")).alias("total"), (F.col("steps") + F.col("steps2")).alias("steps")), "replies")
+        rooted, open_ = rooted.unionByName(reach.where("up is null")), reach.where("up is not null")
     leaves = rooted.join(given.where("parent is not null").select("tree", F.col("parent").alias("node")).distinct(), ["tree", "node"], "left_anti")
     order = Window.partitionBy("tree").orderBy(F.desc(F.col("total") / F.col("steps")), "node")
     best = leaves.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= keep)
     paths = best.select("tree", F.col("node").alias("leaf"), "node", "steps", F.lit(0).cast("bigint").alias("down"))
-    for k in range(len(levels) - 2, -1, -1):
-        jump = levels[k].where("up is not null").select("tree", "node", "up")
+    for k in range(len(levels) - 1, -1, -1):
+        jump = levels[k].select("tree", "node", "up")
         paths = stored(paths.unionByName(paths.join(jump, ["tree", "node"]).select("tree", "leaf", F.col("up").alias("node"), "steps", (F.col("down") + (1 << k)).alias("down"))), "paths")
     return paths.select("tree", "leaf", (F.col("steps") - 1 - F.col("down")).alias("place"), "node")
 
