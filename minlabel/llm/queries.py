@@ -2,13 +2,22 @@
 
 from __future__ import annotations
 
-from minlabel.llm import chat_formatting, decontamination, personal_data, quality_rules
+from minlabel.llm import chat_formatting, decontamination, language_id, mixing, personal_data, quality_rules
 from minlabel.llm import token_counts as tc
 from minlabel.session import table
 
 SOURCE_COLUMNS = ("doc_id",)
 
 
+def op1_mixing(spark, sf_dir):
+    return mixing.mixed(table(spark, sf_dir, "documents"))
+
+
+def op4_language_id(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    return language_id.languages(docs, language_id.fit(docs))
+
+
 def op2_quality_rules(spark, sf_dir):
     return quality_rules.quality_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -35,8 +44,8 @@ def op10_personal_data(spark, sf_dir):
 
 
 def queries():
-    return {f.__name__: f for f in (op2_quality_rules, op3_decontamination, op8_token_counts, op9_chat_formatting, op10_personal_data)}
+    return {f.__name__: f for f in (op1_mixing, op4_language_id, op2_quality_rules, op3_decontamination, op8_token_counts, op9_chat_formatting, op10_personal_data)}
 
 
 def oracle_sql():
-    return {"op2_quality_rules": quality_rules.oracle(), "op9_chat_formatting": chat_formatting.ORACLE}
+    return {"op1_mixing": mixing.oracle(), "op2_quality_rules": quality_rules.oracle(), "op9_chat_formatting": chat_formatting.ORACLE}
