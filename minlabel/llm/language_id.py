@@ -162,9 +162,10 @@ def languages(docs: DataFrame, model: Model) -> DataFrame:
         m = held.value
         for batch in batches:
             data, offsets = ta.byte_arrays(batch.column("text"))
-            known, names, scores, rates = has_letter(data, offsets), [], [], []
+            names, scores, rates = [], [], []
             for i, j in ta.slices(offsets):
                 own = offsets[i : j + 1] - offsets[i]
+                known = has_letter(data[offsets[i] : offsets[j]], own)
                 if not m.languages:
                     names += [UNKNOWN] * (j - i)
                     scores += [0.0] * (j - i)
@@ -174,8 +175,8 @@ def languages(docs: DataFrame, model: Model) -> DataFrame:
                 best = bits.argmin(1)
                 least = bits.min(1)
                 p = 1 / np.exp2(-np.minimum(bits - least[:, None], 4000) / 8).sum(1)
-                names += [m.languages[b] if k else UNKNOWN for b, k in zip(best.tolist(), known[i:j].tolist())]
-                scores += np.where(known[i:j], p, 0.0).tolist()
+                names += [m.languages[b] if k else UNKNOWN for b, k in zip(best.tolist(), known.tolist())]
+                scores += np.where(known, p, 0.0).tolist()
                 rates += (least / np.maximum(np.diff(own), 1)).tolist()
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(rates, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score", "bits_per_byte"])
 
