@@ -27,16 +27,35 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def stored(df: DataFrame, name: str = "part") -> DataFrame:
-    """df written as a Parquet table in the shared folder and read again: cut lineage with columns still prunable.
+def stored(df: DataFrame, name: str = "labels") -> DataFrame:
+    """df written as a Parquet table in the shared folder and read again: cut lineage with columns still prunable, and with sizes that the planner can trust.
 
-    The folder goes when the driver's process ends.
+    A checkpoint() would keep the partitioning, but also the size that was estimated for its plan; over the rounds of a
+    loop these estimates multiply into numbers that take the planner minutes. The folder goes when the driver ends.
     """
     spark = df.sparkSession
-    path = f"{checkpoint_root(spark)}/minlabel-{name}-{uuid.uuid4().hex}"
+    path = f"{_own_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Remove what stored() wrote for this very DataFrame, when nothing reads it any more."""
+    if path := getattr(df, "_stored_at", None):
+        _remove(df.sparkSession, path)
+
+
+_folders: dict[str, str] = {}
+
+
+def _own_folder(spark: SparkSession) -> str:
+    root = checkpoint_root(spark)
+    if root not in _folders:
+        _folders[root] = f"{root}/minlabel-{uuid.uuid4().hex}"
+        atexit.register(_remove, spark, _folders[root])
+    return _folders[root]
 
 
 def _remove(spark: SparkSession, path: str) -> None:
