@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from minlabel.llm import chat_formatting, decontamination, language_id, mixing, personal_data, quality_rules
+from minlabel.llm import chat_formatting, decontamination, language_id, mixing, near_duplicates, personal_data, quality_rules
 from minlabel.llm import token_counts as tc
 from minlabel.session import table
 
@@ -27,6 +27,10 @@ def op3_decontamination(spark, sf_dir):
     return out.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "longest_match", "spans", "contaminated")
 
 
+def op7_near_duplicates(spark, sf_dir):
+    return near_duplicates.classes(table(spark, sf_dir, "documents"))
+
+
 def op8_token_counts(spark, sf_dir):
     import public_tokenizers
 
@@ -44,7 +48,7 @@ def op10_personal_data(spark, sf_dir):
 
 
 def queries():
-    return {f.__name__: f for f in (op1_mixing, op4_language_id, op2_quality_rules, op3_decontamination, op8_token_counts, op9_chat_formatting, op10_personal_data)}
+    return {f.__name__: f for f in (op1_mixing, op4_language_id, op2_quality_rules, op3_decontamination, op7_near_duplicates, op8_token_counts, op9_chat_formatting, op10_personal_data)}
 
 
 def oracle_sql():
