@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from minlabel.llm import text_arrays as ta
+from minlabel.llm.shared import Shared
 
 WINDOW = 13
 #: Contaminated: at least one hit word in so many.
@@ -95,7 +96,7 @@ def blocks(benchmark: DataFrame, key: str = "item_id", text: str = "text", windo
             yield held
 
     for held in cut():
-        out.append(sc.broadcast(TestBlock([k for k, _ in held], [t for _, t in held], window)))
+        out.append(Shared(sc, TestBlock([k for k, _ in held], [t for _, t in held], window)))
     return out
 
 
@@ -180,8 +181,8 @@ def scan(column: pa.Array, held: list, one_in: int = ONE_IN):
                 items.setdefault(i + d, set()).add(block.ids[k])
             first, length = _runs(starts, sizes, tests)
             np.maximum.at(longest, i + np.searchsorted(at, first, "right") - 1, length)
-        if len(held) > 1 and hasattr(b, "_value"):
-            del b._value  # one block in memory at a time; it is read again from the executor's copy
+        if len(held) > 1:
+            b.release()  # one block in memory at a time
     for (i, j, h, at), mark in zip(parts, marks):
         n_words[i:j] = np.diff(at)
         hit = np.cumsum(mark[:-1]) > 0

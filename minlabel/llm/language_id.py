@@ -21,6 +21,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from minlabel.llm import text_arrays as ta
+from minlabel.llm.shared import Shared
 
 SAMPLE_DOCS, SAMPLE_CHARS, TRAIN_BYTES, MAX_LANGUAGES = 300, 4000, 60_000, 64
 BLOCK, FOLDS, HELD_OUT = 256, 3, 1
@@ -156,7 +157,7 @@ def fit(docs: DataFrame, key: str = "doc_id", lang: str = "lang") -> Model:
 
 def languages(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, held_out, lang_pred, score, bits_per_byte of each row."""
-    held = docs.sparkSession.sparkContext.broadcast(model)
+    held = Shared(docs.sparkSession.sparkContext, model)
 
     def run(batches):
         m = held.value

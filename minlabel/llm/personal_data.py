@@ -25,6 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from minlabel.llm.shared import Shared
+
 BASE_KINDS, MORE_KINDS = ("email", "ip", "card", "phone"), ("iban", "secret", "ssn", "tel")
 TRAIN_SPANS, SEED, PRECISION = 6000, 20, 0.98
 
@@ -275,7 +277,7 @@ def written(spans: list[tuple[str, int, int]]) -> str:
 
 def personal_data(docs: DataFrame) -> DataFrame:
     """doc_id, numbers of base spans, base_sha256, n_more and spans of each row."""
-    held = docs.sparkSession.sparkContext.broadcast(Chooser())
+    held = Shared(docs.sparkSession.sparkContext, Chooser())
 
     def run(batches):
         chooser = held.value
@@ -310,7 +312,7 @@ def redacted_text(text: str | None, chooser: Chooser) -> str | None:
 
 def redacted(docs: DataFrame) -> DataFrame:
     """docs with personal data replaced in text; n_chars, if there, follows the text."""
-    held, names = docs.sparkSession.sparkContext.broadcast(Chooser()), docs.columns
+    held, names = Shared(docs.sparkSession.sparkContext, Chooser()), docs.columns
     place = names.index("text")
 
     def run(batches):

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from minlabel.llm import chat_formatting, decontamination, language_id, mixing, near_duplicates, personal_data, quality_rules
+from minlabel.llm import chat_formatting, context_trees, decontamination, language_id, mixing, near_duplicates, personal_data, quality_rules, repeated_passages
 from minlabel.llm import token_counts as tc
 from minlabel.session import table
 
@@ -27,6 +27,14 @@ def op3_decontamination(spark, sf_dir):
     return out.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "longest_match", "spans", "contaminated")
 
 
+def op5_repeated_passages(spark, sf_dir):
+    return repeated_passages.repeated_passages(table(spark, sf_dir, "documents"))
+
+
+def op6_context_trees(spark, sf_dir):
+    return context_trees.scores(table(spark, sf_dir, "documents"))
+
+
 def op7_near_duplicates(spark, sf_dir):
     return near_duplicates.classes(table(spark, sf_dir, "documents"))
 
@@ -47,8 +55,14 @@ def op10_personal_data(spark, sf_dir):
     return personal_data.personal_data(table(spark, sf_dir, "documents"))
 
 
+QUERIES = (
+    op1_mixing, op2_quality_rules, op3_decontamination, op4_language_id, op5_repeated_passages,
+    op6_context_trees, op7_near_duplicates, op8_token_counts, op9_chat_formatting, op10_personal_data,
+)
+
+
 def queries():
-    return {f.__name__: f for f in (op1_mixing, op4_language_id, op2_quality_rules, op3_decontamination, op7_near_duplicates, op8_token_counts, op9_chat_formatting, op10_personal_data)}
+    return {f.__name__: f for f in QUERIES}
 
 
 def oracle_sql():
