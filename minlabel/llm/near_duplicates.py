@@ -9,14 +9,15 @@ signatures are those of the endless processes.
 
 Equal shingle sets are collapsed first, to the smallest id. The signatures of these representatives are cut into bands;
 representatives that share a band are candidates. In rounds, each band's bucket is linked to one leader, the pairs are
-verified on the shingles themselves, and connected components join what is linked; buckets go on with new leaders until
-all of a bucket is one component or every pair across components was tried. So a group of g near copies costs about g
-pairs for each round, and no link between different texts is lost: pairs that are not tried lie in one component.
+verified on the shingles themselves, and connected components join what is linked; buckets go on with new leaders, and
+what is then not one component is tried pair by pair across components, but for pairs that the triangle inequality of
+the two distances rules out. So a group of g near copies costs about g pairs for each round, and no link between
+different texts is lost: pairs that are not tried lie in one component, or are too far from a common pivot.
 
 A pair is linked if its Jaccard index, of sets or of weighted sets (probability Jaccard), is at least THRESHOLD.
 
 Defined cases: null and empty texts have no shingles and are linked to nothing; a null id is left out of the result;
-rows with one id and different texts each stand for it, and it gets the smallest class; other columns are ignored.
+rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -170,8 +171,8 @@ def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray
     return jaccard, float((1 / (upper + cb[k] / y)).sum())
 
 
-def verified(pairs: DataFrame, held: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The pairs (a, b) of representatives that are near-duplicates; held: key, sh."""
+def compared(pairs: DataFrame, held: DataFrame) -> DataFrame:
+    """a, b, and the similarities of each pair of representatives: j of the sets, p of the weighted sets (or j, where that already links them); held: key, sh."""
     first = pairs.join(held.select(F.col("key").alias("a"), F.col("sh").alias("sa")), "a")
     rows = first.join(held.select(F.col("key").alias("b"), F.col("sh").alias("sb")), "b").select("a", "b", "sa", "sb")
     kind = rows.schema["a"].dataType.simpleString()
@@ -179,15 +180,15 @@ def verified(pairs: DataFrame, held: DataFrame, threshold: float = THRESHOLD) ->
     def run(batches):
         last = (None, None)
         for batch in batches:
-            keep = []
+            out = []
             for x, y in zip(batch.column("sa"), batch.column("sb")):
                 y = y.as_buffer()
                 if last[0] is None or not last[0].equals(y):  # rows of one leader come together
                     last = (y, unpack(y))
-                keep.append(max(similarity(unpack(x.as_buffer()), last[1])) >= threshold)
-            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+                out.append(similarity(unpack(x.as_buffer()), last[1]))
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array([o[0] for o in out], pa.float64()), pa.array([o[1] for o in out], pa.float64())], names=["a", "b", "j", "p"])
 
-    return rows.mapInArrow(run, f"a {kind}, b {kind}")
+    return rows.mapInArrow(run, f"a {kind}, b {kind}, j double, p double")
 
 
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
@@ -195,34 +196,48 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     held = stored(sketches(docs, key, text), "sketches")
     # the smallest id of each content stands for it; its row is found again by the id, so hot contents move no sketches
     first = stored(held.where("content is not null").groupBy("content").agg(F.min("key").alias("representative")), "contents")
-    alone = held.join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi").dropDuplicates(["content"])
-    alone = stored(alone.select("key", "bands", "sh"), "representatives")
+    alone = held.select("key", "content", "bands").join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi")
     members = held.select("key", "content").join(first, "content", "left").select("key", F.coalesce("representative", "key").alias("representative"))
     banded = alone.select("key", F.explode("bands").alias("band"))
     full = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band")
     buckets = stored(banded.join(full, "band", "left_semi").distinct(), "buckets")
-    labels = links = None
+    # shingles are moved once, and only those of representatives that share a band are kept
+    wanted = held.select("key", "content", "sh").join(buckets.select("key").distinct(), "key", "left_semi")
+    wanted = stored(wanted.groupBy("key").agg(F.min_by("sh", "content").alias("sh")), "shingles")
+    labels = links = pivots = None
     k, parts = 0, None
     while parts is None or k < STARS + parts:
         now = buckets.withColumn("label", F.col("key")) if labels is None else buckets.join(labels.select(F.col("id").alias("key"), "label"), "key", "left").withColumn("label", F.coalesce("label", "key"))
-        spread = now.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count("*").alias("n"), F.min_by("key", F.xxhash64("key", F.lit(k))).alias("leader")).where("low <> high")
-        open_ = stored(now.join(spread.select("band", "leader", "n"), "band"), "open")
+        # a bucket's leader is of the component that has most of it, so only the rest is tried
+        rank = F.xxhash64("key", F.lit(k))
+        per = now.groupBy("band", "label").agg(F.count("*").alias("c"), F.min(F.struct(rank.alias("rank"), "key")).alias("first"))
+        spread = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("c", (-F.col("first.rank")).alias("rank"), F.col("first.key").alias("leader"), F.col("label").alias("own"))).alias("top")).where("labels > 1").select("band", "top.*")
+        open_ = stored(now.join(spread.select("band", "leader", "own", "rank"), "band"), "open")
         if open_.isEmpty():
             break
-        if k < STARS:
-            leaders = open_.where("key = leader").select("band", F.col("label").alias("own"))
-            pairs = open_.join(leaders, "band").where("label <> own")
+        if k < STARS:  # each document with one leader, the first by rank, which is that of most of its buckets in a group of near copies
+            pairs = open_.where("label <> own").groupBy("key").agg(F.max_by("leader", F.struct("rank", "leader")).alias("leader"))
         else:  # the pairs across components that are left, in parts of about PAIRS
             if parts is None:
-                per = open_.groupBy("band", "n", "label").agg(F.count("*").alias("c")).groupBy("band", "n").agg(F.sum(F.expr("c * c")).alias("within"))
-                parts = max(1, -(-int(per.agg(F.sum(F.expr("(n * n - within) / 2"))).first()[0] or 0) // PAIRS))
-            other = open_.where(F.pmod(F.xxhash64("key"), F.lit(parts)) == k - STARS).select("band", F.col("key").alias("leader"), F.col("label").alias("own"))
-            pairs = open_.drop("leader").join(other, "band").where("label <> own")
+                sizes = open_.groupBy("band", "label").agg(F.count("*").alias("c")).groupBy("band").agg(F.sum("c").alias("n"), F.sum(F.expr("c * c")).alias("within"))
+                parts = max(1, -(-int(sizes.agg(F.sum(F.expr("(n * n - within) / 2"))).first()[0] or 0) // PAIRS))
+            # both similarities give distances that keep the triangle inequality: from a common pivot they rule pairs out
+            placed = open_.select("band", "key", "label").join(pivots, "key", "left")
+            other = placed.where(F.pmod(F.xxhash64("key"), F.lit(parts)) == k - STARS).select("band", *[F.col(c).alias(f"o_{c}") for c in ("key", "label", "pivot", "j", "p")])
+            far = F.expr(f"coalesce(pivot = o_pivot and abs(j - o_j) > {1 - threshold + 1e-9!r}D and abs(p - o_p) > {1 - threshold + 1e-9!r}D, false)")
+            pairs = placed.join(other, "band").where("label <> o_label and (key < o_key or pmod(xxhash64(key), {0}) <> {1})".format(parts, k - STARS)).where(~far).select("key", F.col("o_key").alias("leader"))
         tried = pairs.select(F.greatest("key", "leader").alias("a"), F.least("key", "leader").alias("b")).distinct()
-        new = stored(verified(tried, alone, threshold), "links")
+        if links is not None:
+            tried = tried.join(seen, ["a", "b"], "left_anti")
+        new = stored(compared(tried, wanted), "compared")
+        seen = new.select("a", "b") if links is None else seen.unionByName(new.select("a", "b"))
+        linked = new.where(f"greatest(j, p) >= {threshold}").select("a", "b")
+        links = linked if links is None else links.unionByName(linked)
+        if k == 0:
+            lead = pairs.join(new, (F.greatest("key", "leader") == F.col("a")) & (F.least("key", "leader") == F.col("b")))
+            pivots = stored(lead.select("key", F.col("leader").alias("pivot"), "j", F.when(F.col("j") < threshold, F.col("p")).alias("p")), "pivots")
         k += 1
-        if not new.isEmpty():
-            links = new if links is None else links.unionByName(new)
+        if not linked.isEmpty():
             ends = links.select(F.col("b").cast("bigint").alias("src"), F.col("a").cast("bigint").alias("dst")).distinct()
             labels = connected_components(Graph(ends, links.select(F.explode(F.array("a", "b")).alias("id")).select(F.col("id").cast("bigint").alias("id")).distinct()), "order2").labels
     if labels is not None:

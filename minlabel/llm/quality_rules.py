@@ -64,7 +64,9 @@ def measures(docs: DataFrame, text: str = "text") -> DataFrame:
     out = docs
     for name, expression in steps:
         out = out.withColumn(name, F.expr(expression))
-    return out.drop("ml_t", "ml_w", "ml_lines", "ml_h", "ml_b", "ml_s", "ml_c", "ml_p", "ml_r")
+    # As one generated column the measures are made once: conditions on them are not moved below and spelled out again.
+    own = F.explode(F.array(F.struct(*[F.col(f"ml_{m}") for m in MEASURES]))).alias("ml_m")
+    return out.select(*[F.col(f"`{c}`") for c in docs.columns], own).select(*[F.col(f"`{c}`") for c in docs.columns], "ml_m.*")
 
 
 def base_failed() -> F.Column:
@@ -130,8 +132,8 @@ def quality_report(docs: DataFrame, labels: DataFrame, by: str = "lang") -> Data
 
 def keep_good(docs: DataFrame, labels: DataFrame, by: str = "lang") -> DataFrame:
     """The rows of docs that are kept, with their columns as they were."""
-    kept = stored(measures(docs.select("doc_id", "text", by)).drop("text"), "quality")
-    limits = stored(cutoffs(kept, labels, by=by), "limits")
+    labelled = docs.select("doc_id", "text", by).join(labels.where(F.col("quality") == 1).select("doc_id"), "doc_id", "left_semi")
+    limits = stored(cutoffs(stored(measures(labelled).drop("text"), "quality"), labels, by=by), "limits")
     return judged(measures(docs), limits, by).where("ml_kept").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
