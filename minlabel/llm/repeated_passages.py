@@ -4,12 +4,13 @@ Every window of WINDOW bytes (a suffix, cut at that depth) belongs to the smalle
 minimizer. Runs of windows with one minimizer are shipped as one piece of text, to the bucket of the gram's hash; equal
 windows so meet in one bucket, wherever they stand. Within a map task equal pieces are collapsed first: those of
 larger ids are covered at once, and only the smallest id's is shipped, so that a passage of a third of all documents comes to
-its bucket once from each task. In a bucket equal pieces are collapsed again, grams of one document are dropped, and the
-windows of what is left are sorted by most-significant-digit passes of 8 bytes: after each pass windows that are alone
-are done, and groups equal through the last pass are the repeated windows. A window that starts in a document with a
-smaller id covers its bytes. The covered ranges go back to the documents by id and hash of the text.
+its bucket once from each task. In a bucket equal pieces are collapsed again; of what is left, windows whose fingerprint
+is alone among those of their gram are dropped, and the rest are sorted by most-significant-digit passes of 8 bytes:
+after each pass windows that are alone are done, and groups equal through the last pass are the repeated windows. A
+window that starts in a document with a smaller id covers its bytes. The covered ranges go back to the documents by id
+and hash of the text.
 
-Equal pieces and grams are told by 64-bit hashes (pieces with their gram and length too); windows by all their bytes.
+Equal pieces are told by 64-bit hashes; windows by all their bytes.
 
 Defined cases: a null text is empty; texts under WINDOW bytes keep all; rows without id neither cover nor lose bytes;
 rows of one id do not cover each other, and repeated rows lose the same bytes; other columns are ignored.
@@ -27,9 +28,10 @@ from pyspark.sql import functions as F
 
 from minlabel.llm import text_arrays as ta
 
-WINDOW, GRAM = 50, 16
-#: Bytes of text that a map task works on at once, and buckets for each shuffle partition.
-CHUNK, BUCKETS = 16 << 20, 1
+WINDOW, GRAM = 50, 10
+#: Bytes of text whose pieces a map task collapses together, and buckets for each shuffle partition.
+#: Bytes of pieces of a bucket whose windows are sorted at once (more if those of one gram are more).
+CHUNK, BUCKETS, SORTED = 16 << 20, 2, 4 << 20
 _BIG = np.iinfo(np.int64).max
 
 
@@ -50,10 +52,7 @@ def pieces(data: np.ndarray, offsets: np.ndarray):
     if n < WINDOW:
         return z, z, z, z, np.zeros(0, np.uint64)
     x = _eights(data)
-    h = x[: n - GRAM + 1] * np.uint64(0x9E3779B97F4A7C15)
-    h ^= h >> np.uint64(29)
-    h += x[8 : n - GRAM + 9] * np.uint64(0xC2B2AE3D27D4EB4F)
-    h = ta.mixed(h)
+    h = ta.mixed(x[: n - GRAM + 1] * np.uint64(0x9E3779B97F4A7C15) + x[GRAM - 8 : n - 7])
     # the leftmost smallest hash among span grams, by doubling; the place stands in the low half
     least = (h & np.uint64(0xFFFFFFFF00000000)) | np.arange(len(h), dtype=np.uint64)
     reach = 1
@@ -81,50 +80,50 @@ def pieces(data: np.ndarray, offsets: np.ndarray):
     return doc, at, end - at, gram[at], h[gram[at]]
 
 
-def _sealed(x: np.ndarray | bytes) -> bytes:
-    return zstandard.ZstdCompressor(level=1).compress(x if isinstance(x, bytes) else np.ascontiguousarray(x).tobytes())
+def _sealed(x: np.ndarray, level: int = 1) -> bytes:
+    return zstandard.ZstdCompressor(level=level).compress(np.ascontiguousarray(x).tobytes())
 
 
 def _opened(b: bytes, kind) -> np.ndarray:
     return np.frombuffer(zstandard.ZstdDecompressor().decompress(b), kind)
 
 
-def _collapsed(gram: np.ndarray, content: np.ndarray, doc: np.ndarray):
-    """Order by gram, content and doc; and for each in that order whether a smaller doc has its content."""
-    order = np.lexsort((doc, content, gram))
-    g, c, d = gram[order], content[order], doc[order]
-    new = np.ones(len(g), bool)
-    new[1:] = (g[1:] != g[:-1]) | (c[1:] != c[:-1])
-    least = d[np.maximum.accumulate(np.where(new, np.arange(len(g)), 0))]
+def _contents(hasher, text, begin, length, ahead, n):
+    """Hash of each piece: its bytes, and which windows it stands for."""
+    return hasher.parts(hasher.prefix(text), begin, begin + length) ^ ta.mixed((ahead << 8 | n).astype(np.uint64))
+
+
+def _collapsed(content: np.ndarray, doc: np.ndarray):
+    """Order by content and doc; and for each in that order whether a smaller doc has its content."""
+    order = np.lexsort((doc, content))
+    c, d = content[order], doc[order]
+    new = np.concatenate(([True], c[1:] != c[:-1]))[: len(c)]
+    least = d[np.maximum.accumulate(np.where(new, np.arange(len(c)), 0))]
     return order, d > least
 
 
 def _map_chunk(ids, keys, data, offsets, hasher, buckets):
-    """Rows (bucket, blob) of one chunk: what goes to each bucket, and ranges that are covered within the chunk."""
-    doc, at, n, place, h = pieces(data, offsets)
+    """Rows (bucket, blobs) of one chunk: what goes to each bucket, and ranges that are covered within the chunk."""
+    found = []
+    for i, j in ta.slices(offsets):
+        part, own = data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
+        doc, at, n, place, h = pieces(part, own)
+        found.append((doc + i, at + offsets[i], n, place - at, h, _contents(hasher, part, at, n + WINDOW - 1, place - at, n)))
+    doc, at, n, ahead, h, content = (np.concatenate(x) for x in zip(*found))
     if not len(doc):
         return
-    prefix = hasher.prefix(data)
-    length = n + WINDOW - 1
-    content = hasher.parts(prefix, at, at + length) ^ ta.mixed(((place - at) << 8 | n).astype(np.uint64))
-    order, covered = _collapsed(h, content, ids[doc])
-    # covered within this chunk: their ranges are done
-    over = order[covered]
-    ship = order[~covered]  # by gram, content
-    bucket = (h[ship] >> np.uint64(40)) % np.uint64(buckets)
-    deal = np.argsort(bucket, kind="stable")
-    ship, bucket = ship[deal], bucket[deal].astype(np.int64)
-    target = (ta.mixed(h[over]) % np.uint64(buckets)).astype(np.int64)
-    by = np.argsort(target, kind="stable")
-    over, target = over[by], target[by]
-    for b in np.unique(np.concatenate((bucket, target))).tolist():
-        own = ship[slice(*np.searchsorted(bucket, [b, b + 1]))]
-        done = over[slice(*np.searchsorted(target, [b, b + 1]))]
-        text = data[ta.ranges(at[own], length[own])]
+    order, covered = _collapsed(content, ids[doc])
+    over, ship = order[covered], np.sort(order[~covered])  # shipped by document, so that ids pack well
+    deal = lambda rows: rows[np.argsort((h[rows] >> np.uint64(40)) % np.uint64(buckets), kind="stable")]
+    over, ship = deal(np.sort(over)), deal(ship)
+    b_over, b_ship = (((h[x] >> np.uint64(40)) % np.uint64(buckets)).astype(np.int64) for x in (over, ship))
+    inside = at - offsets[doc]
+    for b in np.unique(np.concatenate((b_over, b_ship))).tolist():
+        own, done = ship[slice(*np.searchsorted(b_ship, [b, b + 1]))], over[slice(*np.searchsorted(b_over, [b, b + 1]))]
+        length = n[own] + WINDOW - 1
         yield b, [
-            _sealed(text), _sealed(np.stack((ids[doc[own]], keys[doc[own]]))), _sealed(h[own]), _sealed(content[own]),
-            _sealed(np.stack((at[own] - offsets[doc[own]], n[own], place[own] - at[own])).astype(np.int32)),
-            _sealed(np.stack((ids[doc[done]], keys[doc[done]]))), _sealed(np.stack((at[done] - offsets[doc[done]], length[done])).astype(np.int32)),
+            _sealed(data[ta.ranges(at[own], length)], 3), _sealed(np.diff(ids[doc[own]], prepend=0)), _sealed(keys[doc[own]]), _sealed(inside[own].astype(np.int32)),
+            _sealed(np.stack((n[own], ahead[own])).astype(np.uint8)), _sealed(np.diff(ids[doc[done]], prepend=0)), _sealed(keys[doc[done]]), _sealed(np.stack((inside[done], n[done] + WINDOW - 1)).astype(np.int32)),
         ]
 
 
@@ -141,7 +140,7 @@ def _shipped(buckets: int, chunk: int):
                 yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in rows], pa.int32()), pa.array([p for _, p in rows], pa.list_(pa.binary()))], names=["bucket", "parts"])
 
         for batch in batches:
-            ids, keys = batch.column("id").to_numpy(), batch.column("h").to_numpy()
+            ids, keys = batch.column("id").to_numpy(), batch.column("h").to_numpy().astype(np.int32)
             data, offsets = ta.byte_arrays(batch.column("text"))
             for i, j in ta.slices(offsets):
                 held.append((ids[i:j], keys[i:j], data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]))
@@ -172,45 +171,74 @@ def radix_groups(digits, order: np.ndarray, group: np.ndarray, passes: int):
 
 
 def _reduce(rows: list):
-    """Covered ranges of one bucket: ids, keys, starts, lengths."""
+    """Covered ranges of one bucket: ids and keys, starts and lengths."""
+    hasher = ta.Hasher()
     text = np.concatenate([_opened(p[0], np.uint8) for p in rows])
-    ids, keys = np.concatenate([_opened(p[1], np.int64).reshape(2, -1) for p in rows], axis=1)
-    gram, content = (np.concatenate([_opened(p[k], np.uint64) for p in rows]) for k in (2, 3))
-    at, n, place = np.concatenate([_opened(p[4], np.int32).reshape(3, -1) for p in rows], axis=1).astype(np.int64)
-    out = [(np.concatenate([_opened(p[5], np.int64).reshape(2, -1) for p in rows], axis=1), np.concatenate([_opened(p[6], np.int32).reshape(2, -1) for p in rows], axis=1).astype(np.int64))]
+    who = np.stack((np.concatenate([np.cumsum(_opened(p[1], np.int64)) for p in rows]), np.concatenate([_opened(p[2], np.int32) for p in rows])))
+    at = np.concatenate([_opened(p[3], np.int32) for p in rows]).astype(np.int64)
+    n, ahead = np.concatenate([_opened(p[4], np.uint8).reshape(2, -1) for p in rows], axis=1).astype(np.int64)
+    done = np.stack((np.concatenate([np.cumsum(_opened(p[5], np.int64)) for p in rows]), np.concatenate([_opened(p[6], np.int32) for p in rows])))
+    out = [(done, np.concatenate([_opened(p[7], np.int32).reshape(2, -1) for p in rows], axis=1).astype(np.int64))]
     length = n + WINDOW - 1
-    begin = np.cumsum(length) - length
-    order, covered = _collapsed(gram, content, ids)
-    over = order[covered]
-    out.append((np.stack((ids[over], keys[over])), np.stack((at[over], length[over]))))
-    # different pieces of one gram: windows are compared, unless all are of one document
-    left = order[~covered]
-    g = gram[left]
-    first = np.flatnonzero(np.concatenate(([True], g[1:] != g[:-1]))) if len(g) else np.zeros(0, np.int64)
-    many = np.repeat(np.maximum.reduceat(ids[left], first) != np.minimum.reduceat(ids[left], first), np.diff(np.append(first, len(g)))) if len(g) else np.zeros(0, bool)
-    left = left[many]
-    if len(left):
-        number = np.repeat(np.arange(len(first)), np.diff(np.append(first, len(g))))[many]
-        start = ta.ranges(begin[left], n[left])  # windows, by where they stand in the text
-        piece = np.repeat(np.arange(len(left)), n[left])
-        # one group for each gram and each place of it in the window: only these can be equal
-        ahead = place[left][piece] - (start - begin[left][piece])
-        eights = _eights(text, ">u8")
-        depth = [min(8 * k, WINDOW - 8) for k in range(-(-WINDOW // 8))]
-        rows_, groups = radix_groups(lambda k, r: eights[start[r] + depth[k]], np.arange(len(start)), number[piece] * WINDOW + ahead, len(depth))
-        if len(rows_):
-            d = ids[left][piece[rows_]]
-            edge = np.flatnonzero(np.concatenate(([True], groups[1:] != groups[:-1])))
-            least = np.repeat(np.minimum.reduceat(d, edge), np.diff(np.append(edge, len(d))))
-            hit = np.sort(rows_[d > least])
-            if len(hit):  # neighbouring windows of a piece are one range
-                run = np.flatnonzero(np.concatenate(([True], (hit[1:] != hit[:-1] + 1) | (piece[hit[1:]] != piece[hit[:-1]]))))
-                count = np.diff(np.append(run, len(hit)))
-                p = left[piece[hit[run]]]
-                out.append((np.stack((ids[p], keys[p])), np.stack((at[p] + start[hit[run]] - begin[p], count + WINDOW - 1))))
+    edge = np.concatenate(([0], np.cumsum(length)))
+    begin = edge[:-1]
+    if len(n):
+        content = np.concatenate([_contents(hasher, text[edge[i] : edge[j]], begin[i:j] - edge[i], length[i:j], ahead[i:j], n[i:j]) for i, j in ta.slices(edge)])
+        order, covered = _collapsed(content, who[0])
+        over, left = order[covered], order[~covered]
+        out.append((who[:, over], np.stack((at[over], length[over]))))
+        # windows of different pieces of one gram are compared, some grams at a time
+        gram = _grams(text, begin[left] + ahead[left])
+        by = np.argsort(gram, kind="stable")
+        left, gram = left[by], gram[by]
+        first = np.flatnonzero(np.concatenate(([True], gram[1:] != gram[:-1])))
+        stop = np.append(first[1:], len(left))
+        total = np.concatenate(([0], np.cumsum(length[left])))
+        for i, j in ta.slices(np.concatenate(([0], total[stop])), SORTED):
+            own = left[first[i] : stop[j - 1]]
+            out += _repeated_windows(hasher, text[ta.ranges(begin[own], length[own])], np.repeat(np.arange(j - i), stop[i:j] - first[i:j]), who[:, own], at[own], n[own], ahead[own])
     return np.concatenate([a for a, _ in out], axis=1), np.concatenate([b for _, b in out], axis=1)
 
 
+def _grams(text: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """Hash of the gram at each place."""
+    load = lambda k: text[(place + k)[:, None] + np.arange(8)].view("<u8").ravel()
+    return ta.mixed(load(0) * np.uint64(0x9E3779B97F4A7C15) + load(GRAM - 8))
+
+
+def _repeated_windows(hasher, text, number, who, at, n, place):
+    """Ranges of windows of these pieces (number: their gram, in order) that stand in a document with a smaller id too."""
+    ids, length = who[0], n + WINDOW - 1
+    begin = np.cumsum(length) - length
+    start, piece = ta.ranges(begin, n), np.repeat(np.arange(len(n)), n)  # windows, by where they stand in the text
+    print_ = hasher.parts(hasher.prefix(text), start, start + WINDOW)
+    ordered = np.sort(print_)
+    again = ordered[1:][ordered[1:] == ordered[:-1]]
+    if not len(again):
+        return []
+    sieve = np.zeros(1 << 20, bool)
+    sieve[(again >> np.uint64(44)).astype(np.int64)] = True
+    maybe = np.flatnonzero(sieve[(print_ >> np.uint64(44)).astype(np.int64)])
+    k = np.minimum(np.searchsorted(again, print_[maybe]), len(again) - 1)
+    maybe = maybe[again[k] == print_[maybe]]
+    start, piece = start[maybe], piece[maybe]
+    eights = _eights(text, ">u8")
+    depth = [min(8 * k, WINDOW - 8) for k in range(-(-WINDOW // 8))]
+    rows, groups = radix_groups(lambda k, r: eights[start[r] + depth[k]], np.arange(len(start)), number[piece], len(depth))
+    if not len(rows):
+        return []
+    d = ids[piece[rows]]
+    edge = np.flatnonzero(np.concatenate(([True], groups[1:] != groups[:-1])))
+    least = np.repeat(np.minimum.reduceat(d, edge), np.diff(np.append(edge, len(d))))
+    hit = np.sort(rows[d > least])
+    if not len(hit):
+        return []
+    # neighbouring windows of a piece are one range
+    run = np.flatnonzero(np.concatenate(([True], (start[hit[1:]] != start[hit[:-1]] + 1) | (piece[hit[1:]] != piece[hit[:-1]]))))
+    count, p = np.diff(np.append(run, len(hit))), piece[hit[run]]
+    return [(who[:, p], np.stack((at[p] + start[hit[run]] - begin[p], count + WINDOW - 1)))]
+
+
 def _resolved(batches):
     """Rows of a bucket come one after another -> (id, h, ranges): sorted, joined ranges of each document, packed."""
 
@@ -233,7 +261,7 @@ def _resolved(batches):
         ranges = np.stack((what[0, a], ends), 1).astype(np.int32)
         cut = np.searchsorted(a, np.append(first, len(shift)))
         return pa.RecordBatch.from_arrays(
-            [pa.array(who[0, first]), pa.array(who[1, first]), pa.array([ranges[cut[k] : cut[k + 1]].tobytes() for k in range(len(first))], pa.binary())], names=["id", "h", "ranges"]
+            [pa.array(who[0, first]), pa.array(who[1, first].astype(np.int32)), pa.array([ranges[cut[k] : cut[k + 1]].tobytes() for k in range(len(first))], pa.binary())], names=["id", "h", "ranges"]
         )
 
     bucket, rows = None, []
@@ -249,13 +277,18 @@ def _resolved(batches):
         yield out
 
 
+def _short_hash(text):
+    """Tells texts of rows with one id apart."""
+    return F.shiftright(F.xxhash64(text.cast("string")), 33).cast("int")
+
+
 def covered_ranges(docs: DataFrame, key: str = "doc_id", text: str = "text", chunk: int = CHUNK) -> DataFrame:
     """id, h (hash of the text), ranges: packed starts and ends of covered bytes; a document may have several rows."""
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     buckets = parts * BUCKETS
-    given = docs.where(docs[key].isNotNull()).select(docs[key].cast("bigint").alias("id"), F.xxhash64(docs[text].cast("string")).alias("h"), F.coalesce(docs[text].cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") >= WINDOW)
+    given = docs.where(docs[key].isNotNull()).select(docs[key].cast("bigint").alias("id"), _short_hash(docs[text]).alias("h"), F.coalesce(docs[text].cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") >= WINDOW)
     shipped = given.mapInArrow(_shipped(buckets, chunk), "bucket int, parts array<binary>")
-    return shipped.repartitionById(parts, F.pmod("bucket", F.lit(parts)).cast("int")).sortWithinPartitions("bucket").mapInArrow(_resolved, "id bigint, h bigint, ranges binary")
+    return shipped.repartitionById(parts, F.pmod("bucket", F.lit(parts)).cast("int")).sortWithinPartitions("bucket").mapInArrow(_resolved, "id bigint, h int, ranges binary")
 
 
 def _joined(blobs: list) -> np.ndarray:
@@ -279,7 +312,7 @@ def _cut(data: bytes, ranges: np.ndarray) -> bytes:
 
 def _with_ranges(docs: DataFrame, key: str, text: str) -> DataFrame:
     found = covered_ranges(docs, key, text).groupBy("id", "h").agg(F.collect_list("ranges").alias("ml_ranges"))
-    own = docs.withColumn("ml_id", docs[key].cast("bigint")).withColumn("ml_h", F.xxhash64(docs[text].cast("string")))
+    own = docs.withColumn("ml_id", docs[key].cast("bigint")).withColumn("ml_h", _short_hash(docs[text]))
     return own.join(found.withColumnsRenamed({"id": "ml_id", "h": "ml_h"}), ["ml_id", "ml_h"], "left").drop("ml_id", "ml_h")
 
 
