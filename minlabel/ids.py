@@ -10,17 +10,17 @@ def dense_ids(keys: DataFrame, key: str, partitions: int | None = None) -> DataF
     """key and id 0..n-1 in the order of the keys: a range sort, one count for each partition to the driver, and offsets."""
     n = partitions or int(keys.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = keys.select(key).dropna().distinct().repartitionByRange(n, key).sortWithinPartitions(key)
-    local = dealt.withColumn("m", F.monotonically_increasing_id())
+    local = dealt.withColumn("_m", F.monotonically_increasing_id())
     from minlabel.session import checkpoint
 
-    local = checkpoint(local).select(key, F.shiftright("m", 33).cast("int").alias("p"), F.col("m").bitwiseAND(F.lit((1 << 33) - 1)).alias("k"))
-    counts = {r.p: r.n for r in local.groupBy("p").agg(F.count("*").alias("n")).collect()}  # as many rows as partitions
+    local = checkpoint(local).select(key, F.shiftright("_m", 33).cast("int").alias("_p"), F.col("_m").bitwiseAND(F.lit((1 << 33) - 1)).alias("_k"))
+    counts = {r._p: r.n for r in local.groupBy("_p").agg(F.count("*").alias("n")).collect()}  # as many rows as partitions
     offsets, total = [], 0
     for p in range(max(counts, default=-1) + 1):
         offsets.append(total)
         total += counts.get(p, 0)
     base = F.array(*[F.lit(x).cast("bigint") for x in offsets]) if offsets else F.array(F.lit(0).cast("bigint"))
-    return local.select(key, (F.get(base, F.col("p")) + F.col("k")).alias("id"))
+    return local.select(key, (F.get(base, F.col("_p")) + F.col("_k")).alias("id"))
 
 
 def encode_ids(df: DataFrame, columns: dict[str, str], mode: str = "dense") -> tuple[DataFrame, DataFrame]:
