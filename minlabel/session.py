@@ -41,6 +41,22 @@ def stored(df: DataFrame, name: str = "labels") -> DataFrame:
     return out
 
 
+class Scratch:
+    """Tables that are stored on the way to a result, to be removed together once the result itself is stored."""
+
+    def __init__(self):
+        self.held: list[DataFrame] = []
+
+    def stored(self, df: DataFrame, name: str = "labels") -> DataFrame:
+        self.held.append(stored(df, name))
+        return self.held[-1]
+
+    def clear(self) -> None:
+        for df in self.held:
+            discard(df)
+        self.held = []
+
+
 def discard(df: DataFrame) -> None:
     """Remove what stored() wrote for this very DataFrame, when nothing reads it any more."""
     if path := getattr(df, "_stored_at", None):
