@@ -1,23 +1,30 @@
 """Near-duplicate documents by ProbMinHash of weighted word shingles, banding and verification.
 
-A document is the weighted set of its shingles of WORDS words (a weight is how often a shingle occurs; a text of fewer
-words is one shingle). Each shingle sends a Poisson process of arrivals, at a rate equal to its weight, to the REGISTERS
-registers; a register keeps the shingle of its first arrival. Two documents agree in a register with the probability
-Jaccard of their weighted sets, which is the Jaccard index where all weights are equal. Arrivals are made up to the time
-by which all registers are likely to be filled (early termination); documents with an empty register go on, so the
-signatures are those of the endless processes.
+A document is the weighted set of its shingles of WORDS words (a weight is 1 and the logarithm of how often a shingle
+occurs; a text of fewer words is one shingle). Each shingle sends a Poisson process of arrivals, at a rate equal to its
+weight, to the REGISTERS registers; a register keeps the shingle of its first arrival. Two documents agree in a register
+with the probability Jaccard of their weighted sets, which is the Jaccard index where all weights are equal. Arrivals are
+made up to the time by which all registers are likely to be filled (early termination); documents with an empty register
+go on, so the signatures are those of the endless processes.
 
 Equal shingle sets are collapsed first, to the smallest id. The signatures of these representatives are cut into bands;
-representatives that share a band are candidates. In rounds, each band's bucket is linked to one leader, the pairs are
-verified on the shingles themselves, and connected components join what is linked; buckets go on with new leaders, and
-what is then not one component is tried pair by pair across components, but for pairs that the triangle inequality of
-the two distances rules out. So a group of g near copies costs about g pairs for each round, and no link between
-different texts is lost: pairs that are not tried lie in one component, or are too far from a common pivot.
+those that share a band with another are candidates, and their shingles are made anew. Among candidates an exact filter
+finds the buckets: in one order of all shingles (rarest first, by a table of counts of fixed size), two documents with a
+Jaccard index of THRESHOLD share one of the first shingles, as many as the threshold lets differ and one more. So a
+passage that many documents have in common brings them together only where it is most of them.
 
-A pair is linked if its Jaccard index, of sets or of weighted sets (probability Jaccard), is at least THRESHOLD.
+In rounds, each bucket has a leader of the component that has most of it, each document outside is compared with one
+leader, and connected components join what is linked; buckets go on with new leaders, and what is then not one component
+is compared pair by pair across components, but for pairs that the triangle inequality, or the places of the shared
+shingle in the two orders, rule out. So a group of g near
+copies costs about g comparisons for each round, and no link between different texts is lost: pairs that are not
+compared lie in one component, or cannot reach the threshold.
+
+A pair is linked if the Jaccard index of its shingle sets is at least THRESHOLD.
 
 Defined cases: null and empty texts have no shingles and are linked to nothing; a null id is left out of the result;
-rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; other columns are ignored.
+rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; other
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,14 +36,17 @@ from pyspark.sql import functions as F
 
 from minlabel.graph import Graph
 from minlabel.llm import text_arrays as ta
+from minlabel.llm.shared import Shared
 from minlabel.plans.engine import connected_components
-from minlabel.session import stored
+from minlabel.session import Scratch, stored
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
 REGISTERS = BANDS * ROWS
+#: Counters of the table that orders shingles.
+SLOTS = 1 << 16
 #: Star rounds before the pairs that are left are counted, and pairs that one round may try.
-STARS, PAIRS = 4, 20_000_000
+STARS, PAIRS = 3, 20_000_000
 
 
 def _uniform(h: np.ndarray) -> np.ndarray:
@@ -99,143 +109,147 @@ def signatures(doc: np.ndarray, grams: np.ndarray, weight: np.ndarray, n: int, m
     return kept.reshape(n, m)
 
 
-def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, content (hash of the weighted shingle set; null without words), bands, sh (sorted 32-bit shingles and weights, packed)."""
+def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", packed: bool = False) -> DataFrame:
+    """key, content (hash of the weighted shingle set; null without words), and bands, or if packed instead sh (its sorted 32-bit shingles)."""
 
     def run(batches):
         hasher, table = ta.Hasher(), ta.class_table("visible")
         for batch in batches:
             data, offsets = ta.byte_arrays(batch.column("text"))
-            content, bands, packed = [], [], []
+            content, out = [], []
             for i, j in ta.slices(offsets, 1 << 20):
                 n = j - i
                 doc, grams, weight = shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], hasher, table)
-                sig = signatures(doc, grams, weight, n)
                 cut = np.searchsorted(doc, np.arange(n + 1))
                 mixed = np.concatenate((np.zeros(1, np.uint64), np.cumsum(ta.mixed(grams + ta.mixed(weight.astype(np.uint64))))))
                 whole = ta.mixed(mixed[cut[1:]] - mixed[cut[:-1]]).view(np.int64).tolist()
-                rows = sig.reshape(n, BANDS, ROWS)
+                content += [h if x < y else None for h, x, y in zip(whole, cut[:-1].tolist(), cut[1:].tolist())]
+                if packed:
+                    high = (grams >> np.uint64(32)).astype(np.uint32)
+                    out += [np.unique(high[x:y]).tobytes() for x, y in zip(cut[:-1].tolist(), cut[1:].tolist())]
+                    continue
+                rows = signatures(doc, grams, 1 + np.log(weight), n).reshape(n, BANDS, ROWS)
                 codes = np.zeros((n, BANDS), np.uint64)
                 for r in range(ROWS):
                     codes = ta.mixed(codes * np.uint64(0x9E3779B97F4A7C15) + rows[:, :, r])
                 codes = ta.mixed(codes + np.arange(BANDS, dtype=np.uint64)).view(np.int64).tolist()
-                for k in range(n):
-                    a, b = cut[k], cut[k + 1]
-                    content.append(whole[k] if b > a else None)
-                    bands.append(codes[k] if b > a else [])
-                    packed.append(pack((grams[a:b] >> np.uint64(32)).astype(np.uint32), weight[a:b]))
-            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(content, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(packed, pa.binary())], names=["key", "content", "bands", "sh"])
+                out += [c if x < y else [] for c, x, y in zip(codes, cut[:-1].tolist(), cut[1:].tolist())]
+            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(content, pa.int64()), pa.array(out, pa.binary() if packed else pa.list_(pa.int64()))], names=["key", "content", "sh" if packed else "bands"])
 
     given = docs.select(docs[key].alias("key"), docs[text].cast("string").alias("text")).where("key is not null")
-    return given.mapInArrow(run, f"key {given.schema['key'].dataType.simpleString()}, content bigint, bands array<bigint>, sh binary")
-
-
-def pack(grams: np.ndarray, weight: np.ndarray) -> bytes:
-    """Sorted 32-bit shingles; then the place and weight of those that occur more than once."""
-    more = np.flatnonzero(weight > 1)
-    return np.concatenate(([np.uint32(len(grams))], grams, more.astype(np.uint32), np.minimum(weight[more], 0xFFFFFFFF).astype(np.uint32))).astype(np.uint32).tobytes()
-
-
-def unpack(held: bytes) -> tuple[np.ndarray, np.ndarray]:
-    x = np.frombuffer(held, np.uint32)
-    n = int(x[0])
-    grams, rest = x[1 : n + 1], x[n + 1 :]
-    weight = np.ones(n)
-    weight[rest[: len(rest) // 2]] = rest[len(rest) // 2 :]
-    return grams, weight
-
-
-def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> tuple[float, float]:
-    """Jaccard index of the sets, and probability Jaccard of the weighted sets."""
-    (ga, wa), (gb, wb) = a, b
-    if not len(ga) or not len(gb):
-        return 0.0, 0.0
-    at = np.minimum(np.searchsorted(gb, ga), len(gb) - 1)
-    same = gb[at] == ga
-    both = int(same.sum())
-    jaccard = both / (len(ga) + len(gb) - both)
-    if jaccard >= THRESHOLD or not both:
-        return jaccard, jaccard
-    if wa.max() == wb.max() == 1:
-        return jaccard, jaccard
-    x, y = wa[same], wb[at[same]]
-    # for each common shingle the sum over all of max(wa / x, wb / y); with ratios sorted it takes prefix sums
-    ratio = np.concatenate((wa[same] / wb[at[same]], np.full(len(ga) - both, np.inf), np.zeros(len(gb) - both)))
-    rest = np.ones(len(gb), bool)
-    rest[at[same]] = False
-    pa_, pb = np.concatenate((wa[same], wa[~same], np.zeros(len(gb) - both))), np.concatenate((wb[at[same]], np.zeros(len(ga) - both), wb[rest]))
-    order = np.argsort(ratio, kind="stable")
-    ra, ca, cb = ratio[order], np.cumsum(pa_[order][::-1])[::-1], np.concatenate(([0.0], np.cumsum(pb[order])))
-    k = np.searchsorted(ra, x / y, "left")  # from here on wa / x is the larger
-    upper = np.append(ca, 0.0)[k] / x
-    return jaccard, float((1 / (upper + cb[k] / y)).sum())
+    return given.mapInArrow(run, f"key {given.schema['key'].dataType.simpleString()}, content bigint, " + ("sh binary" if packed else "bands array<bigint>"))
+
+
+def similarity(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard index of two sorted arrays of different numbers."""
+    if not len(a) or not len(b):
+        return 0.0
+    both = int((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).sum())
+    return both / (len(a) + len(b) - both)
+
+
+def _shingles_of(buffer) -> np.ndarray:
+    return np.frombuffer(buffer, np.uint32)
+
+
+def _slot_counts(batches):
+    """Shingles of a part, counted by slot."""
+    counts = np.zeros(SLOTS, np.int64)
+    for batch in batches:
+        for x in batch.column("sh"):
+            counts += np.bincount(_shingles_of(x.as_buffer()) % SLOTS, minlength=SLOTS)
+    some = np.flatnonzero(counts)
+    yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(counts[some])], names=["slot", "n"])
+
+
+def first_shingles(held: DataFrame, threshold: float) -> DataFrame:
+    """key, size, place, token: of each document the rarest shingles, of which near-duplicates have one in common, and their places in the order."""
+    table = np.zeros(SLOTS, np.int64)
+    for r in held.select("sh").mapInArrow(_slot_counts, "slot int, n bigint").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():  # SLOTS rows at most
+        table[r.slot] = r.n
+    counts = Shared(held.sparkSession.sparkContext, table)
+
+    def run(batches):
+        for batch in batches:
+            tokens = []
+            for x in batch.column("sh"):
+                own = _shingles_of(x.as_buffer())
+                size = len(own) - int(np.ceil(threshold * len(own) - 1e-9)) + 1
+                order = np.lexsort((own, counts.value[own % SLOTS]))
+                tokens.append(own[order[:size]].astype(np.int64))
+            sizes = pa.array([len(_shingles_of(x.as_buffer())) for x in batch.column("sh")], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("key"), sizes, pa.array(tokens, pa.list_(pa.int64()))], names=["key", "size", "tokens"])
+
+    kind = held.schema["key"].dataType.simpleString()
+    return held.select("key", "sh").mapInArrow(run, f"key {kind}, size bigint, tokens array<bigint>").select("key", "size", F.posexplode("tokens").alias("place", "token"))
 
 
 def compared(pairs: DataFrame, held: DataFrame) -> DataFrame:
-    """a, b, and the similarities of each pair of representatives: j of the sets, p of the weighted sets (or j, where that already links them); held: key, sh."""
+    """a, b, and the Jaccard index j of each pair of representatives; held: key, sh."""
     first = pairs.join(held.select(F.col("key").alias("a"), F.col("sh").alias("sa")), "a")
     rows = first.join(held.select(F.col("key").alias("b"), F.col("sh").alias("sb")), "b").select("a", "b", "sa", "sb")
     kind = rows.schema["a"].dataType.simpleString()
 
     def run(batches):
-        last = (None, None)
         for batch in batches:
-            out = []
-            for x, y in zip(batch.column("sa"), batch.column("sb")):
-                y = y.as_buffer()
-                if last[0] is None or not last[0].equals(y):  # rows of one leader come together
-                    last = (y, unpack(y))
-                out.append(similarity(unpack(x.as_buffer()), last[1]))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array([o[0] for o in out], pa.float64()), pa.array([o[1] for o in out], pa.float64())], names=["a", "b", "j", "p"])
+            j = [similarity(_shingles_of(x.as_buffer()), _shingles_of(y.as_buffer())) for x, y in zip(batch.column("sa"), batch.column("sb"))]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(j, pa.float64())], names=["a", "b", "j"])
 
-    return rows.mapInArrow(run, f"a {kind}, b {kind}, j double, p double")
+    return rows.mapInArrow(run, f"a {kind}, b {kind}, j double")
 
 
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """key, class_id (smallest id of the class) and representative (smallest id with the same shingles) of every row's id."""
-    held = stored(sketches(docs, key, text), "sketches")
+    scratch = Scratch()
+    held = scratch.stored(sketches(docs, key, text), "sketches")
     # the smallest id of each content stands for it; its row is found again by the id, so hot contents move no sketches
-    first = stored(held.where("content is not null").groupBy("content").agg(F.min("key").alias("representative")), "contents")
-    alone = held.select("key", "content", "bands").join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi")
+    first = scratch.stored(held.where("content is not null").groupBy("content").agg(F.min("key").alias("representative")), "contents")
+    alone = held.join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi")
     members = held.select("key", "content").join(first, "content", "left").select("key", F.coalesce("representative", "key").alias("representative"))
     banded = alone.select("key", F.explode("bands").alias("band"))
     full = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band")
-    buckets = stored(banded.join(full, "band", "left_semi").distinct(), "buckets")
-    # shingles are moved once, and only those of representatives that share a band are kept
-    wanted = held.select("key", "content", "sh").join(buckets.select("key").distinct(), "key", "left_semi")
-    wanted = stored(wanted.groupBy("key").agg(F.min_by("sh", "content").alias("sh")), "shingles")
+    candidates = banded.join(full, "band", "left_semi").select("key").distinct()
+    some = docs.select(docs[key].alias("key"), docs[text].alias("text")).join(candidates, "key", "left_semi")
+    wanted = scratch.stored(sketches(some, "key", "text", True).groupBy("key").agg(F.min_by("sh", "content").alias("sh")), "shingles")
+    tokens = scratch.stored(first_shingles(wanted, threshold), "tokens")
+    full = tokens.groupBy("token").agg(F.count("*").alias("n")).where("n > 1").select(F.col("token").alias("band"))
+    buckets = scratch.stored(tokens.withColumnRenamed("token", "band").join(full, "band", "left_semi"), "buckets")
     labels = links = pivots = None
     k, parts = 0, None
     while parts is None or k < STARS + parts:
         now = buckets.withColumn("label", F.col("key")) if labels is None else buckets.join(labels.select(F.col("id").alias("key"), "label"), "key", "left").withColumn("label", F.coalesce("label", "key"))
         # a bucket's leader is of the component that has most of it, so only the rest is tried
-        rank = F.xxhash64("key", F.lit(k))
-        per = now.groupBy("band", "label").agg(F.count("*").alias("c"), F.min(F.struct(rank.alias("rank"), "key")).alias("first"))
-        spread = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("c", (-F.col("first.rank")).alias("rank"), F.col("first.key").alias("leader"), F.col("label").alias("own"))).alias("top")).where("labels > 1").select("band", "top.*")
-        open_ = stored(now.join(spread.select("band", "leader", "own", "rank"), "band"), "open")
+        # first the document that has the bucket's shingle earliest (least of its own comes before), then one at random
+        rank = F.col("place").cast("bigint") if k == 0 else F.xxhash64("key", F.lit(k))
+        per = now.groupBy("band", "label").agg(F.count("*").alias("c"), F.min(F.struct(rank.alias("rank"), F.xxhash64("key").alias("hash"), "key")).alias("first"))
+        spread = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("c", (-F.col("first.rank")).alias("rank"), (-F.col("first.hash")).alias("hash"), F.col("first.key").alias("leader"), F.col("label").alias("own"))).alias("top")).where("labels > 1").select("band", "top.*")
+        open_ = scratch.stored(now.join(spread.select("band", "leader", "own", "rank", "hash"), "band"), "open")
         if open_.isEmpty():
             break
         if k < STARS:  # each document with one leader, the first by rank, which is that of most of its buckets in a group of near copies
-            pairs = open_.where("label <> own").groupBy("key").agg(F.max_by("leader", F.struct("rank", "leader")).alias("leader"))
+            pairs = open_.where("label <> own").groupBy("key").agg(F.max_by("leader", F.struct("rank", "hash", "leader")).alias("leader"))
         else:  # the pairs across components that are left, in parts of about PAIRS
             if parts is None:
                 sizes = open_.groupBy("band", "label").agg(F.count("*").alias("c")).groupBy("band").agg(F.sum("c").alias("n"), F.sum(F.expr("c * c")).alias("within"))
                 parts = max(1, -(-int(sizes.agg(F.sum(F.expr("(n * n - within) / 2"))).first()[0] or 0) // PAIRS))
-            # both similarities give distances that keep the triangle inequality: from a common pivot they rule pairs out
-            placed = open_.select("band", "key", "label").join(pivots, "key", "left")
-            other = placed.where(F.pmod(F.xxhash64("key"), F.lit(parts)) == k - STARS).select("band", *[F.col(c).alias(f"o_{c}") for c in ("key", "label", "pivot", "j", "p")])
-            far = F.expr(f"coalesce(pivot = o_pivot and abs(j - o_j) > {1 - threshold + 1e-9!r}D and abs(p - o_p) > {1 - threshold + 1e-9!r}D, false)")
-            pairs = placed.join(other, "band").where("label <> o_label and (key < o_key or pmod(xxhash64(key), {0}) <> {1})".format(parts, k - STARS)).where(~far).select("key", F.col("o_key").alias("leader"))
+            # Jaccard distances keep the triangle inequality: those from a common pivot rule pairs out
+            placed = open_.select("band", "key", "label", "size", "place").join(pivots, "key", "left")
+            other = placed.where(F.pmod(F.xxhash64("key"), F.lit(parts)) == k - STARS).select("band", *[F.col(c).alias(f"o_{c}") for c in ("key", "label", "size", "place", "pivot", "j")])
+            far = F.expr(f"coalesce(pivot = o_pivot and abs(j - o_j) > {1 - threshold + 1e-9!r}D, false)")
+            pairs = placed.join(other, "band").where("label <> o_label and (key < o_key or pmod(xxhash64(key), {0}) <> {1})".format(parts, k - STARS)).where(~far)
+            # the first shingle in common leaves both enough to reach the threshold
+            need = F.lit(threshold / (1 + threshold) - 1e-9) * (F.col("size") + F.col("o_size"))
+            pairs = pairs.where((F.col("size") - F.col("place") >= need) & (F.col("o_size") - F.col("o_place") >= need)).select("key", F.col("o_key").alias("leader"))
         tried = pairs.select(F.greatest("key", "leader").alias("a"), F.least("key", "leader").alias("b")).distinct()
         if links is not None:
             tried = tried.join(seen, ["a", "b"], "left_anti")
-        new = stored(compared(tried, wanted), "compared")
+        new = scratch.stored(compared(tried, wanted), "compared")
         seen = new.select("a", "b") if links is None else seen.unionByName(new.select("a", "b"))
-        linked = new.where(f"greatest(j, p) >= {threshold}").select("a", "b")
+        linked = new.where(f"j >= {threshold}").select("a", "b")
         links = linked if links is None else links.unionByName(linked)
         if k == 0:
             lead = pairs.join(new, (F.greatest("key", "leader") == F.col("a")) & (F.least("key", "leader") == F.col("b")))
-            pivots = stored(lead.select("key", F.col("leader").alias("pivot"), "j", F.when(F.col("j") < threshold, F.col("p")).alias("p")), "pivots")
+            pivots = scratch.stored(lead.select("key", F.col("leader").alias("pivot"), "j"), "pivots")
         k += 1
         if not linked.isEmpty():
             ends = links.select(F.col("b").cast("bigint").alias("src"), F.col("a").cast("bigint").alias("dst")).distinct()
@@ -244,7 +258,9 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold:
         members = members.join(labels.select(F.col("id").alias("representative"), "label"), "representative", "left").select("key", "representative", F.coalesce("label", "representative").alias("class_id"))
     else:
         members = members.withColumn("class_id", F.col("representative"))
-    return members.groupBy("key").agg(F.min("class_id").alias("class_id"), F.min("representative").alias("representative")).withColumnRenamed("key", key)
+    out = stored(members.groupBy("key").agg(F.min("class_id").alias("class_id"), F.min("representative").alias("representative")).withColumnRenamed("key", key), "classes")
+    scratch.clear()
+    return out
 
 
 def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
