@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from minlabel.llm import text_arrays as ta
 
-WINDOW, GRAM = 50, 10
+WINDOW, GRAM = 50, 8
 #: Bytes of text whose pieces a map task collapses together, and buckets for each shuffle partition.
 #: Bytes of pieces of a bucket whose windows are sorted at once (more if those of one gram are more).
 CHUNK, BUCKETS, SORTED = 16 << 20, 2, 4 << 20
@@ -122,7 +122,7 @@ def _map_chunk(ids, keys, data, offsets, hasher, buckets):
         own, done = ship[slice(*np.searchsorted(b_ship, [b, b + 1]))], over[slice(*np.searchsorted(b_over, [b, b + 1]))]
         length = n[own] + WINDOW - 1
         yield b, [
-            _sealed(data[ta.ranges(at[own], length)], 3), _sealed(np.diff(ids[doc[own]], prepend=0)), _sealed(keys[doc[own]]), _sealed(inside[own].astype(np.int32)),
+            _sealed(data[ta.ranges(at[own], length)], 5), _sealed(np.diff(ids[doc[own]], prepend=0)), _sealed(keys[doc[own]]), _sealed(inside[own].astype(np.int32)),
             _sealed(np.stack((n[own], ahead[own])).astype(np.uint8)), _sealed(np.diff(ids[doc[done]], prepend=0)), _sealed(keys[doc[done]]), _sealed(np.stack((inside[done], n[done] + WINDOW - 1)).astype(np.int32)),
         ]
 

@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Texts are worked on in slices of about so many bytes, so that a task's memory does not follow the batch.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 _ODD = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
 
