@@ -11,13 +11,13 @@ from pyspark.sql import types as T
 from minlabel.plans.measures import component_sizes
 
 
-@pandas_udf("bigint")
+@pandas_udf(T.LongType())
 def component_min(v: pd.Series) -> int:
     """A grouped aggregate that the built-in min replaces everywhere but in its own test."""
     return int(v.min())
 
 
-@pandas_udf("bigint")
+@pandas_udf(T.LongType())
 def shifted_xor(v: pd.Series) -> pd.Series:
     """The last step of workloads.permuted, for 12 bits, on Arrow batches."""
     return v ^ (v // 64)
