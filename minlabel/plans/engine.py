@@ -44,7 +44,7 @@ class Options:
     applications: int = 1
     update: str = "sync"
     blocks: int | None = None
-    early_check: str = "eager"
+    early_check: str = "fused"  # eager scans the edges once more each round, fused finds out one scan late
     retire: bool = False
     contract_after: int | None = None
     max_iterations: int = 200
@@ -130,15 +130,18 @@ def _run(graph: Graph, method: str, orders, opts: Options, n: int) -> ComponentR
         last = out
         if old is not None:
             discard(old)
-        if opts.store is not None:
-            opts.store.save(k, labels)
         done, violations = seen.changed == 0, None
         if opts.early_check == "fused" and opts.update == "sync" and opts.applications == 1:
-            done, violations = seen.open == 0, seen.open  # of the state before
-        elif opts.early_check == "eager" and not done:
+            if not seen.open:  # the labels were final before this round, which therefore does not count
+                k -= 1
+                break
+            done, violations = False, seen.open  # of the state before
+        elif opts.early_check != "off" and not done:
             passes += 1
             done = settled(directed, labels)
             violations = 0 if done else None
+        if opts.store is not None:
+            opts.store.save(k, labels)
         trace.append((graph.name, method, k, h, seen.changed, violations, edge_rows, time.perf_counter() - began))
         if done:
             break

@@ -65,7 +65,7 @@ def communication(spark: SparkSession, sf_dir: str, graphs: list[str], methods:
 def ablation(spark: SparkSession, sf_dir: str, graph: str) -> DataFrame:
     """Synchronous, chained and block-asynchronous updates, and the early check off, fused and eager."""
     g, rows = WORKLOADS[graph].build(spark, sf_dir), []
-    for method, options in (("sync2", {}), ("order2", {"early_check": "off"}), ("order2", {"early_check": "fused"}), ("order2", {}), ("chained", {}), ("block_async", {}), ("order2", {"retire": True})):
+    for method, options in (("sync2", {}), ("order2", {"early_check": "off"}), ("order2", {"early_check": "fused"}), ("order2", {"early_check": "eager"}), ("chained", {}), ("block_async", {}), ("order2", {"retire": True})):
         began = time.perf_counter()
         r = connected_components(g, method, **options)
         rows.append((graph, method, str(options), r.iterations, r.edge_passes, time.perf_counter() - began))
