@@ -85,28 +85,30 @@ def graph_stats(g: Graph, sweep: bool = True) -> dict:
     return {"n": d.n, "m": g.edges.count(), "max_degree": d.most or 0, "mean_degree": d.mean or 0.0, "diameter_lb": diameter(g) if sweep and d.n else 0}
 
 
+def diameters(g: Graph, labels: DataFrame, most: int = 10_000) -> DataFrame:
+    """component and a lower bound of its diameter, by two sweeps of breadth-first search in all components at once: from the smallest id, then from a vertex that is farthest from it."""
+    first = _sweep(g, labels.where("id = label").select("id", F.col("label").alias("component")), most)
+    return _sweep(g, first.select("id", "component"), most).select("component", "diameter")
+
+
 def diameter(g: Graph, most: int = 10_000) -> int:
-    """Lower bound of the largest component's diameter, by two sweeps of breadth-first search."""
-    hub = degrees(g.edges).orderBy(F.desc("degree"), "id").first()
-    if hub is None:
-        return 0
-    far, _ = _sweep(g, hub.id, most)
-    return _sweep(g, far, most)[1]
-
-
-def _sweep(g: Graph, start: int, most: int) -> tuple[int, int]:
-    spark = g.edges.sparkSession
-    directed = g.prepared(int(spark.conf.get("spark.sql.shuffle.partitions")))
-    seen = frontier = stored(spark.createDataFrame([(start,)], "id bigint"))
-    last, depth = start, 0
-    while depth < most:
-        new = stored(directed.join(frontier.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id")).distinct().join(seen, "id", "left_anti"))
-        row = new.agg(F.min("id").alias("id")).first()
-        if row.id is None:
+    """Lower bound of the largest diameter of a component."""
+    from minlabel.plans.engine import connected_components
+
+    return diameters(g, connected_components(g, "order2").labels, most).agg(F.max("diameter")).first()[0] or 0
+
+
+def _sweep(g: Graph, starts: DataFrame, most: int) -> DataFrame:
+    """component, diameter (hops to the last vertex that is reached) and id (the smallest one at that distance), from one start in each component."""
+    directed = g.prepared(int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    seen = frontier = stored(starts.withColumn("depth", F.lit(0)))
+    for depth in range(1, most + 1):
+        near = directed.join(frontier.select(F.col("id").alias("src"), "component"), "src").groupBy(F.col("dst").alias("id")).agg(F.first("component").alias("component"))
+        frontier = stored(near.join(seen.select("id"), "id", "left_anti").withColumn("depth", F.lit(depth)))
+        if frontier.isEmpty():
             break
-        last, depth, frontier = row.id, depth + 1, new
-        seen = stored(seen.unionByName(new)) if depth % 8 == 0 else seen.unionByName(new)
-    return last, depth
+        seen = stored(seen.unionByName(frontier)) if depth % 8 == 0 else seen.unionByName(frontier)
+    return seen.groupBy("component").agg(F.max("depth").alias("diameter"), F.max_by("id", F.struct("depth", -F.col("id"))).alias("id"))
 
 
 def violations(g: Graph, labels: DataFrame) -> DataFrame:

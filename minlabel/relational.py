@@ -11,14 +11,22 @@ QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
 
-def query(sql: str | None = None):
-    def keep(f):
-        QUERIES[f.__name__] = f
-        if sql:
-            ORACLES[f.__name__] = sql
-        return f
-
-    return keep
+def registrar(queries: dict, oracles: dict[str, str]):
+    """A decorator that keeps a query by its name, with its SQL if there is one."""
+
+    def query(sql: str | None = None):
+        def keep(f):
+            queries[f.__name__] = f
+            if sql:
+                oracles[f.__name__] = sql
+            return f
+
+        return keep
+
+    return query
+
+
+query = registrar(QUERIES, ORACLES)
 
 
 def _t(spark: SparkSession, d: str, *names: str):

@@ -2,7 +2,7 @@
 
 import pytest
 
-from minlabel import catalog, relational
+from minlabel import catalog, relational, reports
 from tests.conftest import SMALL, SMOKE
 from tests.helpers import same
 
@@ -35,6 +35,16 @@ def test_reports(spark, name):
     same(spark, QUERIES[name], ORACLES[name], SMOKE)
 
 
+@pytest.mark.parametrize("name", sorted(reports.ORACLES))
+def test_measures(spark, name):
+    same(spark, QUERIES[name], ORACLES[name], SMOKE)
+
+
+@pytest.mark.parametrize("name", sorted(set(reports.QUERIES) - set(reports.ORACLES)))
+def test_measures_without_sql(spark, name):
+    assert QUERIES[name](spark, SMOKE).count() > 0
+
+
 def test_entry(spark):
     assert catalog.entry(spark, SMOKE).count() > 0
 
