@@ -26,6 +26,8 @@ from minlabel.session import stored
 #: Share of good documents that may go, and probability of exceeding it anywhere.
 RISK, LEVEL = 0.05, 0.05
 MIN_WORDS, MAX_REPEAT_PERCENT = 50, 50
+#: Labelled good documents whose ids may be broadcast.
+FEW_IDS = 1_000_000
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 #: Badness of a document on a scale, 0 to 100, from the base measures; larger is worse.
 SCALES = {
@@ -132,7 +134,9 @@ def quality_report(docs: DataFrame, labels: DataFrame, by: str = "lang") -> Data
 
 def keep_good(docs: DataFrame, labels: DataFrame, by: str = "lang") -> DataFrame:
     """The rows of docs that are kept, with their columns as they were."""
-    labelled = docs.select("doc_id", "text", by).join(labels.where(F.col("quality") == 1).select("doc_id"), "doc_id", "left_semi")
+    good, labelled = labels.where(F.col("quality") == 1).select("doc_id"), docs.select("doc_id", "text", by)
+    if good.limit(FEW_IDS + 1).count() <= FEW_IDS:  # then only labelled texts are measured; otherwise all are, and no text is moved to its label
+        labelled = labelled.join(F.broadcast(good), "doc_id", "left_semi")
     limits = stored(cutoffs(stored(measures(labelled).drop("text"), "quality"), labels, by=by), "limits")
     return judged(measures(docs), limits, by).where("ml_kept").select(*[F.col(f"`{c}`") for c in docs.columns])
 

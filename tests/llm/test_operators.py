@@ -76,6 +76,15 @@ def test_quality_odd(odd, labels):
     assert got[4].n_words == 20_000 and got[8].n_words == 1
 
 
+def test_quality_many_labels(spark, monkeypatch):
+    """Kept documents are those of the report, whether label ids are broadcast or all texts are measured."""
+    docs, labels = table(spark, SMALL, "documents"), table(spark, SMALL, "labels")
+    kept = {r.doc_id for r in quality_rules.quality_report(docs, labels).where("kept").collect()}
+    assert kept == {r.doc_id for r in quality_rules.keep_good(docs, labels).collect()}
+    monkeypatch.setattr(quality_rules, "FEW_IDS", 3)
+    assert kept == {r.doc_id for r in quality_rules.keep_good(docs, labels).collect()}
+
+
 def test_tokens_like_the_library(spark):
     import public_tokenizers
     from tokenizers import Tokenizer
