@@ -163,6 +163,19 @@ def test_near_duplicates(spark):
     assert got == want
 
 
+def test_near_duplicates_with_repeated_lines(spark):
+    """Pairs with a plain Jaccard index over 0.8, of which one text repeats a line 1000 times."""
+    docs = []
+    for k in range(40):
+        base, line = " ".join(f"p{k}x{i}" for i in range(64)), " ".join(f"l{k}x{i}" for i in range(10))
+        docs += [(2 * k, base + (f" {line}" if k % 2 else "")), (2 * k + 1, base + f" {line}" * 1000)]
+    bands = {r.key: set(r.bands) for r in near_duplicates.sketches(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    words = {i: t.split() for i, t in docs}
+    sets = {i: {tuple(w[j : j + 5]) for j in range(len(w) - 4)} for i, w in words.items()}
+    assert all(len(sets[i] & sets[i + 1]) >= 0.8 * len(sets[i] | sets[i + 1]) for i in range(0, 80, 2))
+    assert [i for i in range(0, 80, 2) if not bands[i] & bands[i + 1]] == []
+
+
 def test_signatures_estimate():
     import numpy as np
 
