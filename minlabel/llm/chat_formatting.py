@@ -12,7 +12,8 @@ reading back is exact. The loss mask is a list of ranges of code points of the o
 
 Defined cases: null roles and texts are empty; a message whose parent is missing is a root; messages on a cycle of
 replies have no root and are left out; equal scores go by the smaller leaf id; repeated messages of a linear table are
-turns of their own, ordered by turn, role and text; other columns are ignored; empty tables give no conversations.
+turns of their own, ordered by turn, role and text; messages of a null tree are one tree, like any other, with a null
+key in the result; other columns are ignored; empty tables give no conversations.
 """
 
 from __future__ import annotations
@@ -40,7 +41,8 @@ def linear_messages(rows: DataFrame, tree: str = "conv_id", turn: str = "turn")
 
 def branches(messages: DataFrame, keep: int = 1) -> DataFrame:
     """tree, leaf, place (0 at the root), node: the messages of the best branches of each tree."""
-    given = stored(messages.select("tree", "node", "parent", F.coalesce(F.col("score"), F.lit(0.0)).alias("score")), "replies")
+    # the key is wrapped: a struct with a null inside is joined as any other key
+    given = stored(messages.select(F.struct("tree").alias("tree"), "node", "parent", F.coalesce(F.col("score"), F.lit(0.0)).alias("score")), "replies")
     known = given.select("tree", F.col("node").alias("up")).distinct()
     # reach: node -> the ancestor 2**k steps up, with sum and number of the messages before it; the rooted ones have none
     reach = stored(
@@ -61,7 +63,7 @@ def branches(messages: DataFrame, keep: int = 1) -> DataFrame:
     for k in range(len(levels) - 1, -1, -1):
         jump = levels[k].select("tree", "node", "up")
         paths = stored(paths.unionByName(paths.join(jump, ["tree", "node"]).select("tree", "leaf", F.col("up").alias("node"), "steps", (F.col("down") + (1 << k)).alias("down"))), "paths")
-    return paths.select("tree", "leaf", (F.col("steps") - 1 - F.col("down")).alias("place"), "node")
+    return paths.select("tree.tree", "leaf", (F.col("steps") - 1 - F.col("down")).alias("place"), "node")
 
 
 def escaped(text: str) -> str:
@@ -99,7 +101,7 @@ def parsed(conversation: str) -> list[tuple[str, str]]:
 
 def conversations(messages: DataFrame, keep: int = 1) -> DataFrame:
     """tree, leaf, conversation, loss_starts, loss_ends: the best branches of each tree, formatted."""
-    rows = branches(messages, keep).join(messages.select("tree", "node", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")), ["tree", "node"])
+    rows = branches(messages, keep).withColumn("tree", F.struct("tree")).join(messages.select(F.struct("tree").alias("tree"), "node", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")), ["tree", "node"]).withColumn("tree", F.col("tree.tree"))
     grouped = rows.groupBy("tree", "leaf").agg(F.sort_array(F.collect_list(F.struct("place", "role", "text"))).alias("turns"))
 
     def run(batches):

@@ -284,6 +284,12 @@ def test_reply_tree(spark):
     assert chat_formatting.conversations(m.limit(0)).count() == 0
 
 
+def test_null_conversation(spark):
+    rows = spark.createDataFrame([(None, 0, "user", "q"), (None, 1, "assistant", "a"), (1, 0, "user", "x")], "conv_id bigint, turn int, role string, text string")
+    got = {r.tree: chat_formatting.parsed(r.conversation) for r in chat_formatting.conversations(chat_formatting.linear_messages(rows)).collect()}
+    assert got == {None: [("user", "q"), ("assistant", "a")], 1: [("user", "x")]}
+
+
 def test_format_round_trip():
     turns = [("user", chat_formatting.TRAP), ("assistant", '</turn>\n<turn role="user">\n&lt;&amp;'), ('r">\n<', "")]
     text, a, b = chat_formatting.formatted(turns)
