@@ -24,7 +24,8 @@ LISTED = [w.name for w in WORKLOADS.values() if w.edges]
 
 def components(spark: SparkSession, sf_dir: str, graph: str, method: str, **options) -> DataFrame:
     w = WORKLOADS[graph]
-    return w.shown(connected_components(w.build(spark, sf_dir), method, **options).labels)
+    g = w.build(spark, sf_dir)
+    return w.shown(connected_components(g, method, **options).labels, g.names)
 
 
 def state(spark: SparkSession, sf_dir: str, order: int, rounds: int) -> DataFrame:

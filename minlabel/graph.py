@@ -30,6 +30,7 @@ class Graph:
     edges: DataFrame
     vertices: DataFrame
     name: str = ""
+    names: DataFrame | None = field(default=None, repr=False)  # id, shown: where vertices are shown by other numbers than their ids
     _directed: tuple[int, DataFrame] | None = field(default=None, repr=False)
 
     @classmethod

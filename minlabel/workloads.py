@@ -30,7 +30,10 @@ class Workload:
             return f"with l as ({body}) select id // 2 as {self.decoded}, min(id // 2) over (partition by label) as component from l where id % 2 = 0"
         return f"select cast(id as bigint) as id, cast(label as bigint) as label from ({body})"
 
-    def shown(self, labels: DataFrame) -> DataFrame:
+    def shown(self, labels: DataFrame, names: DataFrame | None = None) -> DataFrame:
+        if names is not None:
+            root = names.select(F.col("id").alias("label"), F.col("shown").alias("root"))
+            return labels.join(names, "id").join(root, "label").select(F.col("shown").alias("id"), F.col("root").alias("label"))
         if not self.decoded:
             return labels.select("id", "label")
         own = labels.where("id % 2 = 0").select(F.shiftright("id", 1).alias(self.decoded), "label")
@@ -152,9 +155,13 @@ def embedding_label(spark, d):
 
 
 def conversation_chain(spark, d):
-    turns = table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"))
-    nxt = turns.select((F.col("id") - 1).alias("id"), F.col("id").alias("dst"))
-    return G.Graph.from_edges(turns.join(nxt, "id").select(F.col("id").alias("src"), "dst"), turns, "conversation_chain")
+    """Each turn with the next of its conversation. Ids are the places of (conv_id, turn), so long conversations do not run into each other; turns are shown as conv_id * 1000 + turn."""
+    keyed = table(spark, d, "conversations").where("conv_id is not null and turn is not null").select(F.struct("conv_id", "turn").alias("k"))
+    placed = stored(dense_ids(keyed, "k").select("k.conv_id", "k.turn", "id"))
+    after = placed.select("conv_id", (F.col("id") - 1).alias("id"), F.col("id").alias("dst"))
+    g = G.Graph.from_edges(placed.join(after, ["conv_id", "id"]).select(F.col("id").alias("src"), "dst"), placed.select("id"), "conversation_chain")
+    g.names = placed.select("id", (F.col("conv_id").cast("bigint") * 1000 + F.col("turn")).alias("shown"))
+    return g
 
 
 def benchmark_doc(spark, d):

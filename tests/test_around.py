@@ -135,3 +135,12 @@ def test_stream_windows(spark, tmp_path):
     assert sorted(r.n for r in run(incremental.session_counts(read()), "s", "complete").collect()) == [1, 1, 2, 3]
     assert run(incremental.without_repeats(read()), "d").count() == 7
     assert (0, 1) in pairs(run(incremental.paired(read(), read()), "p"))
+
+
+def test_long_conversations_stay_apart(spark, tmp_path):
+    rows = [(1, t) for t in range(1003)] + [(2, t) for t in range(3)]
+    spark.createDataFrame(rows, "conv_id bigint, turn int").write.parquet(f"{tmp_path}/conversations.parquet")
+    from minlabel import catalog
+
+    got = [tuple(r) for r in catalog.components(spark, str(tmp_path), "conversation_chain", "union_find").collect()]
+    assert sorted(got) == sorted((c * 1000 + t, c * 1000) for c, t in rows)
