@@ -165,13 +165,16 @@ def conversation_chain(spark, d):
 
 
 def benchmark_doc(spark, d):
-    """Documents that contain a benchmark text: three inner words of the item are looked up among the document's, then the whole is compared."""
+    """Documents that contain a benchmark text: three inner words of the item are looked up among the document's, then the whole is compared. Items of fewer than five words have no inner ones and are compared with each document."""
     docs, items = table(spark, d, "documents"), table(spark, d, "benchmark")
     words = lambda c: F.split(c, r"\s+")
     grams = docs.select("doc_id", words("text").alias("w")).select("doc_id", F.expr("explode(array_distinct(transform(sequence(1, greatest(size(w) - 2, 1)), i -> xxhash64(get(w, i - 1), get(w, i), get(w, i + 1)))))").alias("g"))
     keys = items.withColumn("w", words("text")).where("size(w) >= 5").select("item_id", F.col("text").alias("item"), F.expr("xxhash64(w[1], w[2], w[3])").alias("g"))
+    short = items.withColumn("w", words("text")).where("size(w) < 5").select("item_id", F.col("text").alias("item"))
     found = grams.join(F.broadcast(keys) if items.count() <= 100_000 else keys, "g").select("doc_id", "item_id", "item").distinct()
-    pairs = found.join(docs.select("doc_id", "text"), "doc_id").where(F.col("text").contains(F.col("item")))
+    whole = docs.select("doc_id", "text")
+    pairs = found.join(whole, "doc_id").where(F.col("text").contains(F.col("item"))).select("doc_id", "item_id")
+    pairs = pairs.unionByName(whole.crossJoin(F.broadcast(short) if short.count() <= 100_000 else short).where(F.col("text").contains(F.col("item"))).select("doc_id", "item_id"))
     return G.bipartite_graph(pairs, "doc_id", "item_id", _ids(spark, d, "documents", "doc_id").union(_ids(spark, d, "benchmark", "item_id", 1)), "benchmark_doc")
 
 

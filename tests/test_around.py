@@ -144,3 +144,13 @@ def test_long_conversations_stay_apart(spark, tmp_path):
 
     got = [tuple(r) for r in catalog.components(spark, str(tmp_path), "conversation_chain", "union_find").collect()]
     assert sorted(got) == sorted((c * 1000 + t, c * 1000) for c, t in rows)
+
+
+def test_short_benchmark_items(spark, tmp_path):
+    docs, items = [(1, "a short text here"), (2, "one two three four five six seven"), (3, None)], [(1, "short text"), (2, "two three four five six"), (3, "sev"), (4, ""), (5, None), (6, "absent")]
+    spark.createDataFrame(docs, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(items, "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    from minlabel.workloads import benchmark_doc
+
+    got = {tuple(sorted(r)) for r in benchmark_doc(spark, str(tmp_path)).edges.collect()}
+    assert got == {tuple(sorted((d * 2, i * 2 + 1))) for d, t in docs for i, x in items if None not in (t, x) and x in t}
