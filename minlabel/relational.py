@@ -154,6 +154,17 @@ def interval_session_overlap(spark, d):
     return left.join(right, ["bin", "v"]).where("a <= b2 and a2 <= b").where(f"bin = greatest(a, a2) div {day}").groupBy("u", "v").agg(F.count("*").alias("n"))
 
 
+@query(f"select x.user_id as u, y.user_id as v, count(*) as n from ({_SESSIONS}) x join ({_SESSIONS}) y on x.user_id < y.user_id and x.a <= y.b and y.a <= x.b group by 1, 2")
+def session_overlap_all_users(spark, d):
+    """As interval_session_overlap, for all pairs of users."""
+    s = sessions(_t(spark, d, "events"))
+    day = 86_400_000_000
+    spread = s.select("user_id", "a", "b", F.explode(F.sequence(F.expr(f"a div {day}"), F.expr(f"b div {day}"))).alias("bin"))
+    left = spread.select("bin", "a", "b", F.col("user_id").alias("u"))
+    right = spread.select("bin", F.col("user_id").alias("v"), F.col("a").alias("a2"), F.col("b").alias("b2"))
+    return left.join(right, "bin").where("u < v and a <= b2 and a2 <= b").where(f"bin = greatest(a, a2) div {day}").groupBy("u", "v").agg(F.count("*").alias("n"))
+
+
 def sessions(events: DataFrame, hours: int = 6) -> DataFrame:
     """user_id, a, b (microseconds) of sessions: gaps and islands."""
     w = Window.partitionBy("user_id").orderBy("us", "event_id")

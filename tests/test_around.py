@@ -154,3 +154,10 @@ def test_short_benchmark_items(spark, tmp_path):
 
     got = {tuple(sorted(r)) for r in benchmark_doc(spark, str(tmp_path)).edges.collect()}
     assert got == {tuple(sorted((d * 2, i * 2 + 1))) for d, t in docs for i, x in items if None not in (t, x) and x in t}
+
+
+def test_sessions_of_distant_users_overlap(spark, tmp_path):
+    spark.sql("select * from values (1L, 1L, timestamp '2024-01-01 23:00:00'), (2L, 9L, timestamp '2024-01-01 22:00:00'), (3L, 9L, timestamp '2024-01-02 01:00:00'), (4L, 5L, timestamp '2024-03-01 00:00:00') t(event_id, user_id, ts)").write.parquet(f"{tmp_path}/events.parquet")
+    from minlabel import relational
+
+    assert [tuple(r) for r in relational.session_overlap_all_users(spark, str(tmp_path)).collect()] == [(1, 9, 1)]
