@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from minlabel import schemas
-from minlabel.session import checkpoint
+from minlabel.session import checkpoint, stored
 
 
 def canonical_edges(df: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
@@ -31,6 +31,9 @@ class Graph:
     vertices: DataFrame
     name: str = ""
     names: DataFrame | None = field(default=None, repr=False)  # id, shown: where vertices are shown by other numbers than their ids
+    raw: DataFrame | None = field(default=None, repr=False)  # the edges as given, with loops and repetitions but without nulls
+    given: DataFrame | None = field(default=None, repr=False)  # the vertices that were given beside the edges
+    _stored: DataFrame | None = field(default=None, repr=False)
     _directed: tuple[int, DataFrame] | None = field(default=None, repr=False)
 
     @classmethod
@@ -44,12 +47,21 @@ class Graph:
         ends = edges.select(F.explode(F.array(F.col("src").cast("bigint"), F.col("dst").cast("bigint"))).alias("id")).where("id is not null")
         if vertices is not None:
             ends = ends.unionByName(vertices.select(F.col("id").cast("bigint").alias("id")).where("id is not null"))
-        return cls(own, ends.distinct(), name)
+        raw = edges.select(F.col("src").cast("bigint").alias("src"), F.col("dst").cast("bigint").alias("dst"))
+        one_end = raw.where("src is null or dst is null").select(F.coalesce("src", "dst").alias("id")).where("id is not null")  # such a row has no edge, but a vertex
+        given = one_end if vertices is None else one_end.unionByName(vertices.select(F.col("id").cast("bigint").alias("id")).where("id is not null"))
+        return cls(own, ends.distinct(), name, raw=raw.dropna(), given=given)
+
+    def own_edges(self) -> DataFrame:
+        """The canonical edges, made once for the whole run."""
+        if self._stored is None:
+            self._stored = stored(self.edges, "edges")
+        return self._stored
 
     def prepared(self, partitions: int) -> DataFrame:
         """The directed view, dealt by src once for the whole run; rounds join it without moving it again."""
         if self._directed is None or self._directed[0] != partitions:
-            self._directed = partitions, checkpoint(directed_view(self.edges).repartition(partitions, "src"))
+            self._directed = partitions, checkpoint(directed_view(self.own_edges()).repartition(partitions, "src"))
         return self._directed[1]
 
 

@@ -5,6 +5,10 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 
+#: Edges that a block kernel holds at a time, parts of a block that see the labels which the parts before them have
+#: lowered, and hops that a part follows at most after all pointers of the block have been shortened.
+BLOCK_EDGES, PARTS, HOPS = 1 << 20, 64, 64
+
 
 class DisjointSets:
     """Union by smaller id, with path halving, over ids 0..n-1."""
@@ -38,32 +42,121 @@ def block_minima(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return ids, ids[np.array(sets.compress(), np.int64)] if len(ids) else ids
 
 
-def _rows(ids, least):
-    return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(least, pa.int64())], names=["id", "label"])
+def _rows(a, b, names=("id", "label")):
+    return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=list(names))
 
 
 def forest_kernel(limit: int):
-    """Edges of a partition -> (id, smallest id reached). Batches are folded into the forest one by one; it holds each touched id once."""
+    """Edges of a partition -> (id, smallest id reached). Edges are gathered until they are as many as the forest's, and then folded into it, so each is folded in about log(n) times; the forest holds each touched id once."""
 
     def run(batches):
         ids, least = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for b in batches:
-            a, c = b.column(0).to_numpy(), b.column(1).to_numpy()
-            ids, least = block_minima(np.concatenate([ids, a]), np.concatenate([least, c]))
-            if len(ids) > limit:
+        held, size = [], 0
+
+        def folded():
+            got = block_minima(np.concatenate([ids, *(a for a, _ in held)]), np.concatenate([least, *(b for _, b in held)]))
+            if len(got[0]) > limit:
                 raise ValueError(f"over {limit} ids meet in one task; use order2, which needs no such task")
+            return got
+
+        for batch in batches:
+            held.append((batch.column(0).to_numpy(), batch.column(1).to_numpy()))
+            size += batch.num_rows
+            if size >= max(BLOCK_EDGES, len(ids)):
+                ids, least = folded()
+                held, size = [], 0
+        if held:
+            ids, least = folded()
         if len(ids):
             yield _rows(ids, least)
 
     return run
 
 
-def relax_kernel(batches):
-    """Rows of ids that are connected (each column a vertex of the same component) -> lowered (id, label), batch by batch. Edges and pointers alike link ids, so a block settles at once."""
-    for b in batches:
-        columns = [c.to_numpy() for c in b.columns]
-        first = columns[0]
-        ids, least = block_minima(np.concatenate([first] * (len(columns) - 1)), np.concatenate(columns[1:]))
-        low = least < ids
-        if low.any():
-            yield _rows(ids[low], least[low])
+def min_map(labels: np.ndarray, a: np.ndarray, b: np.ndarray, order: int) -> None:
+    """Min-mapping of an order by the edges a-b in place: the smaller of the labels order hops away goes to both chains up to there."""
+    chains = [a, b]
+    x, y = labels[a], labels[b]
+    for _ in range(min(order, HOPS) - 1):
+        further = labels[x], labels[y]
+        chains += [x, y]
+        if (further[0] == x).all() and (further[1] == y).all():
+            break
+        x, y = further
+    least = np.minimum(x, y)
+    np.minimum.at(labels, np.concatenate(chains), np.tile(least, len(chains)))
+
+
+def sweep(labels: np.ndarray, a: np.ndarray, b: np.ndarray, order: int) -> None:
+    """One pass over the edges of a block, part by part, each seeing what the parts before it have lowered."""
+    for _ in range(max(order.bit_length() - 2, 0)):  # of orders over two, pointers are first followed over powers of two
+        far = labels[labels]
+        if (far == labels).all():
+            break
+        labels[:] = far
+    wide = max(16, -(-len(a) // PARTS))
+    for k in range(0, len(a), wide):
+        min_map(labels, a[k : k + wide], b[k : k + wide], order)
+
+
+def swept(a: np.ndarray, b: np.ndarray, labels: np.ndarray, order: int, sweeps: int) -> int:
+    """Sweeps of a block's edges, at most as many as given (0: until no edge joins two labels); how many there were."""
+    n = 0
+    while not n or (n != sweeps and (labels[a] != labels[b]).any()):
+        sweep(labels, a, b, order)
+        n += 1
+    return n
+
+
+def thinning_kernel(order: int, sweeps: int, limit: int = BLOCK_EDGES):
+    """Edges of a partition, block by block -> (id, down): an edge from each id to the smaller one that its label became, and those between labels that the sweeps left, each once; and a row without down for each id that some row is down to. They connect what the block's edges connect."""
+
+    def block(held):
+        src, dst = (np.concatenate(x) for x in zip(*held))
+        ids, place = np.unique(np.concatenate([src, dst]), return_inverse=True)
+        a, b = place[: len(src)], place[len(src) :]
+        labels = np.arange(len(ids))
+        swept(a, b, labels, order, sweeps)
+        x, y = labels[a], labels[b]
+        left = x != y
+        pairs = np.unique(np.maximum(x[left], y[left]) * len(ids) + np.minimum(x[left], y[left]))
+        low = np.flatnonzero(labels < np.arange(len(ids)))
+        loops = np.unique(src[src == dst])
+        one, two = np.concatenate([low, pairs // len(ids)]), np.concatenate([labels[low], pairs % len(ids)])
+        below = np.unique(two)
+        return pa.RecordBatch.from_arrays(
+            [pa.array(np.concatenate([ids[one], loops, ids[below]]), pa.int64()), pa.concat_arrays([pa.array(np.concatenate([ids[two], loops]), pa.int64()), pa.nulls(len(below), pa.int64())])], names=["id", "down"]
+        )
+
+    def run(batches):
+        held, size = [], 0
+        for batch in batches:
+            for at in range(0, batch.num_rows, limit):
+                part = batch.slice(at, limit)
+                held.append((part.column(0).to_numpy(), part.column(1).to_numpy()))
+                size += part.num_rows
+                if size >= limit:
+                    yield block(held)
+                    held, size = [], 0
+        if size:
+            yield block(held)
+
+    return run
+
+
+def cogrouped_kernel(order: int, sweeps: int):
+    """A block's edges (block, src, dst) and its ends' rows (block, id, label, far) -> (id, label) that the sweeps lowered. An end's pointer, and its pointer's, are part of the block, as order 2 and more lower them too."""
+
+    def run(edges: pa.Table, ends: pa.Table) -> pa.Table:
+        src, dst = (edges.column(c).to_numpy() for c in ("src", "dst"))
+        ids, label, far = (ends.column(c).to_numpy() for c in ("id", "label", "far"))
+        known = np.unique(np.concatenate([ids, label, far]))
+        labels = np.arange(len(known))
+        labels[np.searchsorted(known, label)] = np.searchsorted(known, far)
+        labels[np.searchsorted(known, ids)] = np.searchsorted(known, label)
+        before = labels.copy()
+        swept(np.searchsorted(known, src), np.searchsorted(known, dst), labels, order, sweeps)
+        low = np.flatnonzero(labels < before)
+        return pa.table({"id": known[low], "label": known[labels[low]]})
+
+    return run

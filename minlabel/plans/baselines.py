@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from minlabel.graph import Graph
 from minlabel.operators import kernels, mapping
 from minlabel.plans.engine import ComponentResult, NotConverged, Options
-from minlabel.session import stored
+from minlabel.session import collect_stored, discard, discard_collected, stored
 
 
 def _guard(k: int, opts: Options, method: str) -> None:
@@ -25,18 +25,21 @@ def hook_compress(graph: Graph, opts: Options, n: int) -> ComponentResult:
     while edge_rows:
         _guard(k, opts, "hook_compress")
         k, began = k + 1, time.perf_counter()
+        made = collect_stored()
         far = stored(mapping.moved(labels.select("id", "label", F.col("label").alias("far")), "far", labels).select("id", "label", "far"))
         ends = directed.join(far.select(F.col("id").alias("src"), "far"), "src")
         parents = ends.join(labels.select(F.col("id").alias("dst"), F.col("label").alias("up")), "dst")
         hooked = stored(mapping.lower_labels(labels, parents.where("far < up").select(F.col("up").alias("id"), F.col("far").alias("c"))))
         hooked = stored(mapping.lower_labels(hooked, ends.select(F.col("dst").alias("id"), F.col("far").alias("c"))))
-        out = stored(mapping.lower_labels(hooked, far.select("id", F.col("far").alias("c"))).join(labels.withColumnRenamed("label", "before"), "id"))
+        out = stored(mapping.lower_labels(hooked, far.select("id", F.col("far").alias("c"))).join(labels.select("id", F.col("label").alias("before")), "id"))
         changed = out.where("label < before").count()
-        labels = out.select("id", "label")
+        discard_collected(made, out)
+        discard(labels)
+        labels = out
         trace.append((graph.name, "hook_compress", k, 2, changed, None, 2 * edge_rows, time.perf_counter() - began))
         if not changed:
             break
-    return ComponentResult(labels, "hook_compress", k, 2 * k, True, trace)
+    return ComponentResult(labels.select("id", "label"), "hook_compress", k, 2 * k, True, trace)
 
 
 def hook_compress_classic(graph: Graph, opts: Options, n: int) -> ComponentResult:
@@ -63,7 +66,7 @@ def union_find(graph: Graph, opts: Options, n: int) -> ComponentResult:
     began = time.perf_counter()
     kernel = kernels.forest_kernel(opts.max_kernel_ids)
     parts = max(1, n)
-    forest = graph.edges.repartition(parts).mapInArrow(kernel, "id bigint, label bigint")
+    forest = (graph.edges if graph.raw is None else graph.raw).repartition(parts).mapInArrow(kernel, "id bigint, label bigint")
     while parts > 1:
         parts = max(1, -(-parts // max(2, opts.fan_in)))
         forest = forest.repartition(parts).mapInArrow(kernel, "id bigint, label bigint")
@@ -89,16 +92,18 @@ def bfs(graph: Graph, opts: Options, n: int) -> ComponentResult:
 
 def label_propagation(graph: Graph, opts: Options, n: int) -> ComponentResult:
     """Every vertex takes the least label of itself and its neighbours, until none changes. Its plan shares nothing with min-mapping."""
-    edges: DataFrame = graph.edges
+    edges: DataFrame = graph.own_edges()
     labels, k, trace = stored(graph.vertices.select("id", F.col("id").alias("label"))), 0, []
     while True:
         _guard(k, opts, "label_propagation")
         k, began = k + 1, time.perf_counter()
         forth = edges.join(labels, edges["src"] == labels["id"]).select(F.col("dst").alias("id"), "label")
         back = edges.join(labels, edges["dst"] == labels["id"]).select(F.col("src").alias("id"), "label")
+        old = labels
         new = stored(labels.unionByName(forth).unionByName(back).groupBy("id").agg(F.min("label").alias("label")))
         changed = new.join(labels.withColumnRenamed("label", "before"), "id").where("label < before").count()
         labels = new
+        discard(old)
         trace.append((graph.name, "label_propagation", k, 1, changed, None, None, time.perf_counter() - began))
         if not changed:
             return ComponentResult(labels, "label_propagation", k, k, True, trace)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from contextvars import ContextVar
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -38,9 +39,29 @@ def stored(df: DataFrame, name: str = "labels") -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._stored_at = path
+    if (made := _collected.get()) is not None:
+        made.append(out)
     return out
 
 
+_collected: ContextVar[list | None] = ContextVar("collected", default=None)
+
+
+def collect_stored() -> list:
+    """From here on, the tables that stored() writes, until discard_collected()."""
+    made: list = []
+    _collected.set(made)
+    return made
+
+
+def discard_collected(made: list, *kept: DataFrame) -> None:
+    """Remove the collected tables, but for those that are kept."""
+    _collected.set(None)
+    for df in made:
+        if not any(df is k for k in kept):
+            discard(df)
+
+
 class Scratch:
     """Tables that are stored on the way to a result, to be removed together once the result itself is stored."""
 
