@@ -119,7 +119,7 @@ class Gathered:
 def _words_and_strings(data: np.ndarray, offsets: np.ndarray, hasher: ta.Hasher, tables, depth: int):
     low = tables[1][data]
     s, e, at = ta.words(tables[0][data], offsets)
-    return hasher.parts(hasher.prefix(low), s, e) >> np.uint64(2), at, byte_strings(low, offsets, depth)
+    return hasher.words(low, s, e) >> np.uint64(2), at, byte_strings(low, offsets, depth)
 
 
 def _tables():

@@ -43,7 +43,7 @@ class TestBlock:
         data, offsets = ta.byte_arrays(pa.array(texts, pa.large_string()))
         low = table[data]
         s, e, at = ta.words(low, offsets)
-        h = hasher.parts(hasher.prefix(low), s, e)
+        h = hasher.words(low, s, e)
         self.window, self.ids = window, ids
         self.vocabulary = np.unique(h)
         rank = np.searchsorted(self.vocabulary, h).astype(np.uint32) + 1
@@ -161,7 +161,7 @@ def scan(column: pa.Array, held: list, one_in: int = ONE_IN):
     for i, j in ta.slices(offsets):
         low, own = table[data[offsets[i] : offsets[j]]], offsets[i : j + 1] - offsets[i]
         s, e, at = ta.words(low, own)
-        parts.append((i, j, hasher.parts(hasher.prefix(low), s, e), at))
+        parts.append((i, j, hasher.words(low, s, e), at))
     n = len(offsets) - 1
     n_words, n_hit, longest = np.zeros(n, np.int64), np.zeros(n, np.int64), np.zeros(n, np.int64)
     items: dict[int, set] = {}

@@ -8,50 +8,49 @@ made up to the time by which all registers are likely to be filled (early termin
 go on, so the signatures are those of the endless processes.
 
 The probability Jaccard can lie far below the Jaccard index where one text repeats a passage. So each document has the
-same sketch at unit weights too, whose agreement is the Jaccard index that is verified. A document without repeated
-shingles has one sketch for both.
-
-Equal weighted shingle sets are collapsed first, to the smallest id. Both signatures of these representatives are cut into bands;
-those that share a band with another are candidates, and their shingles are made anew. Among candidates an exact filter
-finds the buckets: in one order of all shingles (rarest first, by a table of counts of fixed size), two documents with a
-Jaccard index of THRESHOLD share one of the first shingles, as many as the threshold lets differ and one more. So a
-passage that many documents have in common brings them together only where it is most of them.
-
-In rounds, each bucket has a leader of the component that has most of it, each document outside is compared with one
-leader, and connected components join what is linked; buckets go on with new leaders, and what is then not one component
-is compared pair by pair across components, but for pairs that the triangle inequality, or the places of the shared
-shingle in the two orders, rule out. So a group of g near
-copies costs about g comparisons for each round, and no link between candidates is lost: pairs that are not
-compared lie in one component, or cannot reach the threshold. Only banding can lose a link: a pair of Jaccard index j
-shares no band of the unit sketch with probability (1 - j ** ROWS) ** BANDS, 7e-5 at 0.8.
-
-A pair is linked if the Jaccard index of its shingle sets is at least THRESHOLD.
+same sketch at unit weights too. A document without repeated shingles has one sketch for both. A pair is linked if either
+index, computed from the two sets with the weights that the sketches had, is at least THRESHOLD.
+
+Documents with equal weighted shingle sets (told by a 128-bit digest of all shingles and counts) are collapsed first, to
+the smallest id. Both signatures of these representatives are cut into bands; those that share a band are a bucket, and
+each pair within a bucket is a candidate. Buckets of the same documents are one. Shingles are made anew for documents in
+buckets only.
+
+A bucket of up to CELL documents is verified in one place. In a larger one, rounds merge components first: its leader is
+of its largest component, each document outside is compared with one leader, and components that are linked join, the
+smaller one under the larger. What is then not one component is dealt to cells, each of two blocks of the bucket, and a
+cell verifies its pairs across components; so a document is sent to as many cells as its bucket has blocks, and a bucket
+of g copies of one text costs about g comparisons for each round. No link between candidates is lost: pairs that are not
+compared lie in one component. Only banding can lose a link: a pair of Jaccard index j shares no band of the unit sketch
+with probability (1 - j ** ROWS) ** BANDS, 7e-5 at 0.8. A cell hands on a forest of its links; connected components of
+all links are the classes.
 
 Defined cases: null and empty texts have no shingles and are linked to nothing; a null id is left out of the result;
-rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; other
-columns are ignored.
+rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; ids may
+be of any type that has an order; other columns are ignored.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from minlabel.graph import Graph
+from minlabel.ids import dense_ids
 from minlabel.llm import text_arrays as ta
-from minlabel.llm.shared import Shared
 from minlabel.plans.engine import connected_components
+from minlabel.schemas import INTEGERS
 from minlabel.session import Scratch, stored
 
 WORDS, THRESHOLD = 5, 0.8
 BANDS, ROWS = 24, 5
 REGISTERS = BANDS * ROWS
-#: Counters of the table that orders shingles.
-SLOTS = 1 << 16
-#: Star rounds before the pairs that are left are counted, and pairs that one round may try.
-STARS, PAIRS = 3, 20_000_000
+#: Documents of a bucket that are verified in one place, and rounds of leaders at most in larger ones.
+CELL, STARS = 64, 8
 
 
 def _uniform(h: np.ndarray) -> np.ndarray:
@@ -63,7 +62,7 @@ def shingles(data: np.ndarray, offsets: np.ndarray, hasher: ta.Hasher, table: np
     """Different shingles of the texts: document, hash and weight, ordered by both."""
     low = table[data]
     s, e, at = ta.words(low, offsets)
-    h = hasher.parts(hasher.prefix(low), s, e)
+    h = hasher.words(low, s, e)
     n = np.diff(at)
     if not len(h):
         z = np.zeros(0, np.int64)
@@ -124,41 +123,45 @@ def band_codes(rows: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, key: str = "doc_id", text: str = "text", packed: bool = False) -> DataFrame:
-    """key, content (hash of the weighted shingle set; null without words), and bands of its two signatures, each once, or if packed instead sh (its sorted 32-bit shingles)."""
+    """key, content (digest of the weighted shingle set; null without words), and bands of its two signatures, each once, or if packed instead sh (its shingles in order) and times (how often each occurs; empty if once each)."""
+    columns = ["sh", "times"] if packed else ["bands"]
 
     def run(batches):
         hasher, table = ta.Hasher(), ta.class_table("visible")
         for batch in batches:
             data, offsets = ta.byte_arrays(batch.column("text"))
-            content, out = [], []
+            content, out, times = [], [], []
             for i, j in ta.slices(offsets, 1 << 20):
                 n = j - i
                 doc, grams, weight = shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], hasher, table)
                 cut = np.searchsorted(doc, np.arange(n + 1))
-                mixed = np.concatenate((np.zeros(1, np.uint64), np.cumsum(ta.mixed(grams + ta.mixed(weight.astype(np.uint64))))))
-                whole = ta.mixed(mixed[cut[1:]] - mixed[cut[:-1]]).view(np.int64).tolist()
-                content += [h if x < y else None for h, x, y in zip(whole, cut[:-1].tolist(), cut[1:].tolist())]
+                own = list(zip(cut[:-1].tolist(), cut[1:].tolist()))
+                counts = weight.astype(np.uint32)
+                repeated = np.bincount(doc, weight > 1, n) > 0
+                for (x, y), more in zip(own, repeated.tolist()):
+                    content.append(hashlib.blake2b(grams[x:y].tobytes() + (counts[x:y].tobytes() if more else b""), digest_size=16).digest() if x < y else None)
                 if packed:
-                    high = (grams >> np.uint64(32)).astype(np.uint32)
-                    out += [np.unique(high[x:y]).tobytes() for x, y in zip(cut[:-1].tolist(), cut[1:].tolist())]
+                    out += [grams[x:y].tobytes() for x, y in own]
+                    times += [counts[x:y].tobytes() if more else b"" for (x, y), more in zip(own, repeated.tolist())]
                     continue
                 codes = band_codes(signatures(doc, grams, 1 + np.log(weight), n)).tolist()
                 # at unit weights the sketch is another one only where a shingle is repeated
-                again = np.flatnonzero(np.bincount(doc, weight > 1, n))
+                again = np.flatnonzero(repeated)
                 if len(again):
                     of = np.full(n, -1)
                     of[again] = np.arange(len(again))
-                    own = of[doc] >= 0
-                    for at, more in zip(again.tolist(), band_codes(signatures(of[doc[own]], grams[own], np.ones(own.sum()), len(again))).tolist()):
+                    pick = of[doc] >= 0
+                    for at, more in zip(again.tolist(), band_codes(signatures(of[doc[pick]], grams[pick], np.ones(pick.sum()), len(again))).tolist()):
                         codes[at] = list({*codes[at], *more})
-                out += [c if x < y else [] for c, x, y in zip(codes, cut[:-1].tolist(), cut[1:].tolist())]
-            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(content, pa.int64()), pa.array(out, pa.binary() if packed else pa.list_(pa.int64()))], names=["key", "content", "sh" if packed else "bands"])
+                out += [c if x < y else [] for c, (x, y) in zip(codes, own)]
+            made = [pa.array(out, pa.binary()), pa.array(times, pa.binary())] if packed else [pa.array(out, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(content, pa.binary()), *made], names=["key", "content", *columns])
 
     given = docs.select(docs[key].alias("key"), docs[text].cast("string").alias("text")).where("key is not null")
-    return given.mapInArrow(run, f"key {given.schema['key'].dataType.simpleString()}, content bigint, " + ("sh binary" if packed else "bands array<bigint>"))
+    return given.mapInArrow(run, f"key {given.schema['key'].dataType.simpleString()}, content binary, " + ("sh binary, times binary" if packed else "bands array<bigint>"))
 
 
-def similarity(a: np.ndarray, b: np.ndarray) -> float:
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     """Jaccard index of two sorted arrays of different numbers."""
     if not len(a) or not len(b):
         return 0.0
@@ -166,123 +169,208 @@ def similarity(a: np.ndarray, b: np.ndarray) -> float:
     return both / (len(a) + len(b) - both)
 
 
-def _shingles_of(buffer) -> np.ndarray:
-    return np.frombuffer(buffer, np.uint32)
-
+def probability_jaccard(a: np.ndarray, wa: np.ndarray, b: np.ndarray, wb: np.ndarray) -> float:
+    """Of two sorted arrays with weights: the sum over shared elements i of 1 / sum over all j of max(wa[j] / wa[i], wb[j] / wb[i])."""
+    at = np.minimum(np.searchsorted(b, a), max(len(b) - 1, 0))
+    shared = b[at] == a if len(b) else np.zeros(len(a), bool)
+    if not shared.any():
+        return 0.0
+    x, y = wa[shared], wb[at[shared]]
+    alone = np.ones(len(b), bool)
+    alone[at[shared]] = False
+    order = np.argsort(x / y, kind="stable")
+    x, y = x[order], y[order]
+    # elements whose ratio is smaller count by their weight in b, the others by that in a
+    below = np.concatenate(([0.0], np.cumsum(y)))[:-1] + wb[alone].sum()
+    above = np.cumsum(x[::-1])[::-1] + wa[~shared].sum()
+    return float((1 / (above / x + below / y)).sum())
+
+
+def _weights(times: np.ndarray, n: int) -> np.ndarray:
+    return 1 + np.log(times) if len(times) else np.ones(n)
+
+
+def similarity(a: np.ndarray, ta_: np.ndarray, b: np.ndarray, tb: np.ndarray, j: float | None = None) -> float:
+    """The larger of the two indices, of shingles and how often each occurs (empty: once each)."""
+    j = jaccard(a, b) if j is None else j
+    return max(j, probability_jaccard(a, _weights(ta_, len(a)), b, _weights(tb, len(b)))) if len(ta_) or len(tb) else j
+
+
+def shared_sums(sets: list[np.ndarray], weights: list[np.ndarray] | None = None, wide: int = 8192) -> np.ndarray:
+    """For each two of the sets, the weight (1 each if none are given) in the first of the elements that they share."""
+    n = len(sets)
+    element, place, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    owner = np.repeat(np.arange(n), [len(x) for x in sets])
+    keep = times[place] > 1
+    column, owner = (np.cumsum(times > 1) - 1)[place[keep]], owner[keep]
+    value = np.concatenate(weights)[keep] if weights else np.ones(len(column))
+    order = np.argsort(column, kind="stable")
+    column, owner, value = column[order], owner[order], value[order]
+    edges = np.searchsorted(column, np.arange(0, len(element) + wide, wide))
+    out = np.zeros((n, n))
+    for x, y in zip(edges[:-1].tolist(), edges[1:].tolist()):
+        if x < y:
+            held = np.zeros((n, min(wide, int(column[y - 1]) % wide + 1)), np.float64 if weights else np.float32)
+            held[owner[x:y], column[x:y] % wide] = value[x:y]
+            out += held @ (held > 0).astype(held.dtype).T
+    return out
 
-def _slot_counts(batches):
-    """Shingles of a part, counted by slot."""
-    counts = np.zeros(SLOTS, np.int64)
-    for batch in batches:
-        for x in batch.column("sh"):
-            counts += np.bincount(_shingles_of(x.as_buffer()) % SLOTS, minlength=SLOTS)
-    some = np.flatnonzero(counts)
-    yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(counts[some])], names=["slot", "n"])
 
+def _verified(threshold: float):
+    """Rows of whole cells (band, x, y; side, label, key, sh, times) -> a forest of the links across labels: a, b."""
+
+    def links(rows):
+        names, labels, sides, sets, times = zip(*rows)
+        if len(rows) == 2:
+            if labels[0] != labels[1] and (sides[0] != sides[1] or sides[0] == 2) and similarity(sets[0], times[0], sets[1], times[1]) >= threshold:
+                yield names
+            return
+        of = np.array(sides)
+        number = {x: k for k, x in enumerate(dict.fromkeys(labels))}
+        own = np.array([number[x] for x in labels])
+        wanted = np.triu((own[:, None] != own) & ((of[:, None] != of) | (of == 2)), 1)
+        if not wanted.any():
+            return
+        size = np.array([len(x) for x in sets], np.float64)
+        common = shared_sums(sets)
+        linked = wanted & (common / (size[:, None] + size - common) >= threshold)
+        some = np.array([len(t) > 0 for t in times])
+        if some.any():  # the share of each one's weight that the other has bounds the weighted index
+            weight = [_weights(t, len(x)) for t, x in zip(times, sets)]
+            share = shared_sums(sets, [w / w.sum() for w in weight]) + 1e-9
+            for p, q in zip(*(x.tolist() for x in np.nonzero(wanted & ~linked & (some[:, None] | some) & (share >= threshold) & (share.T >= threshold)))):
+                linked[p, q] = probability_jaccard(sets[p], weight[p], sets[q], weight[q]) >= threshold
+        up = list(range(len(number)))
+
+        def find(x):
+            while up[x] != x:
+                up[x] = x = up[up[x]]
+            return x
+
+        for p, q in zip(*(x.tolist() for x in np.nonzero(linked))):
+            a, b = find(own[p]), find(own[q])
+            if a != b:
+                up[a] = b
+                yield names[p], names[q]
 
-def first_shingles(held: DataFrame, threshold: float) -> DataFrame:
-    """key, size, place, token: of each document the rarest shingles, of which near-duplicates have one in common, and their places in the order."""
-    table = np.zeros(SLOTS, np.int64)
-    for r in held.select("sh").mapInArrow(_slot_counts, "slot int, n bigint").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():  # SLOTS rows at most
-        table[r.slot] = r.n
-    counts = Shared(held.sparkSession.sparkContext, table)
+    def run(batches):
+        cell, rows = None, []
+        for batch in batches:
+            a, b = [], []
+            kind = batch.schema.field("key").type
+            got = [batch.column(c).to_pylist() for c in ("band", "x", "y", "key", "label", "side")]
+            for band, x, y, key, label, side, sh, t in zip(*got, batch.column("sh"), batch.column("times")):
+                if (band, x, y) != cell:
+                    if len(rows) > 1:
+                        for p, q in links(rows):
+                            a.append(p)
+                            b.append(q)
+                    cell, rows = (band, x, y), []
+                rows.append((key, label, side, np.frombuffer(sh.as_py(), np.uint64), np.frombuffer(t.as_py(), np.uint32)))
+            yield pa.RecordBatch.from_arrays([pa.array(a, kind), pa.array(b, kind)], names=["a", "b"])
+        if len(rows) > 1:
+            last = list(links(rows))
+            yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in last], kind), pa.array([q for _, q in last], kind)], names=["a", "b"])
+
+    return run
+
+
+def compared(pairs: DataFrame, held: DataFrame, threshold: float) -> DataFrame:
+    """pairs(a, b, ...) with linked; held: key, sh, times."""
+    columns = pairs.columns
+    side = lambda c: held.select(F.col("key").alias(c), F.col("sh").alias(f"sh_{c}"), F.col("times").alias(f"times_{c}"))
+    rows = pairs.join(side("a"), "a").join(side("b"), "b").select(*columns, "sh_a", "times_a", "sh_b", "times_b")
 
     def run(batches):
+        read = lambda x, kind: np.frombuffer(x.as_py(), kind)
         for batch in batches:
-            tokens = []
-            for x in batch.column("sh"):
-                own = _shingles_of(x.as_buffer())
-                size = len(own) - int(np.ceil(threshold * len(own) - 1e-9)) + 1
-                order = np.lexsort((own, counts.value[own % SLOTS]))
-                tokens.append(own[order[:size]].astype(np.int64))
-            sizes = pa.array([len(_shingles_of(x.as_buffer())) for x in batch.column("sh")], pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column("key"), sizes, pa.array(tokens, pa.list_(pa.int64()))], names=["key", "size", "tokens"])
+            at = [batch.column(c) for c in ("sh_a", "times_a", "sh_b", "times_b")]
+            linked = [similarity(read(a, np.uint64), read(x, np.uint32), read(b, np.uint64), read(y, np.uint32)) >= threshold for a, x, b, y in zip(*at)]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in columns), pa.array(linked, pa.bool_())], names=[*columns, "linked"])
 
-    kind = held.schema["key"].dataType.simpleString()
-    return held.select("key", "sh").mapInArrow(run, f"key {kind}, size bigint, tokens array<bigint>").select("key", "size", F.posexplode("tokens").alias("place", "token"))
+    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pairs.schema.fields)
+    return rows.mapInArrow(run, f"{kinds}, linked boolean")
 
 
-def compared(pairs: DataFrame, held: DataFrame) -> DataFrame:
-    """a, b, and the Jaccard index j of each pair of representatives; held: key, sh."""
-    first = pairs.join(held.select(F.col("key").alias("a"), F.col("sh").alias("sa")), "a")
-    rows = first.join(held.select(F.col("key").alias("b"), F.col("sh").alias("sb")), "b").select("a", "b", "sa", "sb")
-    kind = rows.schema["a"].dataType.simpleString()
+def _leaders(big: DataFrame, labels: DataFrame, k: int) -> DataFrame:
+    """a, b: each document of the large buckets that is outside the largest component of one of them, with a leader from there; label and n of its component, to and to_n of the leader's."""
+    now = big.join(labels, "key")
+    per = now.groupBy("band", "label").agg(F.max("n").alias("n"), F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("h"), "key")).alias("first"))
+    top = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("n", "label", F.col("first.key").alias("leader"))).alias("top")).where("labels > 1").select("band", F.col("top.leader").alias("b"), F.col("top.label").alias("to"), F.col("top.n").alias("to_n"))
+    open_ = now.join(top, "band").where("label <> to")
+    return open_.groupBy(F.col("key").alias("a"), "label").agg(F.max(F.struct("to_n", "to", "b")).alias("t")).select("a", "label", "t.b", "t.to", "t.to_n")
 
-    def run(batches):
-        for batch in batches:
-            j = [similarity(_shingles_of(x.as_buffer()), _shingles_of(y.as_buffer())) for x, y in zip(batch.column("sa"), batch.column("sb"))]
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(j, pa.float64())], names=["a", "b", "j"])
 
-    return rows.mapInArrow(run, f"a {kind}, b {kind}, j double")
+def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels(key, label, n) after each linked component has gone under the largest that it is linked to. That one is larger (or as large, with a larger label), so there is no circle; what hangs two deep is gathered here, the rest in later rounds."""
+    hook = links.where("linked").groupBy("label").agg(F.max(F.struct("to_n", "to")).alias("t")).select("label", F.col("t.to").alias("to"))
+    for _ in range(2):
+        hook = hook.join(hook.select(F.col("label").alias("to"), F.col("to").alias("further")), "to", "left").select("label", F.coalesce("further", "to").alias("to"))
+    new = labels.join(hook, "label", "left").select("key", F.coalesce("to", "label").alias("label"))
+    return new.join(new.groupBy("label").agg(F.count("*").alias("n")), "label").select("key", "label", "n")
 
 
-def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """key, class_id (smallest id of the class) and representative (smallest id with the same shingles) of every row's id."""
+def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, cell: int = CELL) -> DataFrame:
+    """key, class_id (smallest id of the class), representative (smallest id with the same shingles) and rows (how many have the id) of every row's id."""
     scratch = Scratch()
     held = scratch.stored(sketches(docs, key, text), "sketches")
     # the smallest id of each content stands for it; its row is found again by the id, so hot contents move no sketches
     first = scratch.stored(held.where("content is not null").groupBy("content").agg(F.min("key").alias("representative")), "contents")
     alone = held.join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi")
-    members = held.select("key", "content").join(first, "content", "left").select("key", F.coalesce("representative", "key").alias("representative"))
     banded = alone.select("key", F.explode("bands").alias("band"))
-    full = banded.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band")
-    candidates = banded.join(full, "band", "left_semi").select("key").distinct()
-    some = docs.select(docs[key].alias("key"), docs[text].alias("text")).join(candidates, "key", "left_semi")
-    wanted = scratch.stored(sketches(some, "key", "text", True).groupBy("key").agg(F.min_by("sh", "content").alias("sh")), "shingles")
-    tokens = scratch.stored(first_shingles(wanted, threshold), "tokens")
-    full = tokens.groupBy("token").agg(F.count("*").alias("n")).where("n > 1").select(F.col("token").alias("band"))
-    buckets = scratch.stored(tokens.withColumnRenamed("token", "band").join(full, "band", "left_semi"), "buckets")
-    labels = links = pivots = None
-    k, parts = 0, None
-    while parts is None or k < STARS + parts:
-        now = buckets.withColumn("label", F.col("key")) if labels is None else buckets.join(labels.select(F.col("id").alias("key"), "label"), "key", "left").withColumn("label", F.coalesce("label", "key"))
-        # a bucket's leader is of the component that has most of it, so only the rest is tried
-        # first the document that has the bucket's shingle earliest (least of its own comes before), then one at random
-        rank = F.col("place").cast("bigint") if k == 0 else F.xxhash64("key", F.lit(k))
-        per = now.groupBy("band", "label").agg(F.count("*").alias("c"), F.min(F.struct(rank.alias("rank"), F.xxhash64("key").alias("hash"), "key")).alias("first"))
-        spread = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("c", (-F.col("first.rank")).alias("rank"), (-F.col("first.hash")).alias("hash"), F.col("first.key").alias("leader"), F.col("label").alias("own"))).alias("top")).where("labels > 1").select("band", "top.*")
-        open_ = scratch.stored(now.join(spread.select("band", "leader", "own", "rank", "hash"), "band"), "open")
-        if open_.isEmpty():
+    mark = lambda seed: F.sum(F.xxhash64("key", F.lit(seed)).cast("decimal(20,0)"))
+    shared = banded.groupBy("band").agg(F.count("*").alias("g"), F.min("key").alias("low"), F.max("key").alias("high"), mark(1).alias("m1"), mark(2).alias("m2")).where("g > 1")
+    shared = shared.groupBy("g", "low", "high", "m1", "m2").agg(F.min("band").alias("band")).select("band", "g")
+    buckets = scratch.stored(banded.join(shared, "band").select("band", "g", "key").distinct(), "buckets")
+    some = docs.select(docs[key].alias("key"), docs[text].alias("text")).join(buckets.select("key").distinct(), "key", "left_semi")
+    wanted = scratch.stored(sketches(some, "key", "text", True).groupBy("key").agg(F.min_by(F.struct("sh", "times"), "content").alias("s")).select("key", "s.sh", "s.times"), "shingles")
+    big = buckets.where(F.col("g") > cell).select("band", "key")
+    labels, links = scratch.stored(big.select("key").distinct().select("key", F.col("key").alias("label"), F.lit(1).cast("bigint").alias("n"))), []
+    for k in range(STARS):
+        tried = scratch.stored(compared(_leaders(big, labels, k), wanted, threshold), "compared")
+        n = tried.agg(F.count("*").alias("tried"), F.count_if("linked").alias("linked")).first()
+        if n.linked:
+            links.append(tried.where("linked").select("a", "b"))
+            labels = scratch.stored(_joined(labels, tried))
+        if n.linked * 20 < max(n.tried, 1):
             break
-        if k < STARS:  # each document with one leader, the first by rank, which is that of most of its buckets in a group of near copies
-            pairs = open_.where("label <> own").groupBy("key").agg(F.max_by("leader", F.struct("rank", "hash", "leader")).alias("leader"))
-        else:  # the pairs across components that are left, in parts of about PAIRS
-            if parts is None:
-                sizes = open_.groupBy("band", "label").agg(F.count("*").alias("c")).groupBy("band").agg(F.sum("c").alias("n"), F.sum(F.expr("c * c")).alias("within"))
-                parts = max(1, -(-int(sizes.agg(F.sum(F.expr("(n * n - within) / 2"))).first()[0] or 0) // PAIRS))
-            # Jaccard distances keep the triangle inequality: those from a common pivot rule pairs out
-            placed = open_.select("band", "key", "label", "size", "place").join(pivots, "key", "left")
-            other = placed.where(F.pmod(F.xxhash64("key"), F.lit(parts)) == k - STARS).select("band", *[F.col(c).alias(f"o_{c}") for c in ("key", "label", "size", "place", "pivot", "j")])
-            far = F.expr(f"coalesce(pivot = o_pivot and abs(j - o_j) > {1 - threshold + 1e-9!r}D, false)")
-            pairs = placed.join(other, "band").where("label <> o_label and (key < o_key or pmod(xxhash64(key), {0}) <> {1})".format(parts, k - STARS)).where(~far)
-            # the first shingle in common leaves both enough to reach the threshold
-            need = F.lit(threshold / (1 + threshold) - 1e-9) * (F.col("size") + F.col("o_size"))
-            pairs = pairs.where((F.col("size") - F.col("place") >= need) & (F.col("o_size") - F.col("o_place") >= need)).select("key", F.col("o_key").alias("leader"))
-        tried = pairs.select(F.greatest("key", "leader").alias("a"), F.least("key", "leader").alias("b")).distinct()
-        if links is not None:
-            tried = tried.join(seen, ["a", "b"], "left_anti")
-        new = scratch.stored(compared(tried, wanted), "compared")
-        seen = new.select("a", "b") if links is None else seen.unionByName(new.select("a", "b"))
-        linked = new.where(f"j >= {threshold}").select("a", "b")
-        links = linked if links is None else links.unionByName(linked)
-        if k == 0:
-            lead = pairs.join(new, (F.greatest("key", "leader") == F.col("a")) & (F.least("key", "leader") == F.col("b")))
-            pivots = scratch.stored(lead.select("key", F.col("leader").alias("pivot"), "j"), "pivots")
-        k += 1
-        if not linked.isEmpty():
-            ends = links.select(F.col("b").cast("bigint").alias("src"), F.col("a").cast("bigint").alias("dst")).distinct()
-            labels = connected_components(Graph(ends, links.select(F.explode(F.array("a", "b")).alias("id")).select(F.col("id").cast("bigint").alias("id")).distinct()), "order2").labels
-    if labels is not None:
-        members = members.join(labels.select(F.col("id").alias("representative"), "label"), "representative", "left").select("key", "representative", F.coalesce("label", "representative").alias("class_id"))
-    else:
-        members = members.withColumn("class_id", F.col("representative"))
-    out = stored(members.groupBy("key").agg(F.min("class_id").alias("class_id"), F.min("representative").alias("representative")).withColumnRenamed("key", key), "classes")
+    now = buckets.join(labels.select("key", "label"), "key", "left").withColumn("label", F.coalesce("label", "key"))
+    open_ = now.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("band")
+    blocks = F.ceil(F.col("g") / F.lit(cell)).cast("int")
+    own = now.join(open_, "band").withColumn("blocks", blocks).withColumn("i", F.pmod(F.xxhash64("key", F.lit(7)), F.col("blocks")).cast("int"))
+    cells = own.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
+        "key", "label", "band", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), F.when(F.col("i") == F.col("j"), 2).otherwise((F.col("i") < F.col("j")).cast("int")).alias("side")
+    )
+    dealt = cells.join(wanted, "key").repartition("band", "x", "y").sortWithinPartitions("band", "x", "y")
+    kind = held.schema["key"].dataType.simpleString()
+    links.append(scratch.stored(dealt.select("band", "x", "y", "key", "label", "side", "sh", "times").mapInArrow(_verified(threshold), f"a {kind}, b {kind}"), "links"))
+    pairs = links[0]
+    for more in links[1:]:
+        pairs = pairs.unionByName(more)
+    found = _components(pairs, scratch)
+    members = held.select("key", "content").join(first, "content", "left").select("key", F.coalesce("representative", "key").alias("representative"))
+    members = members.join(found.select(F.col("key").alias("representative"), "label"), "representative", "left").select("key", "representative", F.coalesce("label", "representative").alias("class_id"))
+    out = stored(members.groupBy("key").agg(F.min("class_id").alias("class_id"), F.min("representative").alias("representative"), F.count("*").alias("rows")).withColumnRenamed("key", key), "classes")
     scratch.clear()
     return out
 
 
+def _components(pairs: DataFrame, scratch: Scratch) -> DataFrame:
+    """key and label (the smallest key) of all linked keys."""
+    if isinstance(pairs.schema["a"].dataType, INTEGERS):
+        kind = pairs.schema["a"].dataType
+        result = connected_components(Graph.from_edges(pairs.select(F.col("a").cast("bigint").alias("src"), F.col("b").cast("bigint").alias("dst"))))
+        return result.labels.select(F.col("id").cast(kind).alias("key"), F.col("label").cast(kind).alias("label"))
+    ids = scratch.stored(dense_ids(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "key").select("key", "id"), "ids")  # in the order of the keys
+    ends = pairs.join(ids.select(F.col("key").alias("a"), F.col("id").alias("src")), "a").join(ids.select(F.col("key").alias("b"), F.col("id").alias("dst")), "b").select("src", "dst")
+    labels = connected_components(Graph.from_edges(ends)).labels
+    return labels.join(ids, "id").select("key", "label").join(ids.select(F.col("id").alias("label"), F.col("key").alias("least")), "label").select("key", F.col("least").alias("label"))
+
+
 def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """One row of docs for each class: that of the smallest id, as it is. Rows without an id stay; of several rows with the id that stays, one stays."""
-    found = classes(docs, key, text, threshold).where(F.col(key) == F.col("class_id")).select(key)
-    kept = docs.where(F.col(key).isNotNull()).join(found, key, "left_semi").dropDuplicates([key])
-    return kept.unionByName(docs.where(F.col(key).isNull()))
+    """One row of docs for each class: that of the smallest id, as it is. Rows without an id stay; of several rows with the id that stays, that with the smallest hash of all columns stays."""
+    found = classes(docs, key, text, threshold).where(F.col(key) == F.col("class_id"))
+    kept = docs.join(found.where("rows = 1").select(key), key, "left_semi")
+    again = docs.join(found.where("rows > 1").select(key), key, "left_semi")
+    one = again.groupBy(F.col(key).alias("_id")).agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in docs.columns]), F.xxhash64(*[F.col(f"`{c}`") for c in docs.columns])).alias("_row")).select("_row.*")
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns]).unionByName(one).unionByName(docs.where(F.col(key).isNull()))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -9,6 +10,7 @@ import pyarrow as pa
 
 #: Texts are worked on in slices of about so many bytes, so that a task's memory does not follow the batch.
 SLICE_BYTES = 2 << 20
+LONG_WORD = 32
 _ODD = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
 
@@ -84,6 +86,13 @@ class Hasher:
         _, down = self.powers.to(len(prefix))
         return mixed((prefix[end] - prefix[start]) * down[start])
 
+    def words(self, low: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """Hashes of words. Polynomials modulo 2**64 can be made to agree on long regular strings, so words of over LONG_WORD bytes get a digest."""
+        out = self.parts(self.prefix(low), start, end)
+        for k in np.flatnonzero(end - start > LONG_WORD).tolist():
+            out[k] = int.from_bytes(hashlib.blake2b(low[start[k] : end[k]].tobytes(), digest_size=8).digest(), "little")
+        return out
+
 
 def class_table(word: str) -> np.ndarray:
     """Lower-cased byte, or 0 where it parts words. alnum: letters, digits and all beyond ASCII; visible: all but ASCII white space."""
