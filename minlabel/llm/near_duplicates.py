@@ -16,14 +16,21 @@ the smallest id. Both signatures of these representatives are cut into bands; th
 each pair within a bucket is a candidate. Buckets of the same documents are one. Shingles are made anew for documents in
 buckets only.
 
-A bucket of up to CELL documents is verified in one place. In a larger one, rounds merge components first: its leader is
-of its largest component, each document outside is compared with one leader, and components that are linked join, the
-smaller one under the larger. What is then not one component is dealt to cells, each of two blocks of the bucket, and a
-cell verifies its pairs across components; so a document is sent to as many cells as its bucket has blocks, and a bucket
-of g copies of one text costs about g comparisons for each round. No link between candidates is lost: pairs that are not
-compared lie in one component. Only banding can lose a link: a pair of Jaccard index j shares no band of the unit sketch
-with probability (1 - j ** ROWS) ** BANDS, 7e-5 at 0.8. A cell hands on a forest of its links; connected components of
-all links are the classes.
+A bucket of up to CELL documents is verified in one place. A larger one is first parted by an exact filter: in one order
+of all shingles (rarest first, by a table of counts of fixed size), two linked documents share one of their first
+shingles, as many as the threshold lets differ and one more; so the documents with a common first shingle are its parts,
+and a passage that many documents have in common brings them together only where it is most of them. A document is left
+out of a part if too few of its shingles follow there to reach the threshold with any of the others. In parts that are
+still larger than CELL, rounds merge components: a part's leader is of its largest component, each document outside is
+compared with one leader, and components that are linked join, the smaller one under the larger; so a part of g copies of
+one text costs about g comparisons for each round. What is then not one component is dealt to cells, each of two blocks
+of the part, and a cell verifies its pairs across components. No link between candidates is lost: pairs that are not
+compared lie in one component, or cannot reach the threshold. Only banding can lose a link: a pair of Jaccard index j
+shares no band of the unit sketch with probability (1 - j ** ROWS) ** BANDS, 7e-5 at 0.8. A cell hands on a forest of its
+links; connected components of all links are the classes.
+
+Ids of documents in buckets are broadcast to the scan that makes their shingles up to FEW_IDS (8 MB) of them, and joined
+by a shuffle beyond that.
 
 Defined cases: null and empty texts have no shingles and are linked to nothing; a null id is left out of the result;
 rows with one id and different texts share bands, are compared by one of the texts, and get the smallest class; ids may
@@ -42,6 +49,7 @@ from pyspark.sql import functions as F
 from minlabel.graph import Graph
 from minlabel.ids import dense_ids
 from minlabel.llm import text_arrays as ta
+from minlabel.llm.shared import Shared
 from minlabel.plans.engine import connected_components
 from minlabel.schemas import INTEGERS
 from minlabel.session import Scratch, stored
@@ -51,6 +59,8 @@ BANDS, ROWS = 24, 5
 REGISTERS = BANDS * ROWS
 #: Documents of a bucket that are verified in one place, and rounds of leaders at most in larger ones.
 CELL, STARS = 64, 8
+#: Counters of the table that orders shingles, and ids that are broadcast at most.
+SLOTS, FEW_IDS = 1 << 16, 1_000_000
 
 
 def _uniform(h: np.ndarray) -> np.ndarray:
@@ -216,6 +226,59 @@ def shared_sums(sets: list[np.ndarray], weights: list[np.ndarray] | None = None,
     return out
 
 
+def _slot_counts(batches):
+    """Shingles of a part, counted by slot."""
+    counts = np.zeros(SLOTS, np.int64)
+    for batch in batches:
+        for x in batch.column("sh"):
+            counts += np.bincount((np.frombuffer(x.as_buffer(), np.uint64) % np.uint64(SLOTS)).astype(np.int64), minlength=SLOTS)
+    some = np.flatnonzero(counts)
+    yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(counts[some])], names=["slot", "n"])
+
+
+def first_shingles(held: DataFrame, threshold: float) -> DataFrame:
+    """key, band, room (shingles from there on), size and repeated (it has a shingle more than once): of each document (key, sh, times) the rarest shingles, of which linked documents have one in common. What two documents share is, by number or by weight, at least the threshold's share of each; so the first shingle that they share leaves that much behind it in both."""
+    table = np.zeros(SLOTS, np.int64)
+    for r in held.select("sh").mapInArrow(_slot_counts, "slot int, n bigint").groupBy("slot").agg(F.sum("n").alias("n")).toLocalIterator():  # SLOTS rows at most
+        table[r.slot] = r.n
+    counts = Shared(held.sparkSession.sparkContext, table)
+
+    def run(batches):
+        for batch in batches:
+            out, sizes, repeated = [], [], []
+            for sh, t in zip(batch.column("sh"), batch.column("times")):
+                own, times = np.frombuffer(sh.as_buffer(), np.uint64), np.frombuffer(t.as_buffer(), np.uint32)
+                order = np.lexsort((own, counts.value[(own % np.uint64(SLOTS)).astype(np.int64)]))
+                size = len(own) - int(np.ceil(threshold * len(own) - 1e-9)) + 1
+                if len(times):
+                    weight = _weights(times, len(own))[order]
+                    size = max(size, int((np.cumsum(weight[::-1])[::-1] >= threshold * weight.sum() - 1e-9).sum()))
+                out.append(own[order[:size]].view(np.int64))
+                sizes.append(len(own))
+                repeated.append(len(times) > 0)
+            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(out, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(repeated, pa.bool_())], names=["key", "bands", "size", "repeated"])
+
+    kind = held.schema["key"].dataType.simpleString()
+    return held.mapInArrow(run, f"key {kind}, bands array<bigint>, size bigint, repeated boolean").select("key", "size", "repeated", F.posexplode("bands").alias("place", "band")).select("key", "band", (F.col("size") - F.col("place")).alias("room"), "size", "repeated")
+
+
+def _with_room(firsts: DataFrame, threshold: float) -> DataFrame:
+    """key and band of the first shingles with which a pair can begin that reaches the threshold: to a text of the least size there, a document must have so many shingles left. (Where shingles are repeated, weights decide, and all stay.)"""
+    least = firsts.groupBy("band").agg(F.min("size").alias("least"), F.max("repeated").alias("some"), F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").select("band", "least", "some")
+    need = F.lit(threshold / (1 + threshold)) * (F.col("size") + F.col("least")) - F.lit(1e-6)
+    return firsts.join(least, "band").where(F.col("some") | (F.col("room") >= need)).select("key", "band")
+
+
+def _buckets(banded: DataFrame) -> DataFrame:
+    """band, g (documents) and key of the rows (key, band) of bands with more than one document; of bands with the same documents one."""
+    ends = banded.groupBy("band").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").select("band")
+    shared = banded.join(ends, "band", "left_semi").distinct()
+    mark = lambda seed: F.sum(F.xxhash64("key", F.lit(seed)).cast("decimal(20,0)"))
+    sets = shared.groupBy("band").agg(F.count("*").alias("g"), F.min("key").alias("low"), F.max("key").alias("high"), mark(1).alias("m1"), mark(2).alias("m2"))
+    one = sets.groupBy("g", "low", "high", "m1", "m2").agg(F.min("band").alias("band")).select("band", "g")
+    return shared.join(one, "band").select("band", "g", "key")
+
+
 def _verified(threshold: float):
     """Rows of whole cells (band, x, y; side, label, key, sh, times) -> a forest of the links across labels: a, b."""
 
@@ -293,21 +356,34 @@ def compared(pairs: DataFrame, held: DataFrame, threshold: float) -> DataFrame:
 
 
 def _leaders(big: DataFrame, labels: DataFrame, k: int) -> DataFrame:
-    """a, b: each document of the large buckets that is outside the largest component of one of them, with a leader from there; label and n of its component, to and to_n of the leader's."""
+    """a, b: each document of the large parts that is outside the greatest component of one of them, with a leader from there; label of its component, and rank and to of the leader's. Components are ranked by size, then by the most crowded document: a text that the others are copies of shares most bands with them."""
     now = big.join(labels, "key")
-    per = now.groupBy("band", "label").agg(F.max("n").alias("n"), F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("h"), "key")).alias("first"))
-    top = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("n", "label", F.col("first.key").alias("leader"))).alias("top")).where("labels > 1").select("band", F.col("top.leader").alias("b"), F.col("top.label").alias("to"), F.col("top.n").alias("to_n"))
-    open_ = now.join(top, "band").where("label <> to")
-    return open_.groupBy(F.col("key").alias("a"), "label").agg(F.max(F.struct("to_n", "to", "b")).alias("t")).select("a", "label", "t.b", "t.to", "t.to_n")
+    per = now.groupBy("band", "label").agg(F.max(F.struct("n", "score", "label")).alias("rank"), F.min(F.struct(F.xxhash64("key", F.lit(k)).alias("h"), "key")).alias("first"))
+    top = per.groupBy("band").agg(F.count("*").alias("labels"), F.max(F.struct("rank", F.col("first.key").alias("leader"))).alias("top")).where("labels > 1").select("band", F.col("top.leader").alias("b"), F.col("top.rank").alias("rank"))
+    open_ = now.join(top, "band").where("label <> rank.label")
+    return open_.groupBy(F.col("key").alias("a"), "label").agg(F.max(F.struct("rank", "b")).alias("t")).select("a", "label", "t.b", F.col("t.rank.n").alias("n"), F.col("t.rank.score").alias("score"), F.col("t.rank.label").alias("to"))
 
 
 def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
-    """labels(key, label, n) after each linked component has gone under the largest that it is linked to. That one is larger (or as large, with a larger label), so there is no circle; what hangs two deep is gathered here, the rest in later rounds."""
-    hook = links.where("linked").groupBy("label").agg(F.max(F.struct("to_n", "to")).alias("t")).select("label", F.col("t.to").alias("to"))
+    """labels(key, label, n, score) after each linked component has gone under the greatest that it is linked to. That one has a higher rank, so there is no circle; what hangs two deep is gathered here, the rest in later rounds."""
+    hook = links.where("linked").groupBy("label").agg(F.max(F.struct("n", "score", "to")).alias("t")).select("label", F.col("t.to").alias("to"))
     for _ in range(2):
         hook = hook.join(hook.select(F.col("label").alias("to"), F.col("to").alias("further")), "to", "left").select("label", F.coalesce("further", "to").alias("to"))
-    new = labels.join(hook, "label", "left").select("key", F.coalesce("to", "label").alias("label"))
-    return new.join(new.groupBy("label").agg(F.count("*").alias("n")), "label").select("key", "label", "n")
+    new = labels.join(hook, "label", "left").select("key", "score", F.coalesce("to", "label").alias("label"))
+    return new.drop("score").join(new.groupBy("label").agg(F.count("*").alias("n"), F.max("score").alias("score")), "label").select("key", "label", "n", "score")
+
+
+def _cells(rows: DataFrame, cell: int) -> DataFrame:
+    """key, label, band, x, y, side of each document of the buckets (band, g, key, label) that are not one component, for each cell that it is sent to. In each bucket the documents outside its largest component are dealt to blocks, and those within it to others; a cell is two blocks, of which one at least is outside."""
+    per = rows.groupBy("band", "label").agg(F.count("*").alias("c"))
+    top = per.groupBy("band").agg(F.count("*").alias("labels"), F.sum("c").alias("all"), F.max(F.struct("c", "label")).alias("t")).where("labels > 1")
+    # a bucket of one block is one cell
+    top = top.select("band", F.col("t.label").alias("own"), F.when(F.col("all") <= cell, 0).otherwise(F.ceil(F.col("t.c") / cell)).cast("int").alias("inner"), F.ceil(F.when(F.col("all") <= cell, F.col("all")).otherwise(F.col("all") - F.col("t.c")) / cell).cast("int").alias("outer"))
+    now = rows.join(top, "band").withColumn("h", F.xxhash64("key", F.lit(7))).withColumn("inside", (F.col("label") == F.col("own")) & (F.col("inner") > 0))
+    # outer blocks are numbered before inner ones
+    now = now.withColumn("i", F.when(F.col("inside"), F.col("outer") + F.pmod("h", F.greatest("inner", F.lit(1)))).otherwise(F.pmod("h", F.greatest("outer", F.lit(1)))).cast("int"))
+    now = now.withColumn("j", F.explode(F.sequence(F.lit(0), F.when(F.col("inside"), F.col("outer")).otherwise(F.col("outer") + F.col("inner")) - 1)))
+    return now.select("key", "label", "band", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), F.when(F.col("i") == F.col("j"), 2).otherwise((F.col("i") < F.col("j")).cast("int")).alias("side"))
 
 
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, cell: int = CELL) -> DataFrame:
@@ -317,39 +393,36 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     # the smallest id of each content stands for it; its row is found again by the id, so hot contents move no sketches
     first = scratch.stored(held.where("content is not null").groupBy("content").agg(F.min("key").alias("representative")), "contents")
     alone = held.join(first.select("content", F.col("representative").alias("key")), ["content", "key"], "left_semi")
-    banded = alone.select("key", F.explode("bands").alias("band"))
-    mark = lambda seed: F.sum(F.xxhash64("key", F.lit(seed)).cast("decimal(20,0)"))
-    shared = banded.groupBy("band").agg(F.count("*").alias("g"), F.min("key").alias("low"), F.max("key").alias("high"), mark(1).alias("m1"), mark(2).alias("m2")).where("g > 1")
-    shared = shared.groupBy("g", "low", "high", "m1", "m2").agg(F.min("band").alias("band")).select("band", "g")
-    buckets = scratch.stored(banded.join(shared, "band").select("band", "g", "key").distinct(), "buckets")
-    some = docs.select(docs[key].alias("key"), docs[text].alias("text")).join(buckets.select("key").distinct(), "key", "left_semi")
+    found = scratch.stored(_buckets(alone.select("key", F.explode("bands").alias("band"))), "buckets")
+    ids = scratch.stored(found.groupBy("key").agg(F.max("g").alias("g"), F.sum("g").alias("score")), "ids")
+    n = ids.agg(F.count("*").alias("all"), F.count_if(F.col("g") > cell).alias("large")).first()
+    few = lambda df, size: F.broadcast(df) if size <= FEW_IDS else df
+    some = docs.select(docs[key].alias("key"), docs[text].alias("text")).join(few(ids.select("key"), n["all"]), "key", "left_semi")
     wanted = scratch.stored(sketches(some, "key", "text", True).groupBy("key").agg(F.min_by(F.struct("sh", "times"), "content").alias("s")).select("key", "s.sh", "s.times"), "shingles")
-    big = buckets.where(F.col("g") > cell).select("band", "key")
-    labels, links = scratch.stored(big.select("key").distinct().select("key", F.col("key").alias("label"), F.lit(1).cast("bigint").alias("n"))), []
+    crowded = wanted.join(few(ids.where(F.col("g") > cell).select("key"), n.large), "key", "left_semi")
+    parts = scratch.stored(_buckets(_with_room(first_shingles(crowded, threshold), threshold)) if n.large else found.limit(0), "parts")
+    buckets = found.where(F.col("g") <= cell).unionByName(parts)
+    big = parts.where(F.col("g") > cell).select("band", "key")
+    labels, links = scratch.stored(ids.join(big, "key", "left_semi").select("key", F.col("key").alias("label"), F.lit(1).cast("bigint").alias("n"), "score")), []
     for k in range(STARS):
         tried = scratch.stored(compared(_leaders(big, labels, k), wanted, threshold), "compared")
-        n = tried.agg(F.count("*").alias("tried"), F.count_if("linked").alias("linked")).first()
-        if n.linked:
+        got = tried.agg(F.count("*").alias("tried"), F.count_if("linked").alias("linked")).first()
+        if got.linked:
             links.append(tried.where("linked").select("a", "b"))
             labels = scratch.stored(_joined(labels, tried))
-        if n.linked * 20 < max(n.tried, 1):
+        if got.linked * 20 < max(got.tried, 1):
             break
     now = buckets.join(labels.select("key", "label"), "key", "left").withColumn("label", F.coalesce("label", "key"))
-    open_ = now.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("band")
-    blocks = F.ceil(F.col("g") / F.lit(cell)).cast("int")
-    own = now.join(open_, "band").withColumn("blocks", blocks).withColumn("i", F.pmod(F.xxhash64("key", F.lit(7)), F.col("blocks")).cast("int"))
-    cells = own.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select(
-        "key", "label", "band", F.least("i", "j").alias("x"), F.greatest("i", "j").alias("y"), F.when(F.col("i") == F.col("j"), 2).otherwise((F.col("i") < F.col("j")).cast("int")).alias("side")
-    )
+    cells = _cells(now, cell)
     dealt = cells.join(wanted, "key").repartition("band", "x", "y").sortWithinPartitions("band", "x", "y")
     kind = held.schema["key"].dataType.simpleString()
     links.append(scratch.stored(dealt.select("band", "x", "y", "key", "label", "side", "sh", "times").mapInArrow(_verified(threshold), f"a {kind}, b {kind}"), "links"))
     pairs = links[0]
     for more in links[1:]:
         pairs = pairs.unionByName(more)
-    found = _components(pairs, scratch)
+    linked = _components(pairs, scratch)
     members = held.select("key", "content").join(first, "content", "left").select("key", F.coalesce("representative", "key").alias("representative"))
-    members = members.join(found.select(F.col("key").alias("representative"), "label"), "representative", "left").select("key", "representative", F.coalesce("label", "representative").alias("class_id"))
+    members = members.join(linked.select(F.col("key").alias("representative"), "label"), "representative", "left").select("key", "representative", F.coalesce("label", "representative").alias("class_id"))
     out = stored(members.groupBy("key").agg(F.min("class_id").alias("class_id"), F.min("representative").alias("representative"), F.count("*").alias("rows")).withColumnRenamed("key", key), "classes")
     scratch.clear()
     return out

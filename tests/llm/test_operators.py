@@ -176,6 +176,46 @@ def test_near_duplicates_with_repeated_lines(spark):
     assert [i for i in range(0, 80, 2) if not bands[i] & bands[i + 1]] == []
 
 
+def test_near_duplicates_in_large_buckets(spark):
+    """Copies of one text that are like it but not like each other, other texts with a passage of it, ids as strings; cells of 4 documents, so buckets are parted and dealt to cells."""
+    import random
+
+    r = random.Random(5)
+    base = [f"b{i}" for i in range(100)]
+    docs = [("k000", " ".join(base))]
+    for k in range(1, 60):
+        own = list(base)
+        for _ in range(k % 5):
+            own[r.randrange(100)] = f"e{k}x{r.randrange(10)}"
+        docs.append((f"k{k:03}", " ".join(own) + (" " + " ".join(base[:20]) * (k % 3) if k % 7 == 0 else "")))
+    docs += [(f"m{k:03}", " ".join(base[:70] + [f"m{k}x{i}" for i in range(30 if k % 2 else 8)])) for k in range(12)]
+    words = {i: t.split() for i, t in docs}
+    counts = {i: collections.Counter(tuple(w[j : j + 5]) for j in range(len(w) - 4)) for i, w in words.items()}
+    weight = {i: {x: 1 + math.log(n) for x, n in c.items()} for i, c in counts.items()}
+
+    def index(a, b):
+        plain = len(a.keys() & b.keys()) / len(a.keys() | b.keys())
+        every = a.keys() | b.keys()
+        return max(plain, sum(1 / sum(max(a.get(j, 0) / a[i], b.get(j, 0) / b[i]) for j in every) for i in a.keys() & b.keys()))
+
+    from tests.helpers import union_find
+
+    ids = [i for i, _ in docs]
+    links = [(a, b) for k, a in enumerate(ids) for b in ids[:k] if index(weight[a], weight[b]) >= 0.8]
+    got = {r.doc_id: r.class_id for r in near_duplicates.classes(spark.createDataFrame(docs, "doc_id string, text string"), cell=4).collect()}
+    assert got == union_find(ids, links)
+
+
+def test_probability_jaccard():
+    import numpy as np
+
+    a, b = np.array([1, 3, 5, 9], np.uint64), np.array([3, 4, 5], np.uint64)
+    x, y = np.array([1.0, 2.0, 4.0, 0.5]), np.array([3.0, 1.0, 1.0])
+    wa, wb = dict(zip(a.tolist(), x)), dict(zip(b.tolist(), y))
+    want = sum(1 / sum(max(wa.get(j, 0) / wa[i], wb.get(j, 0) / wb[i]) for j in {*wa, *wb}) for i in (3, 5))
+    assert abs(near_duplicates.probability_jaccard(a, x, b, y) - want) < 1e-12
+
+
 def test_signatures_estimate():
     import numpy as np
 
