@@ -1,13 +1,16 @@
 """Language identification by cross-parsing with suffix automata.
 
 For each language a suffix automaton of a bounded sample of labelled text is built; it knows every string of the sample.
-A text is parsed greedily into the longest strings that the automaton knows (phrases), in blocks of BLOCK bytes so that
-all blocks of a batch are walked in step; the number of phrases times the logarithm of the sample's length, for each
-byte, estimates the cross entropy, and the language with the least wins. Whole texts are parsed.
+A text is parsed greedily into the longest strings that the automaton knows (phrases); the number of phrases times the
+logarithm of the sample's length, for each byte, estimates the cross entropy, and the language with the least wins. Whole
+texts are parsed, and phrases run as far as they match: texts are walked in blocks of BLOCK bytes, all blocks of a batch in
+step, first each from the root; then those whose block before ended in another state than they began with are walked
+again from that state, until none is left. (Parses from different states soon agree, so two walks are the rule.)
 
-Fitting takes at most SAMPLE_DOCS labelled documents a language, of each at most SAMPLE_CHARS characters, of these
-TRAIN_BYTES bytes; which ones is up to a hash of the id. The automata are broadcast: at most 2 * TRAIN_BYTES states for
-each of at most MAX_LANGUAGES languages (more are an error).
+Fitting takes a passage of at most SAMPLE_CHARS characters, at a place up to a hash, of each of at most SAMPLE_DOCS
+labelled documents a language, which are up to a hash of the id, until they have TRAIN_BYTES bytes. The automata are
+broadcast: at most 2 * (TRAIN_BYTES + 4 * SAMPLE_CHARS) states for each of at most MAX_LANGUAGES languages (more are an
+error).
 
 Defined cases: a text that is null or has no letter is "und" with score 0, as is any text if nothing was learned; of
 equal languages the first by name wins; repeated rows are judged each; other columns are ignored.
@@ -24,7 +27,9 @@ from minlabel.llm import text_arrays as ta
 from minlabel.llm.shared import Shared
 
 SAMPLE_DOCS, SAMPLE_CHARS, TRAIN_BYTES, MAX_LANGUAGES = 300, 4000, 60_000, 64
-BLOCK, FOLDS, HELD_OUT = 256, 3, 1
+BLOCK, FOLDS, HELD_OUT = 512, 3, 1
+#: Parts in which the rows of a language are ranked first.
+SALTS = 64
 UNKNOWN = "und"
 
 
@@ -112,18 +117,35 @@ class Model:
             inside = at < ends
             grid[k, inside] = codes[at[inside]]
         used = per > 0
-        first = np.cumsum(per) - per
+        first = (np.cumsum(per) - per)[used]
+        last = (np.cumsum(per) - 1)[used]
+        follows = np.ones(len(starts), bool)
+        follows[first] = False
         for j, table in enumerate(self.tables):
-            state, n = np.zeros(len(starts), table.dtype), np.zeros(len(starts), np.int32)
-            for row in grid:
-                v = table.take(state + row)
-                n += v & 3
-                state = v >> 2
-            n += state > 0
-            out[used, j] = np.add.reduceat(n, first[used])
+            began, state, n = np.zeros(len(starts), table.dtype), np.zeros(len(starts), table.dtype), np.zeros(len(starts), np.int32)
+            left = np.arange(len(starts))
+            while len(left):
+                state[left], n[left] = _walked(table, grid, left, began[left])
+                after = np.zeros(len(starts), table.dtype)
+                after[1:] = state[:-1]
+                left = np.flatnonzero(follows & (after != began))
+                began[left] = after[left]
+            n[last] += state[last] > 0
+            out[used, j] = np.add.reduceat(n, first)
         return out
 
 
+def _walked(table: np.ndarray, grid: np.ndarray, lanes: np.ndarray, state: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """State after each of some blocks, and the phrases that ended in it."""
+    grid = grid if len(lanes) == grid.shape[1] else grid[:, lanes]
+    n = np.zeros(len(lanes), np.int32)
+    for row in grid:
+        v = table.take(state + row)
+        n += v & 3
+        state = v >> 2
+    return state, n
+
+
 def has_letter(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """For each text; letters beyond ASCII are looked for only where there are none within."""
     ascii_letter = np.zeros(256, bool)
@@ -142,17 +164,24 @@ def fold(key: str = "doc_id", folds: int = FOLDS) -> Column:
 
 def fit(docs: DataFrame, key: str = "doc_id", lang: str = "lang") -> Model:
     """From labelled documents outside the fold that is held out."""
-    order = Window.partitionBy("lang").orderBy("h", "key")
-    labelled = docs.where((fold(key) != HELD_OUT) & F.col(lang).isNotNull())
-    ids = labelled.select(F.col(key).alias("key"), F.col(lang).alias("lang"), F.xxhash64(F.col(key)).alias("h")).withColumn("n", F.row_number().over(order)).where(F.col("n") <= SAMPLE_DOCS)
+    labelled = docs.where((fold(key) != HELD_OUT) & F.col(lang).isNotNull() & F.col("text").isNotNull())
+    found = labelled.select(F.col(lang).alias("lang")).distinct().limit(MAX_LANGUAGES + 1).count()
+    if found > MAX_LANGUAGES:
+        raise ValueError(f"over {MAX_LANGUAGES} languages; the automata are made for {MAX_LANGUAGES} at most")
+    ids = labelled.select(F.col(key).alias("key"), F.col(lang).alias("lang"), F.xxhash64(F.col(key)).alias("h")).withColumn("salt", F.pmod(F.xxhash64("h"), F.lit(SALTS)))
+    for part in (["lang", "salt"], ["lang"]):  # first in parts, so that a language's rows do not meet in one task
+        ids = ids.withColumn("n", F.row_number().over(Window.partitionBy(*part).orderBy("h", "key"))).where(F.col("n") <= SAMPLE_DOCS)
     # ids: SAMPLE_DOCS for each language at most
-    rows = labelled.select(F.col(key).alias("key"), F.substring(F.col("text").cast("string"), 1, SAMPLE_CHARS).alias("text")).join(F.broadcast(ids), "key").select("lang", "h", "key", "text")
+    text = F.col("text").cast("string")
+    begin = F.pmod(F.xxhash64(F.col(key), F.lit("passage")), F.greatest(F.length(text) - SAMPLE_CHARS, F.lit(0)) + 1).cast("int") + 1
+    rows = labelled.select(F.col(key).alias("key"), text.substr(begin, F.lit(SAMPLE_CHARS)).alias("text")).join(F.broadcast(ids.select("key", "lang", "h")), "key").select("lang", "h", "key", "text")
     samples: dict[str, list[bytes]] = {}
-    for r in sorted(rows.where("text is not null").distinct().toLocalIterator(), key=lambda r: (r.lang, r.h, r.key, r.text)):
-        samples.setdefault(r.lang, []).append(r.text.encode())
-    if len(samples) > MAX_LANGUAGES:
-        raise ValueError(f"{len(samples)} languages; the automata are made for {MAX_LANGUAGES} at most")
-    return Model({k: b"\n".join(v)[:TRAIN_BYTES] for k, v in samples.items()})
+    size: dict[str, int] = {}
+    for r in sorted(rows.distinct().toLocalIterator(), key=lambda r: (r.lang, r.h, r.key, r.text)):
+        if size.get(r.lang, 0) < TRAIN_BYTES:
+            samples.setdefault(r.lang, []).append(r.text.encode())
+            size[r.lang] = size.get(r.lang, 0) + len(samples[r.lang][-1]) + 1
+    return Model({k: b"\n".join(v) for k, v in samples.items()})
 
 
 def languages(docs: DataFrame, model: Model) -> DataFrame:

@@ -237,6 +237,35 @@ def test_language_odd(odd):
     assert got[1] == got[2] == got[6] == got[9] == "und"
 
 
+def plain_parse(sample: bytes, text: bytes) -> int:
+    """Phrases of the greedy parse, by looking for ever longer strings in the sample."""
+    n = at = 0
+    while at < len(text):
+        size = 1
+        while at + size < len(text) and text[at : at + size + 1] in sample:
+            size += 1
+        n, at = n + 1, at + size
+    return n
+
+
+def test_parse_of_whole_texts():
+    """Texts over many blocks, verbatim passages across block borders and unknown letters, against a plain parse."""
+    import random
+
+    import numpy as np
+
+    r = random.Random(3)
+    words = [bytes(r.choice(b"abcdefgh") for _ in range(r.randrange(1, 7))) for _ in range(60)]
+    samples = {"a": b" ".join(r.choice(words[:40]) for _ in range(900)), "b": b" ".join(r.choice(words[20:]) for _ in range(900))}
+    model = language_id.Model(samples)
+    texts = [samples["a"][100:2700], b"", b"z", samples["b"][5:1100] + b"qqq" + samples["b"][7:3000], b" ".join(r.choice(words) for _ in range(1500)), samples["a"][:512], samples["a"][:513]]
+    data, offsets = np.frombuffer(b"".join(texts), np.uint8), np.cumsum([0] + [len(t) for t in texts])
+    got = model.phrases(data, offsets)
+    fold = lambda t: model.classes[np.frombuffer(t, np.uint8)].tobytes()
+    assert got.tolist() == [[plain_parse(fold(samples[k]), fold(t)) for k in model.languages] for t in texts]
+    assert got[0, 0] == 1
+
+
 def test_parse_is_greedy():
     text, sample = "abcabxab", "abcab"
     auto = language_id.SuffixAutomaton(list(sample.encode()))
