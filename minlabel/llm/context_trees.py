@@ -8,9 +8,10 @@ trained tree is then held fixed: a text's score is the sum of the logarithms of
 All counts are over the whole training part. Documents are dealt to chunks by a hash; a chunk gathers its different
 words and its different strings of DEPTH + 1 bytes, with training counts, and sends them to buckets: words by hash,
 strings by their two bytes next to the last. A bucket sums the words and answers each chunk with the counts that it
-asked for; of its strings it builds the subtrees, which no other bucket shares. The upper two levels (at most 256 nodes
-of 255 decisions) come to the driver. The table of byte probabilities is broadcast in blocks of a fixed number of
-strings, each loaded in turn. Words are told by 64-bit hashes.
+asked for; of its strings it builds the subtrees, which no other bucket shares. Only the upper two levels (at most 256
+nodes of 255 decisions) come to the driver and are broadcast. With them each bucket answers every chunk with the
+probabilities of the strings that the chunk has, and a chunk's documents are scored where its answers are; so no task
+holds more of the model than its own strings. Words are told by 62-bit hashes, strings are whole.
 
 Base score: add-one unigram probabilities of words and end.
 
@@ -31,10 +32,8 @@ from minlabel.llm.shared import Shared
 from minlabel.session import stored
 
 DEPTH, FOLDS, HELD_OUT = 5, 7, 2
-#: Strings in a block of the broadcast table.
-BLOCK_ROWS = 4_000_000
 TOP = 2  # depth at which the subtrees of the buckets begin
-WORDS, GRAMS, NODES, TOTALS = range(4)
+WORDS, GRAMS, ASKED, NODES, TOTALS = range(5)
 _HALF = np.log(0.5)
 
 
@@ -206,26 +205,29 @@ def subtrees(keys: np.ndarray, counts: np.ndarray, depth: int = DEPTH):
 
 
 def _build(depth: int):
-    """Rows of a bucket (in the order of kinds) -> answers to the chunks, its strings with probabilities, its nodes at depth TOP, totals."""
+    """Rows of a bucket (in the order of kinds) -> answers to the chunks, its strings with probabilities and which of them each chunk has, its nodes at depth TOP, totals."""
 
-    def row(kind, chunk, a, b, c=b""):
-        return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([chunk], pa.int32()), *(pa.array([x], pa.binary()) for x in (a, b, c))], names=["kind", "chunk", "a", "b", "c"])
+    def row(kind, bucket, chunk, a, b=b""):
+        return pa.RecordBatch.from_arrays([*(pa.array([x], pa.int32()) for x in (kind, bucket, chunk)), *(pa.array([x], pa.binary()) for x in (a, b))], names=["kind", "bucket", "chunk", "a", "b"])
 
-    def answers(rows):
+    def answers(bucket, rows):
         asked = [(chunk, np.cumsum(_opened(a, np.uint64)), _opened(b, np.int64)) for chunk, a, b in rows]
         known, n = _counted(np.concatenate([x[1] for x in asked]), np.concatenate([x[2] for x in asked]))
-        yield row(TOTALS, -1, np.array([0, 0, int((n > 0).sum())]).tobytes(), b"")
+        yield row(TOTALS, bucket, -1, np.array([0, 0, int((n > 0).sum())]).tobytes())
         for chunk, w, _ in asked:
-            yield row(WORDS, chunk, _sealed(_steps(w)), _sealed(n[np.searchsorted(known, w)]))
+            yield row(WORDS, bucket, chunk, _sealed(_steps(w)), _sealed(n[np.searchsorted(known, w)]))
 
-    def trees(rows):
-        keys, n = _counted(np.concatenate([np.cumsum(_opened(a, np.uint64)) for _, a, _ in rows]), np.concatenate([_opened(b, np.int64) for _, _, b in rows]))
+    def trees(bucket, rows):
+        asked = [(chunk, np.cumsum(_opened(a, np.uint64))) for chunk, a, _ in rows]
+        keys, n = _counted(np.concatenate([w for _, w in asked]), np.concatenate([_opened(b, np.int64) for _, _, b in rows]))
         mixed, nodes = subtrees(keys, n, depth)
-        yield row(GRAMS, -1, _sealed(_steps(keys)), _sealed(mixed.astype(np.float32)))
+        yield row(GRAMS, bucket, -1, _sealed(_steps(keys)), _sealed(mixed.astype(np.float32)))
+        for chunk, w in asked:
+            yield row(ASKED, bucket, chunk, _sealed(_steps(np.searchsorted(keys, w).astype(np.int32))))
         for last in np.unique((keys >> np.uint64(8)) & np.uint64(0xFF)).tolist():
             own = [(x[0][pick], x[1][pick], x[2][pick], x[3][pick]) for j, x in enumerate(nodes) for pick in [((x[0] >> np.uint64(j)) & np.uint64(0xFF)) == last]]
             table = np.concatenate([np.stack((np.full(len(x[0]), j), (x[0] & np.uint64((1 << j) - 1)).astype(np.int64), x[1], x[2])) for j, x in enumerate(own)], axis=1)
-            yield row(NODES, last, _sealed(table), _sealed(np.concatenate([x[3] for x in own])))
+            yield row(NODES, bucket, last, _sealed(table), _sealed(np.concatenate([x[3] for x in own])))
 
     def run(batches):
         bucket = kind = None
@@ -234,9 +236,9 @@ def _build(depth: int):
         def done():
             if kind == TOTALS:
                 for _, a, _ in rows:
-                    yield row(TOTALS, -1, np.append(np.frombuffer(a, np.int64), 0).tobytes(), b"")
+                    yield row(TOTALS, bucket, -1, np.append(np.frombuffer(a, np.int64), 0).tobytes())
             elif rows:
-                yield from (answers if kind == WORDS else trees)(rows)
+                yield from (answers if kind == WORDS else trees)(bucket, rows)
 
         for batch in batches:
             for b, k, chunk, x, y in zip(*(batch.column(c).to_pylist() for c in ("bucket", "kind", "chunk", "a", "b"))):
@@ -249,6 +251,23 @@ def _build(depth: int):
     return run
 
 
+def _told(top: Shared):
+    """A bucket's strings, then what each chunk has of them -> the chunk's strings and the logarithms of their probabilities."""
+
+    def run(batches):
+        keys = values = None
+        for batch in batches:
+            for kind, chunk, a, b in zip(*(batch.column(c).to_pylist() for c in ("kind", "chunk", "a", "b"))):
+                if kind == GRAMS:
+                    keys = np.cumsum(_opened(a, np.uint64))
+                    values = top.value.logarithms(keys, _opened(b, np.float32).reshape(-1, 8)).astype(np.float32)
+                    continue
+                own = np.cumsum(_opened(a, np.int32))
+                yield pa.RecordBatch.from_arrays([pa.array([GRAMS], pa.int32()), pa.array([chunk], pa.int32()), pa.array([_sealed(_steps(keys[own]))], pa.binary()), pa.array([_sealed(values[own])], pa.binary())], names=["kind", "chunk", "a", "b"])
+
+    return run
+
+
 class Top:
     """The tree's upper two levels."""
 
@@ -337,31 +356,36 @@ def _nodes_of_last(key, group):
     return pa.table({"last": pa.array([key[0].as_py()], pa.int32()), "nodes": pa.array([np.stack((ids >> 8, ids & 0xFF, *sums)).astype(np.float64).tobytes()], pa.binary())})
 
 
-def _scored(blocks, tokens: int, distinct: int, ends: int, depth: int):
+def _scored(tokens: int, distinct: int, ends: int, depth: int):
     """Rows of a chunk, answers first -> scores."""
     names = ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score", "bits_per_byte"]
     whole = np.log10(tokens + distinct + 1.0)
 
+    def gathered(rows, kind):
+        return _counted(np.concatenate([x for x, _ in rows]), np.concatenate([x for _, x in rows])) if rows else (np.zeros(0, np.uint64), np.zeros(0, kind))
+
     def run(batches):
         hasher, tables = ta.Hasher(), _tables()
-        chunk, known, asked = None, None, []
+        chunk, known, asked = None, None, {}
         for batch in batches:
-            numbers, isword = batch.column("chunk").to_numpy(), batch.column("a").is_valid().to_numpy(zero_copy_only=False)
-            cut = np.flatnonzero(np.concatenate(([True], (numbers[1:] != numbers[:-1]) | (isword[1:] != isword[:-1])))).tolist() if len(numbers) else []
+            numbers, answer = batch.column("chunk").to_numpy(), batch.column("a").is_valid().to_numpy(zero_copy_only=False)
+            cut = np.flatnonzero(np.concatenate(([True], (numbers[1:] != numbers[:-1]) | (answer[1:] != answer[:-1])))).tolist() if len(numbers) else []
             for lo, hi in zip(cut, [*cut[1:], len(numbers)]):
                 part = batch.slice(lo, hi - lo)
                 if numbers[lo] != chunk:
-                    chunk, known, asked = numbers[lo], None, []
-                if isword[lo]:
-                    asked += [(np.cumsum(_opened(a, np.uint64)), _opened(b, np.int64)) for a, b in zip(part.column("a").to_pylist(), part.column("b").to_pylist())]
+                    chunk, known, strings, asked = numbers[lo], None, None, {WORDS: [], GRAMS: []}
+                if answer[lo]:
+                    for kind, a, b in zip(*(part.column(c).to_pylist() for c in ("kind", "a", "b"))):
+                        asked[kind].append((np.cumsum(_opened(a, np.uint64)), _opened(b, np.int64 if kind == WORDS else np.float32)))
                     continue
                 if known is None:
-                    known = _counted(np.concatenate([x[0] for x in asked]), np.concatenate([x[1] for x in asked])) if asked else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-                    asked, cost = [], np.log10(known[1] + 1.0)
+                    known = gathered(asked[WORDS], np.int64)
+                    cost = np.log10(known[1] + 1.0)
+                    strings = Lookup(*(np.concatenate(x) for x in zip(*asked[GRAMS]))) if asked[GRAMS] else Lookup(np.zeros(0, np.uint64), np.zeros(0, np.float32))
+                    asked = {}
                 data, offsets = ta.byte_arrays(part.column("text"))
                 n = len(offsets) - 1
                 n_words, n_known, base, score = (np.zeros(n, t) for t in (np.int64, np.int64, np.float64, np.float64))
-                work = []
                 for i, j in ta.slices(offsets):
                     own = offsets[i : j + 1] - offsets[i]
                     w, at, g = _words_and_strings(data[offsets[i] : offsets[j]], own, hasher, tables, depth)
@@ -372,16 +396,7 @@ def _scored(blocks, tokens: int, distinct: int, ends: int, depth: int):
                             sums = np.concatenate((np.zeros(1, target.dtype), np.cumsum(x, dtype=target.dtype)))
                             target[i:j] = sums[at[1:]] - sums[at[:-1]]
                     out = np.zeros(len(g), np.float32)
-                    if len(blocks) == 1:
-                        blocks[0].value.add(g, out)
-                        score[i:j] = _sums(out, own)
-                    else:
-                        work.append((i, j, own, g, out))
-                for b in blocks if work else ():
-                    for _, _, _, g, out in work:
-                        b.value.add(g, out)
-                    b.release()  # one block in memory at a time
-                for i, j, own, _, out in work:
+                    strings.add(g, out)
                     score[i:j] = _sums(out, own)
                 base += np.log10(ends + 1.0) - (n_words + 1) * whole
                 size = np.maximum(np.diff(offsets), 1)
@@ -395,7 +410,7 @@ def _sums(x: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return total[offsets[1:]] - total[offsets[:-1]]
 
 
-def scores(docs: DataFrame, depth: int = DEPTH, block_rows: int = BLOCK_ROWS) -> DataFrame:
+def scores(docs: DataFrame, depth: int = DEPTH) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of each row."""
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -405,7 +420,7 @@ def scores(docs: DataFrame, depth: int = DEPTH, block_rows: int = BLOCK_ROWS) ->
         F.pmod(F.xxhash64("doc_id", "text"), F.lit(parts)).cast("int").alias("chunk"),
     )
     sent = given.select("chunk", "trained", "text").repartitionById(parts, F.col("chunk")).mapInArrow(_gather(parts, depth), "bucket int, kind int, chunk int, a binary, b binary")
-    built = stored(sent.repartitionById(parts, F.col("bucket")).sortWithinPartitions("bucket", "kind").mapInArrow(_build(depth), "kind int, chunk int, a binary, b binary, c binary"), "context-trees")
+    built = stored(sent.repartitionById(parts, F.col("bucket")).sortWithinPartitions("bucket", "kind").mapInArrow(_build(depth), "kind int, bucket int, chunk int, a binary, b binary"), "context-trees")
 
     totals = [np.frombuffer(r.a, np.int64) for r in built.where(F.col("kind") == TOTALS).select("a").toLocalIterator()]  # one for each chunk and bucket
     words, ends, distinct = np.sum(totals, axis=0).tolist() if totals else (0, 0, 0)
@@ -413,23 +428,10 @@ def scores(docs: DataFrame, depth: int = DEPTH, block_rows: int = BLOCK_ROWS) ->
     # at most 256 rows of at most 255 nodes
     top = Shared(spark.sparkContext, Top([(r.last, r.nodes) for r in built.where(F.col("kind") == NODES).select("chunk", "a", "b").groupBy("chunk").applyInArrow(_nodes_of_last, "last int, nodes binary").collect()]))
 
-    def finished(batches):
-        for batch in batches:
-            for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist()):
-                keys = np.cumsum(_opened(a, np.uint64))
-                yield pa.RecordBatch.from_arrays([pa.array(keys.astype(np.int64)), pa.array(top.value.logarithms(keys, _opened(b, np.float32).reshape(-1, 8)).astype(np.float32))], names=["key", "value"])
-
-    model = stored(built.where(F.col("kind") == GRAMS).select("a", "b").mapInArrow(finished, "key bigint, value float"), "byte-model")
-    n = max(1, -(-model.count() // block_rows))
-    blocks = []
-    for k in range(n):  # the driver holds one block at a time
-        own = model if n == 1 else model.where(F.pmod(F.xxhash64("key"), F.lit(n)) == k)
-        held = own.toArrow()
-        blocks.append(Shared(spark.sparkContext, Lookup(held.column("key").to_numpy().astype(np.uint64), held.column("value").to_numpy())))
-
-    answers = built.where(F.col("kind") == WORDS).select("chunk", "a", "b")
+    trees = built.where(F.col("kind").isin(GRAMS, ASKED)).repartitionById(parts, F.col("bucket")).sortWithinPartitions("bucket", "kind")
+    answers = built.where(F.col("kind") == WORDS).select("kind", "chunk", "a", "b").unionByName(trees.mapInArrow(_told(top), "kind int, chunk int, a binary, b binary"))
     none = lambda kind, name: F.lit(None).cast(kind).alias(name)
     kind = given.schema["doc_id"].dataType.simpleString()
-    rows = answers.select("chunk", "a", "b", none(kind, "doc_id"), none("boolean", "held_out"), none("string", "text")).unionByName(given.select("chunk", none("binary", "a"), none("binary", "b"), "doc_id", "held_out", "text"))
+    rows = answers.select("kind", "chunk", "a", "b", none(kind, "doc_id"), none("boolean", "held_out"), none("string", "text")).unionByName(given.select(none("int", "kind"), "chunk", none("binary", "a"), none("binary", "b"), "doc_id", "held_out", "text"))
     dealt = rows.repartitionById(parts, F.col("chunk")).sortWithinPartitions("chunk", F.col("a").isNull())
-    return dealt.mapInArrow(_scored(blocks, int(tokens), int(distinct), int(ends), depth), f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double, bits_per_byte double")
+    return dealt.mapInArrow(_scored(int(tokens), int(distinct), int(ends), depth), f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double, bits_per_byte double")
