@@ -18,6 +18,10 @@ EVERY = ("sync2", "order1", "order2", "orderm", "low_then_high", "alternate", "b
 ON_ALL = ("order2", "orderm", "union_find")
 FULL = ("customer_order", "order_part_sparse", "doc_exact", "page_host", "conversation_chain")
 SPARSE = "order_part_sparse"
+VARIANTS = {
+    "retired": {"retire": True}, "contracted": {"contract_after": 1}, "fused": {"early_check": "fused"}, "synchronous": {"update": "sync"},
+    "in_small_blocks": {"block_edges": 300}, "one_sweep": {"local_sweeps": 1, "block_edges": 300},
+}
 #: Graphs whose edges have SQL.
 LISTED = [w.name for w in WORKLOADS.values() if w.edges]
 
@@ -117,13 +121,14 @@ def _reports() -> dict[str, tuple[Callable, str | None]]:
         "subgraph_components": (subgraph, f"select cast(id as bigint) as id, cast(label as bigint) as label from ({recursive(kept.format(big.edges), f'select id from (select src as id from ({big.edges}) union select dst from ({big.edges}) union {big.vertices}) where id % 3 > 0')})"),
         "min_neighbour_label": (lambda s, d: (lambda g: mapping.neighbour_minimum(g.prepared(4), mapping.init_labels(g.vertices), "label"))(small.build(s, d)), f"select id, min(n) as label from (select src as id, dst as n from ({small.edges}) union all select dst, src from ({small.edges})) group by id"),
         "graph_catalog": (lambda s, d: graph_catalog(s, d, LISTED), " union all ".join(f"select '{w.name}' as graph, {k} as number, (select count(*) from (select distinct src, dst from ({w.edges}))) as edges, (select count(*) from (select src from ({w.edges}) union select dst from ({w.edges}))) as vertices" for k, w in enumerate((WORKLOADS[x] for x in LISTED), 1))),
-        "experiment_iterations": (lambda s, d: measures.iterations(experiments.traces(s, d, [SPARSE, "customer_order"])).select("graph", "method", "iterations"), None),
-        "experiment_order_relation": (lambda s, d: measures.order_relation(experiments.traces(s, d, [SPARSE, "customer_order"], ("orderm", "order2", "order1"))), "select graph, true as holds from (values ('order_part_sparse'), ('customer_order')) t(graph)"),
-        "experiment_speedup_hook_compress": (lambda s, d: experiments.speedups(s, d, [SPARSE, "customer_day"]), None),
-        "experiment_speedup_union_find": (lambda s, d: experiments.speedups(s, d, [SPARSE, "customer_day"], "union_find"), None),
-        "experiment_growth": (lambda s, d: experiments.growth(s, range(10, 13, 2), methods=("order2", "union_find")), None),
-        "experiment_ablation": (lambda s, d: experiments.ablation(s, d, SPARSE), None),
-        "experiment_communication": (lambda s, d: experiments.communication(s, d, [SPARSE], ("order2", "orderm", "hook_compress")), None),
+        "experiment_iterations": (lambda s, d: measures.iterations(experiments.traces(s, d, reports.MEASURED)).select("graph", "method", "iterations"), None),
+        "experiment_order_relation": (lambda s, d: measures.order_relation(experiments.traces(s, d, reports.MEASURED, ("orderm", "order2", "order1"))), f"select graph, true as holds from (values {', '.join(f'({n!r})' for n in reports.MEASURED)}) t(graph)"),
+        "experiment_speedup_hook_compress": (lambda s, d: experiments.speedups(s, d, reports.MEASURED), None),
+        "experiment_speedup_union_find": (lambda s, d: experiments.speedups(s, d, reports.MEASURED, "union_find"), None),
+        "experiment_growth": (lambda s, d: experiments.growth(s, range(10, 15, 4), methods=("order2", "orderm", "union_find", "hook_compress")), None),
+        "experiment_cores": (lambda s, d: experiments.core_times(s, SPARSE, d, (1, 4)), None),
+        "experiment_ablation": (lambda s, d: experiments.ablation(s, d, [SPARSE, "customer_day"]), None),
+        "experiment_communication": (lambda s, d: experiments.communication(s, d, reports.SHALLOW), None),
     }
     for name in (SPARSE, "customer_day"):
         out[f"validate_{name}"] = (checked(WORKLOADS[name]), zero)
@@ -139,13 +144,13 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     for name in WORKLOADS:
         for m in EVERY if name in FULL else ON_ALL:
             out[f"cc_{m}_{name}"] = partial(components, graph=name, method=m)
-    out |= {f"cc_{k}_{SPARSE}": partial(components, graph=SPARSE, method="order2", **o) for k, o in (("retired", {"retire": True}), ("contracted", {"contract_after": 1}), ("fused", {"early_check": "fused"}))}
+    out |= {f"cc_{k}_{SPARSE}": partial(components, graph=SPARSE, method="order2", **o) for k, o in VARIANTS.items()}
     out[f"cc_schedule_{SPARSE}"] = partial(components, graph=SPARSE, method="schedule", orders=[1, 3, 2])
     return out | _states() | {k: f for k, (f, _) in _reports().items()} | relational.QUERIES | reports.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    out = {k: WORKLOADS[k.split("_", 1)[1].removeprefix(next(m for m in (*EVERY, "retired", "contracted", "fused", "schedule") if k.startswith(f"cc_{m}_") and k[len(m) + 4 :] in WORKLOADS) + "_")].oracle() for k in queries() if k.startswith("cc_")}
+    out = {k: WORKLOADS[k.split("_", 1)[1].removeprefix(next(m for m in (*EVERY, *VARIANTS, "schedule") if k.startswith(f"cc_{m}_") and k[len(m) + 4 :] in WORKLOADS) + "_")].oracle() for k in queries() if k.startswith("cc_")}
     shown = "select cast(id as bigint) as id, cast(label as bigint) as label from l{}"
     out |= {f"minmap_o{h}_k{k}": _state_sql(h, k, shown.format(k)) for h in (1, 2) for k in (1, 2)}
     square = "(select a.id, b.label from l1 a join l1 b on a.label = b.id)"

@@ -282,7 +282,8 @@ def _run_in_place(graph: Graph, method: str, orders, opts: Options, n: int) -> C
             break
         trace.append((graph.name, method, k, h, changed, left, edge_rows, time.perf_counter() - began))
         edge_rows = left
-        edges = _followed(step, h, scratch) if left > opts.block_edges and h > 1 else step.where("a is not null").select("a", "b")
+        follow = left and h > 1 and (left > opts.block_edges or opts.local_sweeps)  # a block that is settled next follows by itself
+        edges = _followed(step, h, scratch) if follow else step.where("a is not null").select("a", "b")
     labels = _composed_steps(steps, scratch)
     if graph.given is not None:
         more = graph.given.select("id", F.col("id").alias("label")).unionByName(labels.select(F.col("label").alias("id"), "label"))

@@ -11,8 +11,15 @@ from minlabel.graph import Graph
 from minlabel.operators import mapping
 from minlabel.session import stored
 
-# Rows that are made by a round are counted in units of directed edges (E) and of vertices (V).
-EXCHANGES = {"order1": (1, 1), "order2": (1, 3), "sync2": (1, 3), "hook_compress": (2, 4), "block_async": (3, 2), "label_propagation": (2, 1), "bfs": (1, 1)}
+# Rows that the exchanges of a synchronous round carry, in units of directed edges (E) and of vertices (V): of the edge
+# aggregate, of the labels' join, and of what a method sends beside them.
+EXCHANGES = {"hook_compress": (2, 4), "block_async": (1, 4), "label_propagation": (2, 1), "bfs": (1, 1)}
+
+
+def order_exchanges(order: int) -> tuple[int, int]:
+    """Of a synchronous round of an order: log2 of it pointer tables, of three exchanges each (used, moving, looked up), and as many upward aggregates."""
+    doublings = max(order.bit_length() - 1, 0)
+    return 1, 1 + 4 * doublings
 
 
 def iteration_bound(diameter: int) -> int:
@@ -53,10 +60,17 @@ def speedups(times: DataFrame, base: str) -> DataFrame:
     return times.where(F.col("method") != base).join(own, "graph").groupBy("method").agg(F.avg(ratio).alias("mean_speedup"), F.count_if(ratio > 1).alias("wins"), F.count("*").alias("graphs"))
 
 
-def exchange_rows(method: str, n: int, m: int, rounds: int) -> int:
-    """Rows that the rounds send, before combining."""
-    e, v = EXCHANGES.get(method, EXCHANGES["order2"])
-    return rounds * (e * 2 * m + v * n)
+def exchange_rows(method: str, n: int, m: int, trace: list[tuple]) -> int:
+    """Rows that the rounds of a run send, before combining. In-place rounds send a pointer of each id that changes and the edges that are left (changed, violations of the trace), once by id and once more in the end; the first one no other edges."""
+    if method == "union_find":  # every forest holds an id once, and is sent once for each merge
+        return 2 * n
+    if any(row[6] is None for row in trace) and method not in EXCHANGES:  # in place: the first round counts no edges
+        return sum(2 * row[4] + row[5] for row in trace) + n
+    total = 0
+    for row in trace:
+        e, v = EXCHANGES.get(method) or order_exchanges(row[3])
+        total += e * 2 * m + v * n
+    return total
 
 
 def work_depth(m: int, rounds: int, cores: int) -> float:
@@ -86,7 +100,7 @@ def graph_stats(g: Graph, sweep: bool = True) -> dict:
 
 
 def diameters(g: Graph, labels: DataFrame, most: int = 10_000) -> DataFrame:
-    """component and a lower bound of its diameter, by two sweeps of breadth-first search in all components at once: from the smallest id, then from a vertex that is farthest from it."""
+    """component and a lower bound of its diameter, by two sweeps of breadth-first search in all components at once: from the smallest id, then from a vertex that is farthest from it. A component that a sweep has not left after most hops is an error."""
     first = _sweep(g, labels.where("id = label").select("id", F.col("label").alias("component")), most)
     return _sweep(g, first.select("id", "component"), most).select("component", "diameter")
 
@@ -98,6 +112,21 @@ def diameter(g: Graph, most: int = 10_000) -> int:
     return diameters(g, connected_components(g, "order2").labels, most).agg(F.max("diameter")).first()[0] or 0
 
 
+def exact_diameters(g: Graph, labels: DataFrame, most_vertices: int = 5_000) -> DataFrame:
+    """component and its diameter: distances between all vertices of each component, by a search from every vertex at once. For graphs of at most most_vertices."""
+    if g.vertices.count() > most_vertices:
+        raise ValueError(f"exact diameters are for graphs of at most {most_vertices} vertices")
+    directed = g.prepared(int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    seen = frontier = stored(labels.select("id", F.col("id").alias("start"), F.col("label").alias("component"), F.lit(0).alias("depth")))
+    depth = 0
+    while not frontier.isEmpty():
+        depth += 1
+        near = directed.join(frontier.select(F.col("id").alias("src"), "start", "component"), "src").select(F.col("dst").alias("id"), "start", "component").distinct()
+        frontier = stored(near.join(seen.select("id", "start"), ["id", "start"], "left_anti").withColumn("depth", F.lit(depth)))
+        seen = stored(seen.unionByName(frontier))
+    return seen.groupBy("component").agg(F.max("depth").alias("diameter"))
+
+
 def _sweep(g: Graph, starts: DataFrame, most: int) -> DataFrame:
     """component, diameter (hops to the last vertex that is reached) and id (the smallest one at that distance), from one start in each component."""
     directed = g.prepared(int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
@@ -108,6 +137,8 @@ def _sweep(g: Graph, starts: DataFrame, most: int) -> DataFrame:
         if frontier.isEmpty():
             break
         seen = stored(seen.unionByName(frontier)) if depth % 8 == 0 else seen.unionByName(frontier)
+    else:
+        raise ValueError(f"a component reaches over {most} hops; ask for more")
     return seen.groupBy("component").agg(F.max("depth").alias("diameter"), F.max_by("id", F.struct("depth", -F.col("id"))).alias("id"))
 
 

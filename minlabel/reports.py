@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from minlabel import relational, schemas
+from minlabel import relational
 from minlabel.functions.sql import register_result, register_sql
 from minlabel.graph import Graph
 from minlabel.operators import mapping
@@ -19,7 +19,9 @@ ORACLES: dict[str, str] = {}
 query = relational.registrar(QUERIES, ORACLES)
 
 SPARSE, BIG = WORKLOADS["order_part_sparse"], WORKLOADS["customer_order"]
-MEASURED = ("order_part_sparse", "customer_day", "fk_hierarchy")
+SHALLOW = ("order_part_sparse", "customer_day", "fk_hierarchy")
+#: Graphs of the measures of methods: shallow ones, chains, a dense one, and a lattice with shuffled ids.
+MEASURED = (*SHALLOW, "user_prop", "conversation_chain", "event_user_chain", "event_value_chain", "lattice12p")
 BOUNDED = ("order2", "orderm", "low_then_high", "alternate", "sync2")
 
 
@@ -90,11 +92,11 @@ def order1_spreads_one_hop(spark, d):
     return spark.createDataFrame(rows, "points int, settled bigint, round bigint")
 
 
-@query(_all_true([f"('{n}')" for n in MEASURED]))
+@query(_all_true([f"('{n}')" for n in SHALLOW]))
 def merged_minimum_chain(spark, d):
     """Labels in use after a round are among those in use before it."""
     rows = []
-    for name in MEASURED:
+    for name in SHALLOW:
         g = WORKLOADS[name].build(spark, d)
         labels, states = mapping.init_labels(g.vertices), []
         for _ in range(3):
@@ -128,27 +130,35 @@ def root_tree_constraint(spark, d):
 # Measures of the methods over several graphs.
 
 
-_runs: dict[tuple, list] = {}
+def _trace(spark, d, graphs=MEASURED, methods=experiments.COMPARED) -> DataFrame:
+    return experiments.traces(spark, d, graphs, methods)
 
 
-def _trace(spark, d, graphs=MEASURED, methods=experiments.COMPARED) -> DataFrame:
-    """Rounds of the methods on the graphs. All measures of a session are of the same runs, which are few rows each."""
-    rows = []
-    for graph in graphs:
-        for method in methods:
-            run = (spark.sparkContext.applicationId, d, graph, method)
-            if run not in _runs:
-                _runs[run] = connected_components(WORKLOADS[graph].build(spark, d), method).trace
-            rows += _runs[run]
-    return spark.createDataFrame(rows, schemas.TRACE)
+RELATIONS = (("orderm", "order2"), ("order2", "order1"), ("order2", "sync2"), ("sync2", "hook_compress"), ("low_then_high", "hook_compress"), ("alternate", "hook_compress"), ("union_find", "orderm"))
+
+
+def _related(graph: str):
+    """Which method takes at most as many rounds as which, on one graph."""
+
+    def run(spark, d):
+        by = {m: len(experiments.rounds_of(spark, d, graph, m)) for m in experiments.COMPARED if experiments.runs(graph, m)}
+        rows = [(graph, a, b, by[a] <= by[b]) for a, b in RELATIONS if a in by and b in by]
+        return spark.createDataFrame(rows, "graph string, method string, other string, holds boolean")
+
+    return run
+
 
+for _graph in MEASURED:
+    QUERIES[f"experiment_iterations_{_graph}"] = _related(_graph)
+    ORACLES[f"experiment_iterations_{_graph}"] = _all_true([f"('{_graph}', '{a}', '{b}')" for a, b in RELATIONS if experiments.runs(_graph, a) and experiments.runs(_graph, b)], "graph, method, other")
 
-@query(_all_true([f"('{n}', '{m}')" for n in MEASURED for m in BOUNDED], "graph, method"))
+
+@query(_all_true([f"('{n}', '{m}')" for n in SHALLOW for m in BOUNDED], "graph, method"))
 def iteration_bound_holds(spark, d):
     """Rounds that lowered a label against the bound that follows from the diameter found by two sweeps."""
-    most = {n: measures.iteration_bound(measures.diameter(WORKLOADS[n].build(spark, d))) for n in MEASURED}
+    most = {n: measures.iteration_bound(measures.diameter(WORKLOADS[n].build(spark, d))) for n in SHALLOW}
     bound = spark.createDataFrame(list(most.items()), "graph string, bound int")
-    rounds = _trace(spark, d, methods=BOUNDED).groupBy("graph", "method").agg(F.count_if(F.col("changed") > 0).alias("iterations"))
+    rounds = _trace(spark, d, SHALLOW, BOUNDED).groupBy("graph", "method").agg(F.count_if(F.col("changed") > 0).alias("iterations"))
     return rounds.join(bound, "graph").select("graph", "method", (F.col("iterations") <= F.col("bound")).alias("holds"))
 
 
@@ -172,7 +182,7 @@ def trace_deltas(spark, d):
     return measures.trace_deltas(_trace(spark, d, methods=("order2", "sync2"))).select("graph", "method", "iteration", "changed", "before")
 
 
-@query("select graph, method, true as holds from (values ('order_part_sparse', 'sync2'), ('customer_day', 'sync2'), ('fk_hierarchy', 'sync2')) t(graph, method)")
+@query(_all_true([f"('{n}', 'sync2')" for n in MEASURED], "graph, method"))
 def hooking_rounds_match(spark, d):
     """The synchronous variant takes at most as many rounds as hooking and compressing."""
     by = measures.iterations(_trace(spark, d, methods=("sync2", "hook_compress"))).groupBy("graph").pivot("method", ["sync2", "hook_compress"]).agg(F.max("iterations"))
@@ -189,12 +199,23 @@ def work_depth(spark, d):
 @query()
 def recommended_methods(spark, d):
     rows = []
-    for name in MEASURED:
-        stats = measures.graph_stats(WORKLOADS[name].build(spark, d))
+    for name in SHALLOW:
+        stats, finished = advisor.sampled_stats(WORKLOADS[name].build(spark, d))
         for cores in (8, 1024):
-            r = advisor.recommend_method(stats, cores)
-            rows.append((name, cores, stats["diameter_lb"], r.method, r.reason))
-    return spark.createDataFrame(rows, "graph string, cores int, diameter_lb int, method string, reason string")
+            r = advisor.recommend_method(stats, cores, finished)
+            rows.append((name, cores, stats["diameter_lb"], finished, r.method, r.reason))
+    return spark.createDataFrame(rows, "graph string, cores int, diameter_lb int, finished_share double, method string, reason string")
+
+
+@query("select 31 as hops, 'path32' as graph union all select 4, 'cycle8' union all select 2, 'star9' union all select 1, 'clique5'")
+def exact_diameters(spark, d):
+    """Of graphs whose diameters are known."""
+    out = None
+    for kind, n in (("path", 32), ("cycle", 8), ("star", 9), ("clique", 5)):
+        g = generate(spark, kind, n)
+        row = measures.exact_diameters(g, connected_components(g).labels).agg(F.max("diameter").alias("hops")).withColumn("graph", F.lit(f"{kind}{n}"))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query(f"select label as component, cast(case when count(*) > 2 then 2 else count(*) - 1 end as integer) as diameter from ({BIG.oracle()}) group by label")
@@ -208,11 +229,11 @@ def _degrees(name: str) -> str:
     return f"select '{name}' as graph, count(*) as n, max(degree) as max_degree, round(avg(degree), 9) as mean_degree from (select id, count(*) as degree from ({_ends(WORKLOADS[name].edges)}) group by id)"
 
 
-@query(" union all ".join(map(_degrees, (*MEASURED, "order_part", "part_supplier"))))
+@query(" union all ".join(map(_degrees, (*SHALLOW, "order_part", "part_supplier"))))
 def degree_profiles(spark, d):
     """Even or steep: the largest degree against the mean."""
     out = None
-    for name in (*MEASURED, "order_part", "part_supplier"):
+    for name in (*SHALLOW, "order_part", "part_supplier"):
         row = measures.degrees(WORKLOADS[name].build(spark, d).edges).agg(F.count("*").alias("n"), F.max("degree").alias("max_degree"), F.round(F.avg("degree"), 9).alias("mean_degree")).select(F.lit(name).alias("graph"), "*")
         out = row if out is None else out.unionByName(row)
     return out

@@ -81,6 +81,7 @@ def test_advice():
     assert advisor.recommend_method(stats | {"diameter_lb": 20}, 4).method == "order2"
     assert advisor.recommend_method(stats | {"diameter_lb": 2000}, 4).method == "orderm"
     assert advisor.recommend_method(stats, 4, 0.9).method == "low_then_high"
+    assert advisor.recommend_method(stats, 4, 0.4).method == "alternate"
     assert advisor.recommend_method(stats | {"m": 10**10}, 4).method == "union_find"
 
 

@@ -154,3 +154,46 @@ def test_edges_stay_where_they_are(spark):
         assert head.rstrip().splitlines()[-1].count("Exchange") == 0
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_in_place_rounds(spark):
+    """Many small blocks: labels, fewer edges each round, and orders that differ."""
+    r = random.Random(9)
+    ids = list(range(200))
+    r.shuffle(ids)
+    edges = list(zip(ids, ids[1:120])) + [(ids[150], v) for v in ids[151:199]] + [(ids[0], ids[0]), (ids[3], ids[4])]
+    g, want = made(spark, edges, 201), union_find(range(201), edges)
+    for order in (1, 2, 1024):
+        for sweeps in (1, 0):
+            got = connected_components(g, "schedule", orders=[order], block_edges=7, local_sweeps=sweeps)
+            assert labels(got) == want
+            assert got.trace[-1][5] == 0 and all(a[5] > b[5] for a, b in zip(got.trace, got.trace[1:]))
+
+
+def test_block_kernels():
+    import numpy as np
+    import pyarrow as pa
+
+    from minlabel.operators import kernels
+
+    r = np.random.default_rng(2)
+    a, b = r.integers(0, 400, 500), r.integers(0, 400, 500)
+    want = union_find({*a.tolist(), *b.tolist()}, list(zip(a.tolist(), b.tolist())))
+    batches = [pa.RecordBatch.from_arrays([pa.array(a[k : k + 50]), pa.array(b[k : k + 50])], names=["src", "dst"]) for k in range(0, 500, 50)]
+    for order in (1, 2, 5, 1024):
+        for sweeps in (0, 1):
+            rows = pa.Table.from_batches(kernels.thinning_kernel(order, sweeps, 120)(batches)).to_pylist()
+            links = [(x["id"], x["down"]) for x in rows if x["down"] is not None]
+            assert all(x >= y for x, y in links) and union_find(want, links) == want
+            assert {x["id"] for x in rows if x["down"] is None} >= {y for x, y in links if y < x}
+    got = {}
+    for batch in kernels.forest_kernel(1000)(batches):
+        got |= dict(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+    assert got == want
+
+
+def test_contradictory_options(spark):
+    g = made(spark, [(0, 1)], 2)
+    for method, options in (("orderm", {"orders": [1]}), ("order2", {"order": 5}), ("sync2", {"update": "in_place"}), ("order2", {"update": "in_place", "retire": True}), ("block_async", {"update": "sync"}), ("order2", {"update": "later"})):
+        with pytest.raises(ValueError):
+            connected_components(g, method, **options)
