@@ -11,9 +11,11 @@ with & and < in texts (also > and " in roles) written as entities, so that no co
 reading back is exact. The loss mask is a list of ranges of code points of the output: each assistant text.
 
 Defined cases: null roles and texts are empty; a message whose parent is missing is a root; messages on a cycle of
-replies have no root and are left out; equal scores go by the smaller leaf id; repeated messages of a linear table are
-turns of their own, ordered by turn, role and text; messages of a null tree are one tree, like any other, with a null
-key in the result; other columns are ignored; empty tables give no conversations.
+replies have no root and are left out; equal scores go by the smaller leaf id; of several messages of one node the one
+with the highest score stands, then the one with the smallest parent, role and text; repeated messages of a linear table
+are turns of their own, ordered by turn, role and text; messages of a null tree are one tree, like any other, with a
+null key in the result; messages without a node are left out, as nothing can answer them or tell them apart; other
+columns are ignored; empty tables give no conversations.
 """
 
 from __future__ import annotations
@@ -39,6 +41,14 @@ def linear_messages(rows: DataFrame, tree: str = "conv_id", turn: str = "turn")
     return out.select("tree", "node", F.when(F.col("node") > 1, F.col("node") - 1).alias("parent"), "role", "text", F.lit(0.0).alias("score"))
 
 
+def one_for_each_node(messages: DataFrame) -> DataFrame:
+    """messages without further rows of a node; the struct's order is the order of preference."""
+    role, text = (F.coalesce(c, F.lit("")).alias(c) for c in ("role", "text"))
+    best = F.min(F.struct((-F.coalesce(F.col("score"), F.lit(0.0))).alias("less"), "parent", role, text)).alias("m")
+    out = messages.where("node is not null").groupBy("tree", "node").agg(best)
+    return out.select("tree", "node", "m.parent", "m.role", "m.text", (-F.col("m.less")).alias("score"))
+
+
 def branches(messages: DataFrame, keep: int = 1) -> DataFrame:
     """tree, leaf, place (0 at the root), node: the messages of the best branches of each tree."""
     # the key is wrapped: a struct with a null inside is joined as any other key
@@ -99,8 +109,10 @@ def parsed(conversation: str) -> list[tuple[str, str]]:
     return out
 
 
-def conversations(messages: DataFrame, keep: int = 1) -> DataFrame:
-    """tree, leaf, conversation, loss_starts, loss_ends: the best branches of each tree, formatted."""
+def conversations(messages: DataFrame, keep: int = 1, repeated: bool = True) -> DataFrame:
+    """tree, leaf, conversation, loss_starts, loss_ends: the best branches of each tree, formatted. repeated: nodes may have several messages; linear_messages has none such."""
+    if repeated:
+        messages = stored(one_for_each_node(messages), "messages")
     rows = branches(messages, keep).withColumn("tree", F.struct("tree")).join(messages.select(F.struct("tree").alias("tree"), "node", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")), ["tree", "node"]).withColumn("tree", F.col("tree.tree"))
     grouped = rows.groupBy("tree", "leaf").agg(F.sort_array(F.collect_list(F.struct("place", "role", "text"))).alias("turns"))
 

@@ -48,7 +48,7 @@ def op8_token_counts(spark, sf_dir):
 def op9_chat_formatting(spark, sf_dir):
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     trap = spark.createDataFrame([(chat_formatting.TRAP_ID, turn, role, chat_formatting.TRAP) for turn, role in ((0, "user"), (1, "assistant"))], rows.schema)
-    return chat_formatting.digests(chat_formatting.conversations(chat_formatting.linear_messages(rows.unionByName(trap))))
+    return chat_formatting.digests(chat_formatting.conversations(chat_formatting.linear_messages(rows.unionByName(trap)), repeated=False))
 
 
 def op10_personal_data(spark, sf_dir):
