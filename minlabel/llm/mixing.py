@@ -2,17 +2,18 @@
 
 A source's rate is the mean number of copies of its documents that gives it its share of the bytes of the mixture:
 weight * scale * all bytes / bytes of the source. Each document's number of copies is the value at which the Poisson
-distribution function of that mean passes a uniform number, which is a hash of the seed and the document's id; so any
-run, on any number of machines, gives the same copies. Copies are dealt to partitions by a second hash, which orders
-the whole mixture at random: partition p holds the p-th part of its range, so no sampling job and no hot key arise.
+distribution function of that mean passes a uniform number, which is a hash of the seed, the document's id and its
+text; so any run, on any number of machines, gives the same copies. Copies are dealt to partitions by a second hash,
+which orders the whole mixture at random: partition p holds the p-th part of its range, so no sampling job and no hot
+key arise, also where many rows have one id, or none.
 
 Sources without a weight of their own share one weight (rest); so the table of rates, which is broadcast, has one row
 more than there are weights at most.
 
-Defined cases: a null id hashes as the text "null"; a null source is without a weight of its own; a null text has 0
-bytes, and a source of 0 bytes gets no copies; repeated rows get as many copies each; other columns pass through, but
-for ones named like the operator's own (copy, n_copies, shuffle_key), which are replaced; a rate over MAX_RATE is an
-error.
+Defined cases: a null id or text hashes as the text "null"; a null source is without a weight of its own; a null text
+has 0 bytes, and a source of 0 bytes gets no copies; rows of one id and one text get as many copies each, in one place of
+the order; other columns pass through, also ones that begin with ml_, but for those named like the result's own (copy,
+n_copies, shuffle_key), which are replaced; a rate over MAX_RATE is an error.
 """
 
 from __future__ import annotations
@@ -20,6 +21,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from minlabel.llm.shared import aside
+
 SEED, MAX_RATE = 7, 1000
 #: Production weights; what they leave is for the other sources together.
 WEIGHTS = {"src0": 0.12, **{f"src{i}": 0.05 for i in range(1, 11)}, **{f"src{i}": 0.04 for i in range(11, 19)}}
@@ -56,24 +59,32 @@ def _bits(seed: int, digits: int, *parts: Column) -> Column:
     return F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), *[F.coalesce(p.cast("string"), F.lit("null")) for p in parts])), 1, digits), 16, 10).cast("bigint")
 
 
-def mixed(docs: DataFrame, weights: dict[str, float] | None = None, scale: float = 1.0, seed: int = SEED, key: str = "doc_id", source: str = "source") -> DataFrame:
+def mixed(docs: DataFrame, weights: dict[str, float] | None = None, scale: float = 1.0, seed: int = SEED, key: str = "doc_id", source: str = "source", text: str = "text") -> DataFrame:
     """docs with copy (from 1), n_copies and shuffle_key: a row for each copy, in the order of shuffle_key over all partitions."""
     weights = WEIGHTS if weights is None else weights
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     own = docs.drop("copy", "n_copies", "shuffle_key")
-    out = own.withColumn("ml_group", group_of(source, weights)).join(F.broadcast(rates(docs, weights, scale, source)), "ml_group")
-    out = out.withColumn("ml_u", uniform(seed, F.col(key))).withColumn("n_copies", F.expr("cast(size(filter(ml_steps, c -> c <= ml_u)) as int)")).drop("ml_steps")
-    out = out.where("n_copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("n_copies"))))
-    out = out.withColumn("shuffle_key", _bits(seed, 15, F.lit("place"), F.col(key), F.col("copy")))
+    given, names = aside(own)
+    key, source, text = names[key], names[source], names[text]
+    # one generated column: neither filters nor loops below it make the digest of a text again
+    drawn = F.explode(F.array(F.concat_ws("|", F.coalesce(F.col(key).cast("string"), F.lit("null")), F.coalesce(F.md5(F.col(text)), F.lit("null"))))).alias("ml_doc")
+    out = given.select("*", drawn).withColumn("ml_group", group_of(source, weights)).join(F.broadcast(rates(given, weights, scale, source, text)), "ml_group")
+    # as the start of the loop, the uniform number is made once for each row
+    passed = F.aggregate(
+        "ml_steps", F.struct(uniform(seed, F.col("ml_doc")).alias("u"), F.lit(0).alias("n")),
+        lambda s, c: F.struct(s["u"].alias("u"), (s["n"] + F.when(c <= s["u"], 1).otherwise(0)).alias("n")), lambda s: s["n"],
+    )
+    out = out.withColumn("n_copies", passed).drop("ml_steps").where("n_copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("n_copies"))))
+    out = out.withColumn("shuffle_key", _bits(seed, 15, F.lit("place"), F.col("ml_doc"), F.col("copy")))
     place = F.least(F.floor(F.col("shuffle_key") / F.lit(float(1 << 60)) * parts), F.lit(parts - 1)).cast("int")
-    return out.repartitionById(parts, place).sortWithinPartitions("shuffle_key", key, "copy").select(*[F.col(f"`{c}`") for c in own.columns], "copy", "n_copies", "shuffle_key")
+    return out.repartitionById(parts, place).sortWithinPartitions("shuffle_key", key, "copy").select(*[F.col(f"`{names[c]}`").alias(c) for c in own.columns], "copy", "n_copies", "shuffle_key")
 
 
 def oracle(docs: str = "documents", weights: dict[str, float] | None = None, scale: float = 1.0, seed: int = SEED, columns: str = "doc_id, text, lang, source, n_chars") -> str:
     weights = WEIGHTS if weights is None else weights
     own = ", ".join(f"('{k}', {w!r}::double)" for k, w in {**weights, f"{REST}:": max(0.0, 1.0 - sum(weights.values()))}.items())
     bits = lambda digits, *parts: f"cast('0x' || substr(md5({' || chr(124) || '.join((repr(str(seed)), *parts))}), 1, {digits}) as bigint)"
-    doc = "coalesce(cast(doc_id as varchar), 'null')"
+    doc = "coalesce(cast(doc_id as varchar), 'null') || '|' || coalesce(md5(text), 'null')"
     return f"""
 with w(g, share) as (values {own}),
 d as (select *, coalesce((select g from w where g = source), '{REST}:') as g from {docs}),

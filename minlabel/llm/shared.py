@@ -1,8 +1,12 @@
-"""Objects sent once to each executor."""
+"""Objects sent once to each executor; names of columns."""
 
 from __future__ import annotations
 
 from pyspark import SparkContext, cloudpickle
+from pyspark.sql import DataFrame
+
+#: What names of the operators' own columns begin with.
+OWN = "ml_"
 
 
 class Shared:
@@ -28,3 +32,15 @@ class Shared:
 
     def release(self) -> None:
         self._value = None
+
+
+def aside(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs with the columns that begin as the operators' own do under other names, and the present name of each column."""
+    taken, names = {c.lower() for c in docs.columns}, {}
+    for c in docs.columns:
+        new = c
+        while new.lower().startswith(OWN) or (new != c and new.lower() in taken):
+            new = f"given_{new}"
+        taken.add(new.lower())
+        names[c] = new
+    return docs.toDF(*names.values()), names
