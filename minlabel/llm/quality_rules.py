@@ -12,8 +12,8 @@ Counts for the tails are pre-aggregated to at most 101 bins for each stratum and
 
 Defined cases: a null or empty text has no words and fails the base rules; a null stratum is the stratum "und"; strata
 without enough labels get no cutoff and reject nothing; labels are joined by id, repeated labels of a document count as
-often as they stand, and repeated rows are judged each; other columns pass through (names of the operator's own begin
-with ml_, which must not be used by the input).
+often as they stand, and repeated rows are judged each; other columns pass through keep_good, also ones that begin with
+ml_, as names of the operator's own do (measures, cutoffs and judged take tables without such names).
 """
 
 from __future__ import annotations
@@ -21,6 +21,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from minlabel.llm.shared import aside
 from minlabel.session import stored
 
 #: Share of good documents that may go, and probability of exceeding it anywhere.
@@ -138,7 +139,8 @@ def keep_good(docs: DataFrame, labels: DataFrame, by: str = "lang") -> DataFrame
     if good.limit(FEW_IDS + 1).count() <= FEW_IDS:  # then only labelled texts are measured; otherwise all are, and no text is moved to its label
         labelled = labelled.join(F.broadcast(good), "doc_id", "left_semi")
     limits = stored(cutoffs(stored(measures(labelled).drop("text"), "quality"), labels, by=by), "limits")
-    return judged(measures(docs), limits, by).where("ml_kept").select(*[F.col(f"`{c}`") for c in docs.columns])
+    given, names = aside(docs)
+    return judged(measures(given), limits, names[by]).where("ml_kept").select(*[F.col(f"`{names[c]}`").alias(c) for c in docs.columns])
 
 
 #: The same in DuckDB's SQL, for the given tables.

@@ -13,7 +13,8 @@ and hash of the text.
 Equal pieces are told by 64-bit hashes; windows by all their bytes.
 
 Defined cases: a null text is empty; texts under WINDOW bytes keep all; rows without id neither cover nor lose bytes;
-rows of one id do not cover each other, and repeated rows lose the same bytes; other columns are ignored.
+rows of one id do not cover each other, and repeated rows lose the same bytes; other columns are ignored, or pass
+through without_repeats, also ones that begin with ml_, as names of the operator's own do.
 """
 
 from __future__ import annotations
@@ -27,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from minlabel.llm import text_arrays as ta
+from minlabel.llm.shared import aside
 
 WINDOW, GRAM = 50, 8
 #: Bytes of text whose pieces a map task collapses together, and buckets for each shuffle partition.
@@ -336,7 +338,7 @@ def repeated_passages(docs: DataFrame, key: str = "doc_id", text: str = "text")
 
 def without_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """docs with repeated passages cut out of the text; bytes of a character that was cut in two are dropped."""
-    names = docs.columns
+    names, (given, now) = docs.columns, aside(docs)
     place = names.index(text)
 
     def run(batches):
@@ -345,4 +347,4 @@ def without_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
             texts = [t if not b else _cut(t.encode(), _joined(b)).decode("utf-8", "ignore") for t, b in zip(batch.column(place).to_pylist(), blobs)]
             yield pa.RecordBatch.from_arrays([pa.array(texts, c.type) if i == place else c for i, c in enumerate(batch.columns[:-1])], names=names)
 
-    return _with_ranges(docs, key, text).select(*[F.col(f"`{c}`") for c in names], "ml_ranges").mapInArrow(run, docs.schema)
+    return _with_ranges(given, now[key], now[text]).select(*[F.col(f"`{now[c]}`") for c in names], "ml_ranges").mapInArrow(run, docs.schema)
