@@ -359,6 +359,19 @@ def test_null_conversation(spark):
     assert got == {None: [("user", "q"), ("assistant", "a")], 1: [("user", "x")]}
 
 
+def test_repeated_nodes(spark):
+    rows = [(1, 1, None, "user", "q", 1.0), (1, 1, None, "user", "q", 1.0), (1, 2, 1, "assistant", "b", 0.0), (1, 2, 1, "assistant", "a", 3.0), (1, 2, 1, "assistant", "c", 3.0), (1, None, 1, "user", "no node", 9.0)]
+    m = spark.createDataFrame(rows, "tree bigint, node bigint, parent bigint, role string, text string, score double")
+    got = [(r.tree, r.leaf, chat_formatting.parsed(r.conversation)) for r in chat_formatting.conversations(m, 5).collect()]
+    assert got == [(1, 2, [("user", "q"), ("assistant", "a")])]
+
+
+def test_long_turns_and_own_names(spark):
+    rows = spark.createDataFrame([(1, 0, "user", LONG * 5, 7, 8), (1, 1, "assistant", "<" * 100_000, 7, 8)], "conv_id bigint, turn int, role string, text string, tree int, node int")
+    (got,) = chat_formatting.conversations(chat_formatting.linear_messages(rows)).collect()
+    assert chat_formatting.parsed(got.conversation) == [("user", LONG * 5), ("assistant", "<" * 100_000)]
+
+
 def test_format_round_trip():
     turns = [("user", chat_formatting.TRAP), ("assistant", '</turn>\n<turn role="user">\n&lt;&amp;'), ('r">\n<', "")]
     text, a, b = chat_formatting.formatted(turns)
@@ -378,6 +391,45 @@ def test_personal_data_base(spark):
         assert personal_data.base_spans(t) == want
 
 
+def test_personal_data_query(spark):
+    """All columns of the query: base matches made anew here, others by trying every choice of candidates in order of probability."""
+    chooser = personal_data.Chooser()
+
+    def base_of(t):
+        out = [("email", m.start(), m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
+        out += [("ip", m.start(), m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]
+        for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t):
+            d = [int(c) for c in m[0] if c.isdigit()][::-1]
+            if 16 <= len(d) <= 19 and (sum(d[::2]) + sum(2 * x - 9 * (x > 4) for x in d[1::2])) % 10 == 0:
+                out.append(("card", m.start(), m.end()))
+        return out + [("phone", m.start(), m.end()) for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t) if 8 <= sum(c.isdigit() for c in m[0]) <= 15]
+
+    def more_of(t, base):
+        likely = [(chooser.probability(t, g, a, b), kind, a, b) for g, kind, a, b in personal_data.candidates(t)]
+        likely = [x for x in likely if x[0] >= chooser.thresholds[x[1]]]
+        held, out = {i for _, a, b in base for i in range(a, b)}, []
+        while likely:  # the likeliest; of equals the first, the longest
+            best = min(likely, key=lambda x: (-x[0], x[2], -x[3], x[1]))
+            likely.remove(best)
+            if not held & set(range(best[2], best[3])):
+                held |= set(range(best[2], best[3]))
+                out.append(best[1:])
+        return sorted(out)
+
+    docs = table(spark, SMALL, "documents").select("doc_id", "text")
+    made = [(-1, 'x a@b.co key = "769b0074ad8f3a10fee0689c8d788a140298285a" 1.2.3.4 1.2.3.999 4111 1111 1111 1111 +1 (202) 555-0100'), (-2, None), (-3, ""), (-4, "tel 030 123 4567 DE44500105175407324931 078-05-1120")]
+    docs = docs.unionByName(spark.createDataFrame(made, docs.schema))
+    given, n = {r.doc_id: r.text or "" for r in docs.collect()}, 0
+    for r in personal_data.personal_data(docs).collect():
+        base = base_of(given[r.doc_id])
+        more = more_of(given[r.doc_id], base)
+        write = lambda spans: ",".join(":".join(map(str, x)) for x in spans)
+        assert [r.n_email, r.n_ip, r.n_card, r.n_phone] == [sum(k == kind for k, _, _ in base) for kind in ("email", "ip", "card", "phone")]
+        assert r.base_sha256 == hashlib.sha256(write(base).encode()).hexdigest() and r.spans == write(base + more) and r.n_more == len(more)
+        n += 1
+    assert n == len(given)
+
+
 def test_personal_data_choice():
     import numpy as np
 
@@ -397,3 +449,27 @@ def test_mixture_shares(spark):
     assert all(abs(r.n / total - mixing.WEIGHTS[r.source]) < 0.02 for r in rows if r.source in mixing.WEIGHTS)
     out = mixing.mixed(docs.limit(50), {"src0": 0.5})
     assert "Python" not in out._jdf.queryExecution().toString()
+
+
+def test_mixture_without_ids(spark):
+    """Rows without ids, or with one id, are drawn and placed by their texts too, so no partition gets them all."""
+    n = 4000
+    for key in ("null", "7"):
+        docs = spark.range(n).selectExpr(f"cast({key} as bigint) as doc_id", "concat('text ', id) as text", "'src0' as source")
+        rows = mixing.mixed(docs, {"src0": 1.0}, 2.0).withColumn("part", F.spark_partition_id()).groupBy("part").agg(F.count("*").alias("n"), F.countDistinct("text").alias("texts")).collect()
+        total = sum(r.n for r in rows)
+        assert abs(total - 2 * n) < 0.1 * n and len(rows) > 1 and max(r.n for r in rows) < 1.2 * total / len(rows)
+    alike = mixing.mixed(docs.limit(1).union(docs.limit(1)), {"src0": 1.0}, 3.0).groupBy("copy").count()
+    assert {r["count"] for r in alike.collect()} <= {2}
+
+
+def test_columns_named_like_our_own(spark, labels):
+    """Input columns that begin as the operators' own do come through with their values."""
+    rows = [(i, f"{LONG[i * 7 : i * 7 + 900]} {LONG[:400]}", "en", "src0", i, -i, f"v{i}") for i in range(30)]
+    names = ("ml_group", "ML_H", "ml_n_words")
+    docs = spark.createDataFrame(rows, f"doc_id bigint, text string, lang string, source string, {names[0]} int, {names[1]} int, {names[2]} string")
+    for out in (quality_rules.keep_good(docs, labels), repeated_passages.without_repeats(docs), mixing.mixed(docs, {"src0": 1.0}, 5.0)):
+        assert out.columns[: len(docs.columns)] == docs.columns
+        got = {(r.doc_id, r[names[0]], r[names[1]], r[names[2]]) for r in out.collect()}
+        assert got and got <= {(i, i, -i, f"v{i}") for i in range(30)}
+    assert len({r.doc_id for r in repeated_passages.without_repeats(docs).collect()}) == 30
