@@ -13,6 +13,7 @@ from minlabel.llm import chat_formatting, context_trees, decontamination, langua
 from minlabel.session import table
 from tests.conftest import SMALL, SMOKE
 from tests.helpers import same
+from tests.llm import plain
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint, n_words string"
 LOW = {c: c + 32 for c in range(65, 91)}
@@ -97,24 +98,9 @@ def test_tokens_like_the_library(spark):
 
 @pytest.mark.parametrize("block", [decontamination.BLOCK_BYTES, 3000])
 def test_contamination(spark, block):
-    words = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (t or "").translate(LOW))
-    windows = {}
     bench = [(r.item_id, r.text) for r in table(spark, SMOKE, "benchmark").collect()] + [(777, "the thing"), (778, LONG[:200])]
-    for i, t in bench:
-        w = words(t)
-        for j in range(len(w) - min(13, len(w)) + 1):
-            windows.setdefault(tuple(w[j : j + 13]), set()).add(str(i))
-    want = {}
     docs = texts(spark, SMOKE) + [(4001, LONG), (4002, "a " + LONG[:150])]
-    for i, t in docs:
-        w = words(t)
-        hit, items = set(), set()
-        for n in {len(k) for k in windows}:
-            for j in range(len(w) - n + 1):
-                if found := windows.get(tuple(w[j : j + n])):
-                    hit |= set(range(j, j + n))
-                    items |= found
-        want[i] = (len(w), len(hit), len(items), hashlib.sha256(",".join(sorted(items)).encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(w))
+    want = plain.contamination(docs, bench)
     got = decontamination.contamination(spark.createDataFrame(docs, "doc_id bigint, text string"), spark.createDataFrame(bench, "item_id bigint, text string"), block_bytes=block)
     assert {r.doc_id: (r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated) for r in got.collect()} == want
 
@@ -142,23 +128,7 @@ def test_near_duplicates(spark):
     base = [f"t{i}" for i in range(120)]
     more = [(5000 + k, " ".join(base[:k] + ["edit", str(k)] + base[k + 2 :])) for k in range(0, 100, 4)] + [(6000, " ".join(base)), (6001, "lone"), (6002, "lone")]
     docs = texts(spark, SMALL) + more
-    sets = {}
-    for i, t in docs:
-        w = re.findall(r"[^\x20\x09-\x0D]+", t.translate(LOW))
-        if w:
-            sets[i] = {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))}
-    inverted, common = collections.defaultdict(list), collections.Counter()
-    for i, s in sets.items():
-        for x in s:
-            inverted[x].append(i)
-    for own in inverted.values():
-        for a in range(len(own)):
-            for b in range(a):
-                common[tuple(sorted((own[a], own[b])))] += 1
-    from tests.helpers import union_find
-
-    links = [(a, b) for (a, b), n in common.items() if n / (len(sets[a]) + len(sets[b]) - n) >= 0.8]
-    want = union_find([i for i, _ in docs], links)
+    want = plain.near_classes(docs)
     got = {r.doc_id: r.class_id for r in near_duplicates.classes(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
     assert got == want
 
@@ -392,42 +362,20 @@ def test_personal_data_base(spark):
 
 
 def test_personal_data_query(spark):
-    """All columns of the query: base matches made anew here, others by trying every choice of candidates in order of probability."""
+    """All columns of the query, and the redacted texts, against plain matches and choices."""
     chooser = personal_data.Chooser()
-
-    def base_of(t):
-        out = [("email", m.start(), m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
-        out += [("ip", m.start(), m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]
-        for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", t):
-            d = [int(c) for c in m[0] if c.isdigit()][::-1]
-            if 16 <= len(d) <= 19 and (sum(d[::2]) + sum(2 * x - 9 * (x > 4) for x in d[1::2])) % 10 == 0:
-                out.append(("card", m.start(), m.end()))
-        return out + [("phone", m.start(), m.end()) for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", t) if 8 <= sum(c.isdigit() for c in m[0]) <= 15]
-
-    def more_of(t, base):
-        likely = [(chooser.probability(t, g, a, b), kind, a, b) for g, kind, a, b in personal_data.candidates(t)]
-        likely = [x for x in likely if x[0] >= chooser.thresholds[x[1]]]
-        held, out = {i for _, a, b in base for i in range(a, b)}, []
-        while likely:  # the likeliest; of equals the first, the longest
-            best = min(likely, key=lambda x: (-x[0], x[2], -x[3], x[1]))
-            likely.remove(best)
-            if not held & set(range(best[2], best[3])):
-                held |= set(range(best[2], best[3]))
-                out.append(best[1:])
-        return sorted(out)
-
     docs = table(spark, SMALL, "documents").select("doc_id", "text")
     made = [(-1, 'x a@b.co key = "769b0074ad8f3a10fee0689c8d788a140298285a" 1.2.3.4 1.2.3.999 4111 1111 1111 1111 +1 (202) 555-0100'), (-2, None), (-3, ""), (-4, "tel 030 123 4567 DE44500105175407324931 078-05-1120")]
     docs = docs.unionByName(spark.createDataFrame(made, docs.schema))
     given, n = {r.doc_id: r.text or "" for r in docs.collect()}, 0
     for r in personal_data.personal_data(docs).collect():
-        base = base_of(given[r.doc_id])
-        more = more_of(given[r.doc_id], base)
+        base, more = plain.personal_spans(given[r.doc_id], chooser)
         write = lambda spans: ",".join(":".join(map(str, x)) for x in spans)
         assert [r.n_email, r.n_ip, r.n_card, r.n_phone] == [sum(k == kind for k, _, _ in base) for kind in ("email", "ip", "card", "phone")]
         assert r.base_sha256 == hashlib.sha256(write(base).encode()).hexdigest() and r.spans == write(base + more) and r.n_more == len(more)
         n += 1
     assert n == len(given)
+    assert all((r.text or "") == plain.redacted(given[r.doc_id], chooser) for r in personal_data.redacted(docs).collect())
 
 
 def test_personal_data_choice():

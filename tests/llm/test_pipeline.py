@@ -1,32 +1,36 @@
-"""The pipeline against its stages' plain meaning."""
+"""The pipeline against plain Python stages; rules and mixture, which have SQL, against that."""
 
 import collections
 
 import corpus_pipeline
-from minlabel.llm import decontamination, mixing, near_duplicates, personal_data, quality_rules
+import duckdb
+import pandas as pd
+
+from minlabel.llm import mixing, personal_data, quality_rules
 from minlabel.session import table
 from tests.conftest import SMALL
+from tests.llm import plain
 
 
 def test_pipeline(spark):
-    docs, labels, bench = (table(spark, SMALL, t) for t in ("documents", "labels", "benchmark"))
-    good = {r.doc_id for r in quality_rules.quality_report(docs, labels).where("kept").collect()}
-    one = docs.where(docs.doc_id.isin(list(good)))
-    classes = {r.doc_id: r.class_id for r in near_duplicates.classes(one).collect()}
-    left = {i for i in good if classes[i] == i}
-    bad = {r.doc_id for r in decontamination.contamination(docs, bench).where("contaminated").collect()}
-    left -= bad
+    docs, labels, bench = (table(spark, SMALL, t).toPandas() for t in ("documents", "labels", "benchmark"))
+    con = duckdb.connect()
+    con.register("documents", docs)
+    con.register("labels", labels)
+    good = {x[0] for x in con.sql(f"select doc_id from ({quality_rules.oracle()}) where kept").fetchall()}
+    rows = {r.doc_id: r for r in docs.itertuples() if r.doc_id in good}
+    classes = plain.near_classes([(i, r.text) for i, r in rows.items()])
+    rows = {i: r for i, r in rows.items() if classes[i] == i}
+    judged = plain.contamination([(i, r.text) for i, r in rows.items()], [(r.item_id, r.text) for r in bench.itertuples()])
     chooser = personal_data.Chooser()
-    clean = {r.doc_id: personal_data.redacted_text(r.text, chooser) for r in docs.collect() if r.doc_id in left}
-    got = corpus_pipeline.run(spark, SMALL).collect()
-    assert all(clean[r.doc_id] == r.text and r.n_chars == len(r.text) for r in got)
-    last = docs.where(docs.doc_id.isin(list(left))).drop("text", "n_chars")
-    import pyspark.sql.functions as F
-
-    again = last.join(spark.createDataFrame([(k, v, len(v)) for k, v in clean.items()], "doc_id bigint, text string, n_chars bigint"), "doc_id")
-    want = collections.Counter((r.doc_id, r.copy) for r in mixing.mixed(again.select(*docs.columns), mixing.WEIGHTS).select("doc_id", "copy").collect())
-    assert collections.Counter((r.doc_id, r.copy) for r in got) == want
-    assert [k for k, _ in corpus_pipeline.STAGES] == ["quality_rules", "near_dedup", "decontamination", "personal_data", "mixing"] and F
+    left = [(i, text := plain.redacted(r.text, chooser), r.lang, r.source, len(text)) for i, r in rows.items() if not judged[i][-1]]
+    assert 0 < len(left) < len(classes) < len(docs) and any(t != rows[i].text for i, t, *_ in left)
+    con.register("clean", pd.DataFrame(left, columns=["doc_id", "text", "lang", "source", "n_chars"]))
+    want = con.sql(mixing.oracle("clean"))
+    got = corpus_pipeline.run(spark, SMALL)
+    at = [want.columns.index(c) for c in got.columns]
+    assert collections.Counter(map(tuple, got.collect())) == collections.Counter(tuple(r[k] for k in at) for r in want.fetchall())
+    assert [k for k, _ in corpus_pipeline.STAGES] == ["quality_rules", "near_dedup", "decontamination", "personal_data", "mixing"]
 
 
 def test_stages_keep_columns(spark):
