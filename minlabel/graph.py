@@ -4,12 +4,16 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from minlabel import schemas
+from minlabel.ids import dense_ids
 from minlabel.session import checkpoint, stored
 
+#: A vertex with more edges than this, and than a quarter of a partition's share, is a hub: its edges lie in several parts.
+HUB_ROWS = 1_000_000
+
 
 def canonical_edges(df: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
     """Each undirected edge once, smaller end first, without loops."""
@@ -58,13 +62,41 @@ class Graph:
             self._stored = stored(self.edges, "edges")
         return self._stored
 
-    def prepared(self, partitions: int) -> DataFrame:
-        """The directed view, dealt by src once for the whole run; rounds join it without moving it again."""
+    def prepared(self, partitions: int, hub_rows: int = HUB_ROWS) -> DataFrame:
+        """The directed view, dealt by src once for the whole run; rounds join it (joined_to) without moving it again. A hub's edges are dealt by src and salt: there are at most 4 hubs, and 8 parts of hubs, for each partition."""
         if self._directed is None or self._directed[0] != partitions:
-            self._directed = partitions, checkpoint(directed_view(self.own_edges()).repartition(partitions, "src"))
+            own = self.own_edges()
+            directed, most = directed_view(own), max(hub_rows, -(-own.count() // (2 * partitions)))
+            degrees = directed.groupBy("src").agg(F.count("*").alias("n")).where(F.col("n") > most)
+            hubs = stored(degrees.select("src", F.ceil(F.col("n") / most).cast("int").alias("salts")), "hubs")
+            if hubs.isEmpty():
+                hubs = None
+            else:
+                directed = directed.join(F.broadcast(hubs), "src", "left").select("src", "dst", F.coalesce(F.pmod(F.xxhash64("dst"), F.col("salts")), F.lit(0)).cast("int").alias("salt"))
+            self._directed = partitions, dealt(directed, partitions, hubs)
         return self._directed[1]
 
 
+def dealt(directed: DataFrame, partitions: int, hubs: DataFrame | None) -> DataFrame:
+    """Directed edges checkpointed by src, those of hubs (src, salts) by their salt too."""
+    out = checkpoint(directed.repartition(partitions, "src") if hubs is None else directed.repartition(partitions, "src", "salt"))
+    out._hubs = hubs
+    return out
+
+
+def hubs_of(directed: DataFrame) -> DataFrame | None:
+    return getattr(directed, "_hubs", None)
+
+
+def joined_to(directed: DataFrame, values: DataFrame) -> DataFrame:
+    """Edges with the values(src, ...) of their src. The edges stay where they are; a hub's value is sent to each of its parts."""
+    if (hubs := hubs_of(directed)) is None:
+        return directed.join(values, "src")
+    parts = F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1))
+    sent = values.join(F.broadcast(hubs), "src", "left").withColumn("salt", parts).drop("salts")
+    return directed.join(sent, ["src", "salt"])
+
+
 def tagged(key: str | Column, tag: int, kinds: int = 2) -> Column:
     return (F.col(key) if isinstance(key, str) else key).cast("bigint") * kinds + tag
 
@@ -75,10 +107,12 @@ def bipartite_graph(df: DataFrame, left: str | Column, right: str | Column, isol
 
 
 def chain_graph(df: DataFrame, id: str, order: list[str], by: str | None = None, gap: Column | None = None, isolated: bool = True, name: str = "") -> Graph:
-    """Each row with the next in order (within by); gap: a condition on the row and its next_ columns that must hold."""
-    w = Window.partitionBy(by).orderBy(*order) if by else Window.orderBy(*order)
-    cols = [id, *order]
-    out = df.select("*", *[F.lead(c).over(w).alias(f"next_{c}") for c in dict.fromkeys(cols)]).where(F.col(f"next_{id}").isNotNull())
+    """Each row with the next in order (within by, ties by id); gap: a condition on id, order and by of the row and its next_ columns that must hold. Places come from one range sort over all rows, so no task holds a whole group, however large; rows that agree in all of these columns are one."""
+    cols = list(dict.fromkeys([*([by] if by else []), *order, id]))
+    placed = stored(dense_ids(df.select(F.struct(*cols).alias("_row")), "_row").select(F.col("id").alias("_place"), "_row.*"), "places")
+    after = placed.select((F.col("_place") - 1).alias("_place"), *[F.col(c).alias(f"next_{c}") for c in cols])
+    out = placed.join(after, "_place").where(F.col(f"next_{id}").isNotNull())
+    out = out.where(F.col(by).eqNullSafe(F.col(f"next_{by}"))) if by else out
     out = out.where(gap) if gap is not None else out
     return Graph.from_edges(out.select(F.col(id).alias("src"), F.col(f"next_{id}").alias("dst")), df.select(F.col(id).alias("id")) if isolated else None, name)
 

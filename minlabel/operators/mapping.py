@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from minlabel.graph import directed_view, joined_to
 from minlabel.session import stored
 
 
@@ -62,7 +63,7 @@ def _hops(tables: list[DataFrame], flat: bool, h: int) -> DataFrame:
 
 def neighbour_minimum(directed: DataFrame, values: DataFrame, *columns: str) -> DataFrame:
     """Of each vertex with an edge: id and the least of its neighbours' values. The edges stay where they are."""
-    sent = directed.join(values.select(F.col("id").alias("src"), *columns), "src")
+    sent = joined_to(directed, values.select(F.col("id").alias("src"), *columns))
     return sent.groupBy(F.col("dst").alias("id")).agg(*[F.min(c).alias(c) for c in columns])
 
 
@@ -107,8 +108,6 @@ def lift_candidates(candidates: DataFrame, tables: list[DataFrame], flat: bool,
 
 def apply_min_mapping(edges: DataFrame, labels: DataFrame, order: int = 2) -> DataFrame:
     """Labels after one synchronous application to all edges(src, dst)."""
-    from minlabel.graph import directed_view
-
     return step(directed_view(edges), labels, order).select("id", "label")
 
 

@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import functions as F
 
-from minlabel.graph import Graph
+from minlabel.graph import Graph, joined_to
 from minlabel.operators import mapping
 from minlabel.session import stored
 
@@ -49,7 +49,7 @@ def sampled_stats(g: Graph, rounds: int = 2) -> tuple[dict, float]:
         if not changed:
             break
         hops = k
-    ends = directed.join(labels.select(F.col("id").alias("src"), F.col("label").alias("a")), "src").join(labels.select(F.col("id").alias("dst"), F.col("label").alias("b")), "dst")
+    ends = joined_to(directed, labels.select(F.col("id").alias("src"), F.col("label").alias("a"))).join(labels.select(F.col("id").alias("dst"), F.col("label").alias("b")), "dst")
     open_ = labels.join(ends.where("a <> b").select(F.col("a").alias("label")).distinct(), "label", "left_semi").count()
     vertices = labels.count()
     stats = {"n": vertices, "m": g.own_edges().count(), "diameter_lb": hops if not open_ else hops + 1}

@@ -7,7 +7,7 @@ import time
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from minlabel.graph import Graph
+from minlabel.graph import Graph, joined_to
 from minlabel.operators import kernels, mapping
 from minlabel.plans.engine import ComponentResult, NotConverged, Options
 from minlabel.session import collect_stored, discard, discard_collected, stored
@@ -27,7 +27,7 @@ def hook_compress(graph: Graph, opts: Options, n: int) -> ComponentResult:
         k, began = k + 1, time.perf_counter()
         made = collect_stored()
         far = stored(mapping.moved(labels.select("id", "label", F.col("label").alias("far")), "far", labels).select("id", "label", "far"))
-        ends = directed.join(far.select(F.col("id").alias("src"), "far"), "src")
+        ends = joined_to(directed, far.select(F.col("id").alias("src"), "far"))
         parents = ends.join(labels.select(F.col("id").alias("dst"), F.col("label").alias("up")), "dst")
         hooked = stored(mapping.lower_labels(labels, parents.where("far < up").select(F.col("up").alias("id"), F.col("far").alias("c"))))
         hooked = stored(mapping.lower_labels(hooked, ends.select(F.col("dst").alias("id"), F.col("far").alias("c"))))
@@ -49,7 +49,7 @@ def hook_compress_classic(graph: Graph, opts: Options, n: int) -> ComponentResul
     while edge_rows:
         _guard(k, opts, "hook_compress_classic")
         k, began = k + 1, time.perf_counter()
-        ends = directed.join(labels.select(F.col("id").alias("src"), F.col("label").alias("c")), "src").join(labels.select(F.col("id").alias("dst"), F.col("label").alias("up")), "dst")
+        ends = joined_to(directed, labels.select(F.col("id").alias("src"), F.col("label").alias("c"))).join(labels.select(F.col("id").alias("dst"), F.col("label").alias("up")), "dst")
         hooks = ends.where("c < up").select(F.col("up").alias("id"), "c")
         labels, before = stored(mapping.lower_labels(labels, hooks)), labels
         while not mapping.is_star_forest(labels):
@@ -81,7 +81,7 @@ def bfs(graph: Graph, opts: Options, n: int) -> ComponentResult:
     while True:
         _guard(k, opts, "bfs")
         k, began = k + 1, time.perf_counter()
-        reached = directed.join(frontier.select(F.col("id").alias("src"), F.col("label").alias("c")), "src").groupBy(F.col("dst").alias("id")).agg(F.min("c").alias("c"))
+        reached = joined_to(directed, frontier.select(F.col("id").alias("src"), F.col("label").alias("c"))).groupBy(F.col("dst").alias("id")).agg(F.min("c").alias("c"))
         out = stored(visited.join(reached, "id", "left").select("id", F.least("label", F.coalesce("c", "label")).alias("label"), F.col("label").alias("before")))
         frontier, visited = out.where("label < before").select("id", "label"), out.select("id", "label")
         changed = frontier.count()

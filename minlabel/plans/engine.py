@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from minlabel import schemas
-from minlabel.graph import Graph
+from minlabel.graph import Graph, dealt, hubs_of, joined_to
 from minlabel.operators import kernels, mapping
 from minlabel.plans.schedules import HIGH, schedule
 from minlabel.session import Scratch, checkpoint, collect_stored, discard, discard_collected, stored
@@ -157,9 +157,11 @@ def _run(graph: Graph, method: str, orders, opts: Options, n: int) -> ComponentR
         elif opts.update == "chained":
             parts = opts.blocks or 4
             if sliced is None:  # the slice is a stored column: a long condition would be inferred again at every join
-                sliced = checkpoint(directed.withColumn("slice", F.pmod(F.xxhash64(F.least("src", "dst"), F.greatest("src", "dst")), F.lit(parts)).cast("int")).repartition(n, "src"))
+                sliced = dealt(directed.withColumn("slice", F.pmod(F.xxhash64(F.least("src", "dst"), F.greatest("src", "dst")), F.lit(parts)).cast("int")), n, hubs_of(directed))
             for b in range(parts):
-                state = stored(mapping.step(sliced.where(F.col("slice") == b), state, h).select("id", "label"))
+                own = sliced.where(F.col("slice") == b)
+                own._hubs = hubs_of(directed)
+                state = stored(mapping.step(own, state, h).select("id", "label"))
             out = stored(state.join(labels.withColumnRenamed("label", "before"), "id").select("id", "label", "before", F.lit(None).cast("bigint").alias("nearest")))
             passes += 1
         else:
@@ -197,10 +199,10 @@ def _run(graph: Graph, method: str, orders, opts: Options, n: int) -> ComponentR
 
 def _active(directed: DataFrame, labels: DataFrame, n: int) -> tuple[DataFrame, int]:
     """Edges of components that are not finished: a label that no edge leaves is a whole component."""
-    both = directed.join(labels.select(F.col("id").alias("src"), F.col("label").alias("c")), "src").groupBy(F.col("dst").alias("id")).agg(F.min("c").alias("low"), F.max("c").alias("high"))
+    both = joined_to(directed, labels.select(F.col("id").alias("src"), F.col("label").alias("c"))).groupBy(F.col("dst").alias("id")).agg(F.min("c").alias("low"), F.max("c").alias("high"))
     names = labels.join(both, "id").where("low < label or high > label").select("label").distinct()
     keep = labels.join(names, "label", "left_semi").select(F.col("id").alias("src"))
-    left = checkpoint(directed.join(keep, "src", "left_semi").repartition(n, "src"))
+    left = dealt(joined_to(directed, keep), n, hubs_of(directed))
     return left, left.count()
 
 

@@ -7,7 +7,7 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from minlabel.graph import Graph
+from minlabel.graph import Graph, joined_to
 from minlabel.operators import mapping
 from minlabel.session import stored
 
@@ -121,7 +121,7 @@ def exact_diameters(g: Graph, labels: DataFrame, most_vertices: int = 5_000) ->
     depth = 0
     while not frontier.isEmpty():
         depth += 1
-        near = directed.join(frontier.select(F.col("id").alias("src"), "start", "component"), "src").select(F.col("dst").alias("id"), "start", "component").distinct()
+        near = joined_to(directed, frontier.select(F.col("id").alias("src"), "start", "component")).select(F.col("dst").alias("id"), "start", "component").distinct()
         frontier = stored(near.join(seen.select("id", "start"), ["id", "start"], "left_anti").withColumn("depth", F.lit(depth)))
         seen = stored(seen.unionByName(frontier))
     return seen.groupBy("component").agg(F.max("depth").alias("diameter"))
@@ -132,7 +132,7 @@ def _sweep(g: Graph, starts: DataFrame, most: int) -> DataFrame:
     directed = g.prepared(int(g.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     seen = frontier = stored(starts.withColumn("depth", F.lit(0)))
     for depth in range(1, most + 1):
-        near = directed.join(frontier.select(F.col("id").alias("src"), "component"), "src").groupBy(F.col("dst").alias("id")).agg(F.first("component").alias("component"))
+        near = joined_to(directed, frontier.select(F.col("id").alias("src"), "component")).groupBy(F.col("dst").alias("id")).agg(F.first("component").alias("component"))
         frontier = stored(near.join(seen.select("id"), "id", "left_anti").withColumn("depth", F.lit(depth)))
         if frontier.isEmpty():
             break

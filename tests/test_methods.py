@@ -156,6 +156,30 @@ def test_edges_stay_where_they_are(spark):
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
+@pytest.mark.parametrize("method,options", [("sync2", {}), ("order1", {}), ("order2", {"retire": True}), ("chained", {}), ("hook_compress", {}), ("bfs", {})])
+def test_hubs_are_parted(spark, method, options):
+    """A star of 3000 edges beside a path: no partition holds more than a few parts of the hub, labels are the same, and a round leaves the edges where they are."""
+    edges = [(0, i) for i in range(1, 3000)] + [(5000 + i, 5001 + i) for i in range(6)]
+    g = made(spark, edges, 5010)
+    directed = g.prepared(16, hub_rows=100)
+    assert [(r.src, r.salts) for r in directed._hubs.collect()] == [(0, 30)]  # 2999 edges, 100 to a part
+    assert max(directed.rdd.mapPartitions(lambda rows: [sum(1 for _ in rows)]).collect()) < 1200
+    heads = directed.where("src = 0").groupBy("salt").count().collect()
+    assert len(heads) == 30 and max(r["count"] for r in heads) < 200
+    got = connected_components(g, method, num_partitions=16, **options)
+    assert labels(got) == union_find(range(5010), edges)
+
+
+def test_chains_of_one_large_group(spark):
+    """Ties go by id, null groups and orders are groups and orders of their own, repeated rows are one."""
+    from minlabel.graph import chain_graph
+
+    rows = [(1, "a", 5), (2, "a", 5), (3, "a", 1), (4, "b", 2), (5, "b", None), (6, None, 1), (7, None, 2), (7, None, 2), (8, "c", 1)]
+    g = chain_graph(spark.createDataFrame(rows, "e bigint, k string, t int"), "e", ["t"], "k")
+    assert sorted((r.src, r.dst) for r in g.edges.collect()) == [(1, 2), (1, 3), (4, 5), (6, 7)]
+    assert sorted(r.id for r in g.vertices.collect()) == list(range(1, 9))
+
+
 def test_in_place_rounds(spark):
     """Many small blocks: labels, fewer edges each round, and orders that differ."""
     r = random.Random(9)
