@@ -1,7 +1,7 @@
 """Removing repeated passages: windows of bytes, ordered by radix passes to a fixed depth.
 
 Every window of WINDOW bytes (a suffix, cut at that depth) belongs to the smallest hashed gram of GRAM bytes in it, its
-minimizer. Runs of windows with one minimizer are shipped as one piece of text, to the bucket of the gram's hash; equal
+minimizer; grams that would crowd a bucket, as a look at some documents shows, come after all others. Runs of windows with one minimizer are shipped as one piece of text, to the bucket of the gram's hash; equal
 windows so meet in one bucket, wherever they stand. Within a map task equal pieces are collapsed first: those of
 larger ids are covered at once, and only the smallest id's is shipped, so that a passage of a third of all documents comes to
 its bucket once from each task. In a bucket equal pieces are collapsed again; of what is left, windows whose fingerprint
@@ -32,8 +32,11 @@ from minlabel.llm.shared import aside
 
 WINDOW, GRAM = 50, 8
 #: Bytes of text whose pieces a map task collapses together, and buckets for each shuffle partition.
-#: Bytes of pieces of a bucket whose windows are sorted at once (more if those of one gram are more).
-CHUNK, BUCKETS, SORTED = 16 << 20, 2, 4 << 20
+#: Bytes of pieces of a bucket whose windows are sorted at once, and bytes that are hashed at once, which take some 60 times
+#: as much memory.
+CHUNK, BUCKETS, SORTED, HASHED = 16 << 20, 2, 4 << 20, 1 << 19
+#: A gram is crowded if its pieces are more than this part of a bucket's share; one document in so many is looked at for them.
+CROWDED, LOOKED_AT = 16, 16
 _BIG = np.iinfo(np.int64).max
 
 
@@ -47,8 +50,19 @@ def _eights(data: np.ndarray, kind: str = "<u8") -> np.ndarray:
     return out
 
 
-def pieces(data: np.ndarray, offsets: np.ndarray):
-    """Runs of windows with one minimizer: document, first window, number of windows, place of the gram, hash of the gram. No window crosses documents."""
+def _postponed(h: np.ndarray, crowded: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of crowded grams, and what they rank by: after all others, the most crowded (the first) last."""
+    known = np.argsort(crowded)
+    sieve = np.zeros(1 << 16, bool)
+    sieve[(crowded >> np.uint64(48)).astype(np.int64)] = True
+    at = np.flatnonzero(sieve[(h >> np.uint64(48)).astype(np.int64)])
+    k = known[np.minimum(np.searchsorted(crowded, h[at], sorter=known), len(crowded) - 1)]
+    same = crowded[k] == h[at]
+    return at[same], np.uint64(0xFFFFFFFF) - k[same].astype(np.uint64)
+
+
+def pieces(data: np.ndarray, offsets: np.ndarray, crowded: np.ndarray | None = None):
+    """Runs of windows with one minimizer: document, first window, number of windows, place of the gram, hash of the gram. No window crosses documents. Crowded grams (hashes) are minimizers only of windows that have no other."""
     n, span = len(data), WINDOW - GRAM + 1
     z = np.zeros(0, np.int64)
     if n < WINDOW:
@@ -57,6 +71,9 @@ def pieces(data: np.ndarray, offsets: np.ndarray):
     h = ta.mixed(x[: n - GRAM + 1] * np.uint64(0x9E3779B97F4A7C15) + x[GRAM - 8 : n - 7])
     # the leftmost smallest hash among span grams, by doubling; the place stands in the low half
     least = (h & np.uint64(0xFFFFFFFF00000000)) | np.arange(len(h), dtype=np.uint64)
+    if crowded is not None and len(crowded):
+        at, rank = _postponed(h, crowded)
+        least[at] = rank << np.uint64(32) | at.astype(np.uint64)
     reach = 1
     while reach * 2 <= span:
         least = np.minimum(least[: len(least) - reach], least[reach:])
@@ -104,12 +121,12 @@ def _collapsed(content: np.ndarray, doc: np.ndarray):
     return order, d > least
 
 
-def _map_chunk(ids, keys, data, offsets, hasher, buckets):
+def _map_chunk(ids, keys, data, offsets, hasher, buckets, crowded=None):
     """Rows (bucket, blobs) of one chunk: what goes to each bucket, and ranges that are covered within the chunk."""
     found = []
-    for i, j in ta.slices(offsets):
+    for i, j in ta.slices(offsets, HASHED):
         part, own = data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
-        doc, at, n, place, h = pieces(part, own)
+        doc, at, n, place, h = pieces(part, own, crowded)
         found.append((doc + i, at + offsets[i], n, place - at, h, _contents(hasher, part, at, n + WINDOW - 1, place - at, n)))
     doc, at, n, ahead, h, content = (np.concatenate(x) for x in zip(*found))
     if not len(doc):
@@ -129,7 +146,37 @@ def _map_chunk(ids, keys, data, offsets, hasher, buckets):
         ]
 
 
-def _shipped(buckets: int, chunk: int):
+def _crowds(buckets: int):
+    """Grams with the most pieces of a partition, and the bytes of these; all bytes of pieces beside a null."""
+
+    def run(batches):
+        mass, total = {}, 0
+        for batch in batches:
+            data, offsets = ta.byte_arrays(batch.column("text"))
+            for i, j in ta.slices(offsets, HASHED):
+                _, _, n, _, h = pieces(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
+                grams, place = np.unique(h, return_inverse=True)
+                weight = np.bincount(place, n + WINDOW - 1, len(grams)).astype(np.int64)
+                total += int(weight.sum())
+                for g, w in zip(grams.view(np.int64).tolist(), weight.tolist()):
+                    mass[g] = mass.get(g, 0) + w
+            if len(mass) > 1 << 18:  # the light ones are forgotten
+                mass = {g: w for g, w in mass.items() if w * 4 * CROWDED * buckets >= total}
+        kept = [(g, w) for g, w in mass.items() if w * 4 * CROWDED * buckets >= total]
+        yield pa.RecordBatch.from_arrays([pa.array([None, *(g for g, _ in kept)], pa.int64()), pa.array([total, *(w for _, w in kept)], pa.int64())], names=["gram", "bytes"])
+
+    return run
+
+
+def crowded_grams(given: DataFrame, buckets: int) -> np.ndarray:
+    """Hashes of grams whose pieces would crowd a bucket, the most crowded first, by a part of the documents. They only settle which gram of a window is its minimizer: any choice that all windows agree in gives the same result."""
+    seen = given.where(F.pmod(F.xxhash64("id"), F.lit(LOOKED_AT)) == 0).select("text").mapInArrow(_crowds(buckets), "gram bigint, bytes bigint")
+    rows = seen.groupBy("gram").agg(F.sum("bytes").alias("bytes")).orderBy(F.col("gram").isNotNull(), F.desc("bytes")).limit(1 + CROWDED * buckets).collect()
+    total = rows[0].bytes if rows else 0
+    return np.array([r.gram for r in rows[1:] if r.bytes * CROWDED * buckets > total], np.int64).view(np.uint64)
+
+
+def _shipped(buckets: int, chunk: int, crowded: np.ndarray | None = None):
     def run(batches):
         hasher = ta.Hasher()
         held, room = [], chunk
@@ -137,7 +184,7 @@ def _shipped(buckets: int, chunk: int):
         def flush():
             data = np.concatenate([h[2] for h in held])
             sizes = np.concatenate([np.diff(h[3]) for h in held])
-            rows = list(_map_chunk(np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held]), data, np.concatenate(([0], np.cumsum(sizes))), hasher, buckets))
+            rows = list(_map_chunk(np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held]), data, np.concatenate(([0], np.cumsum(sizes))), hasher, buckets, crowded))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array([b for b, _ in rows], pa.int32()), pa.array([p for _, p in rows], pa.list_(pa.binary()))], names=["bucket", "parts"])
 
@@ -185,7 +232,7 @@ def _reduce(rows: list):
     edge = np.concatenate(([0], np.cumsum(length)))
     begin = edge[:-1]
     if len(n):
-        content = np.concatenate([_contents(hasher, text[edge[i] : edge[j]], begin[i:j] - edge[i], length[i:j], ahead[i:j], n[i:j]) for i, j in ta.slices(edge)])
+        content = np.concatenate([_contents(hasher, text[edge[i] : edge[j]], begin[i:j] - edge[i], length[i:j], ahead[i:j], n[i:j]) for i, j in ta.slices(edge, HASHED)])
         order, covered = _collapsed(content, who[0])
         over, left = order[covered], order[~covered]
         out.append((who[:, over], np.stack((at[over], length[over]))))
@@ -198,22 +245,37 @@ def _reduce(rows: list):
         total = np.concatenate(([0], np.cumsum(length[left])))
         for i, j in ta.slices(np.concatenate(([0], total[stop])), SORTED):
             own = left[first[i] : stop[j - 1]]
-            out += _repeated_windows(hasher, text[ta.ranges(begin[own], length[own])], np.repeat(np.arange(j - i), stop[i:j] - first[i:j]), who[:, own], at[own], n[own], ahead[own])
+            number = np.repeat(np.arange(j - i), stop[i:j] - first[i:j])
+            classes = -(-int(length[own].sum()) // (2 * SORTED))  # those of one gram may be more: its windows are then parted by their fingerprints
+            for k in range(classes):
+                out += _repeated_windows(hasher, text, begin[own], number, who[:, own], at[own], n[own], classes, k)
     return np.concatenate([a for a, _ in out], axis=1), np.concatenate([b for _, b in out], axis=1)
 
 
+def _loaded(text: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """The 8 bytes at each place, as numbers."""
+    return np.lib.stride_tricks.sliding_window_view(text, 8)[place].view("<u8").ravel()
+
+
 def _grams(text: np.ndarray, place: np.ndarray) -> np.ndarray:
     """Hash of the gram at each place."""
-    load = lambda k: text[(place + k)[:, None] + np.arange(8)].view("<u8").ravel()
-    return ta.mixed(load(0) * np.uint64(0x9E3779B97F4A7C15) + load(GRAM - 8))
+    return ta.mixed(_loaded(text, place) * np.uint64(0x9E3779B97F4A7C15) + _loaded(text, place + GRAM - 8))
 
 
-def _repeated_windows(hasher, text, number, who, at, n, place):
-    """Ranges of windows of these pieces (number: their gram, in order) that stand in a document with a smaller id too."""
+def _repeated_windows(hasher, text, begin, number, who, at, n, classes=1, k=0):
+    """Ranges of windows of these pieces of the text (number: their gram, in order) that stand in a document with a smaller id too; of the k-th class of fingerprints."""
     ids, length = who[0], n + WINDOW - 1
-    begin = np.cumsum(length) - length
-    start, piece = ta.ranges(begin, n), np.repeat(np.arange(len(n)), n)  # windows, by where they stand in the text
-    print_ = hasher.parts(hasher.prefix(text), start, start + WINDOW)
+    edge = np.concatenate(([0], np.cumsum(length)))
+    starts, of, prints = [], [], []
+    for i, j in ta.slices(edge, HASHED):
+        local, at_piece = ta.ranges(edge[i:j] - edge[i], n[i:j]), np.repeat(np.arange(i, j), n[i:j])
+        found = hasher.parts(hasher.prefix(text[ta.ranges(begin[i:j], length[i:j])]), local, local + WINDOW)
+        own = slice(None) if classes == 1 else found % np.uint64(classes) == k
+        starts.append((local + (begin - edge[:-1])[at_piece] + edge[i])[own])
+        of.append(at_piece[own])
+        prints.append(found[own])
+    start, piece, print_ = (np.concatenate(x) for x in (starts, of, prints))  # windows, by where they stand in the text
+    del starts, of, prints
     ordered = np.sort(print_)
     again = ordered[1:][ordered[1:] == ordered[:-1]]
     if not len(again):
@@ -221,12 +283,11 @@ def _repeated_windows(hasher, text, number, who, at, n, place):
     sieve = np.zeros(1 << 20, bool)
     sieve[(again >> np.uint64(44)).astype(np.int64)] = True
     maybe = np.flatnonzero(sieve[(print_ >> np.uint64(44)).astype(np.int64)])
-    k = np.minimum(np.searchsorted(again, print_[maybe]), len(again) - 1)
-    maybe = maybe[again[k] == print_[maybe]]
+    near = np.minimum(np.searchsorted(again, print_[maybe]), len(again) - 1)
+    maybe = maybe[again[near] == print_[maybe]]
     start, piece = start[maybe], piece[maybe]
-    eights = _eights(text, ">u8")
     depth = [min(8 * k, WINDOW - 8) for k in range(-(-WINDOW // 8))]
-    rows, groups = radix_groups(lambda k, r: eights[start[r] + depth[k]], np.arange(len(start)), number[piece], len(depth))
+    rows, groups = radix_groups(lambda k, r: _loaded(text, start[r] + depth[k]), np.arange(len(start)), number[piece], len(depth))
     if not len(rows):
         return []
     d = ids[piece[rows]]
@@ -289,7 +350,7 @@ def covered_ranges(docs: DataFrame, key: str = "doc_id", text: str = "text", chu
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     buckets = parts * BUCKETS
     given = docs.where(docs[key].isNotNull()).select(docs[key].cast("bigint").alias("id"), _short_hash(docs[text]).alias("h"), F.coalesce(docs[text].cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") >= WINDOW)
-    shipped = given.mapInArrow(_shipped(buckets, chunk), "bucket int, parts array<binary>")
+    shipped = given.mapInArrow(_shipped(buckets, chunk, crowded_grams(given, buckets)), "bucket int, parts array<binary>")
     return shipped.repartitionById(parts, F.pmod("bucket", F.lit(parts)).cast("int")).sortWithinPartitions("bucket").mapInArrow(_resolved, "id bigint, h int, ranges binary")
 
 

@@ -6,6 +6,7 @@ import math
 import re
 import zlib
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -124,6 +125,36 @@ def test_passages(spark):
     assert {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got.collect()} == want
 
 
+def _crowd(n=400):
+    """Texts of one frequent gram in ever other surroundings, and some repeated passages."""
+    r = np.random.default_rng(5)
+    word = lambda: "".join(map(chr, r.integers(97, 123, 6)))
+    docs = [(k, " ".join(f"the the {word()} {word()}" for _ in range(60))) for k in range(n)]
+    return docs + [(n + k, docs[k][1][100:900] + docs[3 * k][1][:300]) for k in range(0, 60, 3)]
+
+
+def test_passages_of_a_crowded_gram(spark, monkeypatch):
+    """The pieces of one gram do not fill one bucket, and where they do, its windows are parted; the result is the same."""
+    docs = _crowd()
+    df = spark.createDataFrame(docs, "doc_id bigint, text string").repartition(3)
+    given, buckets = df.select(F.col("doc_id").alias("id"), F.lit(0).alias("h"), "text"), 16
+    crowded = repeated_passages.crowded_grams(given, buckets)
+    assert len(crowded)
+    shipped = given.mapInArrow(repeated_passages._shipped(buckets, 1 << 20, crowded), "bucket int, parts array<binary>").collect()
+    sizes = np.zeros(buckets)
+    for row in shipped:
+        sizes[row.bucket] += len(repeated_passages._opened(bytes(row.parts[0]), np.uint8))
+    assert sizes.max() < 3 * np.median(sizes)
+    want = {tuple(r) for r in repeated_passages.repeated_passages(df).collect()}
+    rows = [[bytes(b) for b in row.parts] for row in given.mapInArrow(repeated_passages._shipped(1, 1 << 20), "bucket int, parts array<binary>").collect()]
+    covered = lambda: {(i, c) for (i, _), (a, n) in zip(*(x.T.tolist() for x in repeated_passages._reduce(rows))) for c in range(a, a + n)}
+    whole = covered()
+    monkeypatch.setattr(repeated_passages, "SORTED", 1 << 14)
+    monkeypatch.setattr(repeated_passages, "HASHED", 1 << 12)
+    assert covered() == whole
+    assert {r[0]: r[2] for r in want} == {i: sum(1 for j, _ in whole if j == i) for i, _ in docs}
+
+
 def test_near_duplicates(spark):
     base = [f"t{i}" for i in range(120)]
     more = [(5000 + k, " ".join(base[:k] + ["edit", str(k)] + base[k + 2 :])) for k in range(0, 100, 4)] + [(6000, " ".join(base)), (6001, "lone"), (6002, "lone")]
