@@ -51,3 +51,12 @@ def test_entry(spark):
 
 def test_every_oracle_has_a_query():
     assert set(ORACLES) <= set(QUERIES)
+
+
+def test_session_overlaps_by_blocks(spark, monkeypatch):
+    """Blocks of a few users give the same counts, and the pairs are counted where they are found: no exchange by u and v."""
+    monkeypatch.setattr(relational, "WIDE", 3)
+    df = QUERIES["session_overlap_all_users"](spark, SMOKE)
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "hashpartitioning(u#" not in plan
+    same(spark, QUERIES["session_overlap_all_users"], ORACLES["session_overlap_all_users"], SMOKE)
