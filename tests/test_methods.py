@@ -6,7 +6,9 @@ from minlabel.graph import Graph
 from minlabel.operators import mapping
 from minlabel.plans import measures
 from minlabel.plans.engine import METHODS, NotConverged, connected_components
-from tests.helpers import union_find
+from minlabel.workloads import WORKLOADS, generate
+from tests.conftest import SMOKE
+from tests.helpers import rows, union_find
 
 
 def made(spark, edges, n, name="t"):
@@ -221,3 +223,17 @@ def test_contradictory_options(spark):
     for method, options in (("orderm", {"orders": [1]}), ("order2", {"order": 5}), ("sync2", {"update": "in_place"}), ("order2", {"update": "in_place", "retire": True}), ("block_async", {"update": "sync"}), ("order2", {"update": "later"})):
         with pytest.raises(ValueError):
             connected_components(g, method, **options)
+
+
+@pytest.mark.parametrize("method", ["sync2", "order1", "hook_compress"])
+@pytest.mark.parametrize("graph", ["order_part_sparse", "event_value_chain"])
+def test_rounds_in_one_task(spark, graph, method):
+    """Rounds made in one task are those that are dealt out: same labels, changes and vertices left."""
+    if graph == "event_value_chain" and method == "order1":
+        g = generate(spark, "random", 60, 3, 0.9)
+    else:
+        g = WORKLOADS[graph].build(spark, SMOKE)
+    far, near = connected_components(g, method), connected_components(g, method, local_edges=1 << 20)
+    assert [r[:7] for r in near.trace] == [r[:7] for r in far.trace]
+    assert (near.iterations, near.edge_passes) == (far.iterations, far.edge_passes)
+    assert rows(near.labels) == rows(far.labels)
