@@ -2,7 +2,7 @@ import random
 
 import pytest
 
-from minlabel.graph import Graph
+from minlabel.graph import Graph, similarity_graph
 from minlabel.operators import mapping
 from minlabel.plans import measures
 from minlabel.plans.engine import METHODS, NotConverged, connected_components
@@ -237,3 +237,19 @@ def test_rounds_in_one_task(spark, graph, method):
     assert [r[:7] for r in near.trace] == [r[:7] for r in far.trace]
     assert (near.iterations, near.edge_passes) == (far.iterations, far.edge_passes)
     assert rows(near.labels) == rows(far.labels)
+
+
+def test_similar_pairs_are_thinned(spark):
+    """All pairs over the threshold are edges, whatever the blocks; what the rounds read are fewer that connect the same. Vectors without a partner, of another length, or null, keep their own label."""
+    r = random.Random(4)
+    vectors = [(k, [r.gauss(0, 1) + (k % 3 == c) for c in range(6)]) for k in range(120)] + [(120, None), (121, [1.0, 2.0]), (122, [0.0] * 6), (123, [1.0, None])]
+    dot = lambda a, b: sum(x * y for x, y in zip(a, b))
+    full = [(k, v) for k, v in vectors if v and len(v) == 6]
+    want = sorted((a, b) for a, x in full for b, y in full if a < b and dot(x, y) > 0.8 * dot(x, x) ** 0.5 * dot(y, y) ** 0.5)
+    df = spark.createDataFrame(vectors, "id bigint, v array<double>")
+    for blocks in (1, 3):
+        g = similarity_graph(df, "id", "v", 0.8, blocks)
+        assert sorted(map(tuple, g.edges.collect())) == want
+        assert g.raw.count() < len(want)
+        got = {x.id: x.label for x in connected_components(g).labels.collect()}
+        assert got == union_find([k for k, _ in vectors], want)
