@@ -3,6 +3,8 @@
 import pytest
 
 from minlabel import catalog, relational, reports
+from minlabel.session import table
+from minlabel.workloads import WORKLOADS
 from tests.conftest import SMALL, SMOKE
 from tests.helpers import same
 
@@ -60,3 +62,17 @@ def test_session_overlaps_by_blocks(spark, monkeypatch):
     plan = df._jdf.queryExecution().executedPlan().toString()
     assert "FlatMapGroupsInArrow" in plan and "hashpartitioning(u#" not in plan
     same(spark, QUERIES["session_overlap_all_users"], ORACLES["session_overlap_all_users"], SMOKE)
+
+
+def test_lattices_paths_and_bounds_are_of_given_tables(spark):
+    parts, customers = ({r[0] for r in table(spark, SMOKE, t).select(c).collect()} for t, c in (("part", "p_partkey"), ("customer", "c_custkey")))
+    for name in ("lattice12", "lattice12p"):
+        g = WORKLOADS[name].build(spark, SMOKE)
+        assert {r.id for r in g.vertices.collect()} == parts
+        w = int(len(parts) ** 0.5)
+        assert g.edges.count() == sum(((p + 1) % w != 0 and p + 1 < len(parts)) + (p + w < len(parts)) + ((p + 1) % w != 0 and p + w + 1 < len(parts)) for p in range(len(parts)))
+        same(spark, QUERIES[f"cc_union_find_{name}"], ORACLES[f"cc_union_find_{name}"], SMOKE)
+    assert {r.d for r in QUERIES["sql_surface_bound"](spark, SMOKE).collect()} == parts
+    assert {r.points for r in QUERIES["order1_spreads_one_hop"](spark, SMOKE).collect()} == {len(customers)}
+    for name in ("sql_surface_bound", "order1_spreads_one_hop"):
+        same(spark, QUERIES[name], ORACLES[name], SMOKE)
