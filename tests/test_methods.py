@@ -172,6 +172,21 @@ def test_hubs_are_parted(spark, method, options):
     assert labels(got) == union_find(range(5010), edges)
 
 
+@pytest.mark.parametrize("method,options", [("chained", {"blocks": 2}), ("sync2", {}), ("orderm", {"update": "sync", "order": 5})])
+def test_rounds_without_broadcasts(spark, method, options):
+    """As on large tables, all joins of a round are of tables dealt by id: candidates that go up the pointers still meet in one partition."""
+    names = ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.autoBroadcastJoinThreshold")
+    for name in names:
+        spark.conf.set(name, "-1")
+    try:
+        g = WORKLOADS["customer_order"].build(spark, SMOKE)
+        got = connected_components(g, method, **options).labels
+        assert rows(got) == rows(connected_components(g, "union_find").labels)
+    finally:
+        for name in names:
+            spark.conf.unset(name)
+
+
 def test_chains_of_one_large_group(spark):
     """Ties go by id, null groups and orders are groups and orders of their own, repeated rows are one."""
     from minlabel.graph import chain_graph
