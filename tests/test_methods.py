@@ -268,3 +268,41 @@ def test_similar_pairs_are_thinned(spark):
         assert g.raw.count() < len(want)
         got = {x.id: x.label for x in connected_components(g).labels.collect()}
         assert got == union_find([k for k, _ in vectors], want)
+
+
+def test_kept_graphs_and_hops_in_one_task(spark):
+    """A kept graph has the vertices and labels of the one that it is made from, loops, repetitions and single ends included, and following pointers in one task changes nothing."""
+    edges = [(k * 37 % 101, (k + 1) * 37 % 101) for k in range(100)] + [(200, 200), (3, 3), (5, 9), (9, 5), (None, 300), (301, None)]
+    g = made(spark, edges, 102)
+    kept = g.kept()
+    assert rows(kept.vertices) == rows(g.vertices) and kept.rows == 102 and kept._stored is None
+    want = labels(connected_components(g, "order2"))
+    for options in ({"orders": [1024]},):
+        far, near = (connected_components(kept, "schedule", block_edges=20, local_sweeps=1, local_edges=n, **options) for n in (0, 1000))
+        assert [r[:7] for r in near.trace] == [r[:7] for r in far.trace] and len(near.trace) > 1
+        assert rows(near.labels) == rows(far.labels) and labels(near) == want and near.labels.count() == len(want)
+    assert labels(connected_components(kept, "union_find", num_partitions=4)) == want
+
+
+def test_many_pairs_are_joined_at_once():
+    """A large block in arrays: a path of shuffled ids, too slow pair by pair in Python."""
+    import time
+
+    import numpy as np
+
+    from minlabel.operators import kernels
+
+    ids = np.random.default_rng(5).permutation(1 << 20) * 3 - 7
+    began = time.process_time()
+    got = kernels.block_minima(np.concatenate([ids[:-1], [5000000]]), np.concatenate([ids[1:], [4000000]]))
+    assert time.process_time() - began < 60 and got[0].tolist()[-1] == 5000000
+    assert set(got[1].tolist()) == {-7, 4000000}
+
+
+def test_chains_across_ranges(spark):
+    """Rows next to each other in different ranges, with empty ranges between, are linked."""
+    from minlabel.graph import chain_graph
+
+    g = chain_graph(spark.range(0, 40, 1, 3).selectExpr("id as e", "cast(id % 5 as double) as t"), "e", ["t"], None)
+    order = sorted(range(40), key=lambda k: (k % 5, k))
+    assert sorted((r.src, r.dst) for r in g.edges.collect()) == sorted((min(p), max(p)) for p in zip(order, order[1:]))
