@@ -299,6 +299,18 @@ def test_many_pairs_are_joined_at_once():
     assert set(got[1].tolist()) == {-7, 4000000}
 
 
+def test_graphs_of_experiments_are_written_once(spark):
+    from minlabel.plans import experiments
+    from minlabel.workloads import graph_catalog
+
+    g = experiments.built(spark, SMOKE, "event_user_chain")
+    other = experiments.built(spark, SMOKE, "order_part_sparse")
+    assert experiments.built(spark, SMOKE, "event_user_chain") is g and experiments.built(spark, SMOKE, "order_part_sparse") is other
+    names = ["order_part_sparse", "event_user_chain"]
+    assert rows(graph_catalog(spark, SMOKE, names, experiments.built)) == rows(graph_catalog(spark, SMOKE, names))
+    assert all("FileScan" not in line or "events" not in line for line in g.raw._jdf.queryExecution().executedPlan().toString().splitlines())
+
+
 def test_chains_across_ranges(spark):
     """Rows next to each other in different ranges, with empty ranges between, are linked."""
     from minlabel.graph import chain_graph
